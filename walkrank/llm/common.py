@@ -6,6 +6,7 @@ import tempfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -32,3 +33,8 @@ def bucket_of(doc_id: Column, mod: int) -> Column:
 def keyed(text: Column) -> Column:
     """Distinguishes rows that share an id but not a text."""
     return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
+def plus(schema: T.StructType, **fields: str) -> T.StructType:
+    """`schema` with more fields, as a new schema (StructType.add changes its own)."""
+    return T.StructType([*schema.fields, *(T.StructField(k, T._parse_datatype_string(v)) for k, v in fields.items())])
