@@ -28,7 +28,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import plus
+from walkrank.llm.common import arrow_map, plus
 
 #: Fixed pattern of byte-level BPE vocabularies (contractions, letters, numbers, other, white space).
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -233,7 +233,7 @@ def encode_frame(docs: DataFrame, path: str, text: str = "text", digests_only: b
                 yield pa.RecordBatch.from_arrays(cols, names=[f.name for f in kept.fields] + new)
 
     more = {"n_tokens": "bigint", "ids_sha256": "string", "decoded_sha256": "string"} | ({} if digests_only else {"ids": "array<int>"})
-    return source.mapInArrow(work, plus(kept, **more))
+    return arrow_map(source, work, plus(kept, **more))
 
 
 def decode_frame(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
@@ -246,4 +246,4 @@ def decode_frame(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
             texts = [None if x is None else enc.decode(x) for x in batch.column(ids).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(f.name) for f in kept.fields] + [pa.array(texts, pa.string())], names=[*kept.names, "decoded"])
 
-    return encoded.drop("decoded").mapInArrow(work, plus(kept, decoded="string"))
+    return arrow_map(encoded.drop("decoded"), work, plus(kept, decoded="string"))

@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import tempfile
+import zipfile
+from collections.abc import Callable
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -38,3 +41,26 @@ def keyed(text: Column) -> Column:
 def plus(schema: T.StructType, **fields: str) -> T.StructType:
     """`schema` with more fields, as a new schema (StructType.add changes its own)."""
     return T.StructType([*schema.fields, *(T.StructField(k, T._parse_datatype_string(v)) for k, v in fields.items())])
+
+
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Gives the executors this package, once an application, for clusters where it isn't installed."""
+    sc = spark.sparkContext
+    if sc.applicationId in _shipped:
+        return
+    top = Path(__file__).resolve().parents[1]
+    name = Path(tempfile.mkdtemp(prefix="walkrank-ship-")) / "walkrank_package.zip"
+    with zipfile.ZipFile(name, "w") as z:
+        for p in sorted(top.rglob("*.py")):
+            z.write(p, p.relative_to(top.parent))
+    sc.addPyFile(str(name))
+    _shipped.add(sc.applicationId)
+
+
+def arrow_map(df: DataFrame, work: Callable, schema: T.StructType | str) -> DataFrame:
+    """mapInArrow on executors that are sure to have this package."""
+    ship(df.sparkSession)
+    return df.mapInArrow(work, schema)

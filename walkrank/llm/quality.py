@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import bucket_of, plus
+from walkrank.llm.common import arrow_map, bucket_of, plus
 
 THRESHOLD = 0.3
 CLASSES = 13
@@ -131,7 +131,7 @@ def _terms(rows: DataFrame) -> DataFrame:
             got = [term_counts(t.as_py()).astype(np.float16).tobytes() for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([b.column("label"), pa.array(got, pa.binary())], names=["label", "terms"])
 
-    return rows.mapInArrow(work, "label int, terms binary")
+    return arrow_map(rows, work, "label int, terms binary")
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: int = 5, per_class: int = 2048, **more) -> Votes:
@@ -162,7 +162,7 @@ def score_frame(docs: DataFrame, model: Votes, text: str = "text", keep: list[st
                 scores = votes.score(np.array([term_counts(t.as_py()) for t in b.column("__text")], dtype=np.float32))
                 yield pa.RecordBatch.from_arrays([*(b.column(f.name) for f in kept.fields), pa.array(scores, pa.float64())], names=[*kept.names, "score"])
 
-    return source.mapInArrow(work, plus(kept, score="double"))
+    return arrow_map(source, work, plus(kept, score="double"))
 
 
 def classify(docs: DataFrame, labels: DataFrame, fold: int = 5, **more) -> DataFrame:

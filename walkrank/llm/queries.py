@@ -6,22 +6,34 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkrank.llm import bpe
+from walkrank.llm import bpe, mixing, quality, simhash
 from walkrank.llm.common import read
 
 
-def _vocabulary() -> str:
+def vocabulary() -> str:
     import public_tokenizers
 
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(read(spark, sf_dir, "documents"), target=0.5, limit=4.0, budget=1.0)
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode_frame(read(spark, sf_dir, "documents"), _vocabulary(), digests_only=True)
+    return bpe.encode_frame(read(spark, sf_dir, "documents"), vocabulary(), digests_only=True)
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
+def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(read(spark, sf_dir, "documents")).select("doc_id", "fingerprint", "component_id")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op4_bpe": op4_bpe}
+    return {f.__name__: f for f in (op1_mixing, op4_bpe, op7_quality, op8_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:

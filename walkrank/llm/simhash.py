@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import cut, plus, shuffle_parts
+from walkrank.llm.common import arrow_map, cut, plus, shuffle_parts
 from walkrank.llm.components import components, local_components
 
 BANDS = 4
@@ -63,7 +63,7 @@ def fingerprints(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
             fps = np.array([fingerprint(t.as_py()) for t in batch.column("__text")], dtype=np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([*(batch.column(f.name) for f in kept.fields), pa.array(fps)], names=[*kept.names, "fp"])
 
-    return source.mapInArrow(work, plus(kept, fp="bigint"))
+    return arrow_map(source, work, plus(kept, fp="bigint"))
 
 
 def gray_rank(codes: np.ndarray) -> np.ndarray:
@@ -144,7 +144,7 @@ def fingerprint_links(distinct: DataFrame, most: int = MOST_BITS) -> DataFrame:
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
     spread = dealt.repartition(max(shuffle_parts(distinct.sparkSession), 2), "bucket")
-    return spread.mapInArrow(work, "a long, b long")
+    return arrow_map(spread, work, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
