@@ -23,18 +23,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from walkrank.llm.common import cut
+from walkrank.llm.common import cut, draw
 
 #: Salts that a source's rows are dealt over when they meet their source's plan.
 SALTS = 64
 STEPS = 40
 
 
-def draw(*parts: Column | str | int) -> Column:
-    """A 60-bit integer from a digest of the parts, which other engines can compute too."""
-    return F.conv(F.substring(F.md5(F.concat_ws("|", *(p if isinstance(p, Column) else F.lit(str(p)) for p in parts)).cast("binary")), 1, 15), 16, 10).cast("long")
-
-
 def n_words(text: Column) -> Column:
     return F.regexp_count(F.coalesce(text, F.lit("")), F.lit("[^\\x20\\x09-\\x0D]+")).cast("long")
 

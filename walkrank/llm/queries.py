@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from walkrank.llm import bpe, mixing, quality, simhash
+from walkrank.llm import bpe, html_extract, licenses, mixing, quality, simhash, urlfilter
 from walkrank.llm.common import read
 
 
@@ -20,6 +21,10 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read(spark, sf_dir, "documents"), target=0.5, limit=4.0, budget=1.0)
 
 
+def op2_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(read(spark, sf_dir, "documents"))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_frame(read(spark, sf_dir, "documents"), vocabulary(), digests_only=True)
 
@@ -32,9 +37,19 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(read(spark, sf_dir, "documents")).select("doc_id", "fingerprint", "component_id")
 
 
+def op9_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(read(spark, sf_dir, "pages"))
+
+
+def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = read(spark, sf_dir, "pages").select("page_id", "url")
+    found = urlfilter.apply_lists(pages.withColumn("fetched_at", F.expr(urlfilter.FETCHED)), urlfilter.rule_list(pages))
+    return found.select("page_id", "url", F.unix_seconds("fetched_at").alias("fetched_s"), "host", "blocked", "n_rules", "categories", "rule")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op4_bpe, op7_quality, op8_simhash)}
+    return {f.__name__: f for f in (op1_mixing, op2_licenses, op4_bpe, op7_quality, op8_simhash, op9_html, op10_urls)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_licenses": licenses.oracle_sql(), "op10_urls": urlfilter.oracle_sql()}
