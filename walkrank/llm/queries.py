@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from walkrank.llm import bpe, html_extract, licenses, mixing, quality, simhash, urlfilter
+from walkrank.llm import bpe, html_extract, licenses, mixing, quality, simhash, topk, urlfilter, vectors
 from walkrank.llm.common import read
 
 
@@ -25,10 +25,19 @@ def op2_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(read(spark, sf_dir, "documents"))
 
 
+def op3_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = read(spark, sf_dir, "embeddings")
+    return topk.top_k(rows, rows.where("vec_id % 50 = 0"), k=5)
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_frame(read(spark, sf_dir, "documents"), vocabulary(), digests_only=True)
 
 
+def op5_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vectors.near_duplicates(read(spark, sf_dir, "embeddings"), cosine=0.95)
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
@@ -48,8 +57,8 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op2_licenses, op4_bpe, op7_quality, op8_simhash, op9_html, op10_urls)}
+    return {f.__name__: f for f in (op1_mixing, op2_licenses, op3_topk, op4_bpe, op5_vectors, op7_quality, op8_simhash, op9_html, op10_urls)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_licenses": licenses.oracle_sql(), "op10_urls": urlfilter.oracle_sql()}
+    return {"op2_licenses": licenses.oracle_sql(), "op3_topk": topk.ORACLE_SQL, "op5_vectors": vectors.ORACLE_SQL, "op10_urls": urlfilter.oracle_sql()}

@@ -122,8 +122,8 @@ def oracle_sql() -> str:
     return rf"""
 WITH part AS (SELECT page_id, url, 1704067200 + 86400 * (page_id % 366) AS fetched,
         rtrim(lower(regexp_replace(regexp_replace(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1), '^.*@', ''), ':[0-9]*$', '')), '.') AS host,
-        list_filter(string_split(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*(/[^?#]*)', 1), '/'), x -> x <> '') AS steps,
-        list_distinct(list_filter(list_transform(string_split(regexp_extract(url, '^[^?#]*\?([^#]*)', 1), '&'), x -> lower(string_split(x, '=')[1])), x -> x <> '')) AS params FROM pages),
+        list_filter(string_split(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*(/[^?#]*)', 1), '/'), lambda x: x <> '') AS steps,
+        list_distinct(list_filter(list_transform(string_split(regexp_extract(url, '^[^?#]*\?([^#]*)', 1), '&'), lambda x: lower(string_split(x, '=')[1])), lambda x: x <> '')) AS params FROM pages),
 cand AS (SELECT page_id, 'domain' AS kind, unnest([array_to_string(string_split(host, '.')[i:], '.') for i in range(1, len(string_split(host, '.')) + 1)]) AS key FROM part WHERE host <> ''
         UNION ALL SELECT page_id, 'prefix', unnest([host || '/' || array_to_string(steps[:i], '/') for i in range(1, least(len(steps), {DEPTH}) + 1)]) FROM part WHERE host <> ''
         UNION ALL SELECT page_id, 'param', unnest(params) FROM part WHERE host <> ''),
