@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from walkrank.llm import bpe, html_extract, licenses, mixing, quality, simhash, topk, urlfilter, vectors
+from walkrank.llm import bpe, html_extract, licenses, lm, mixing, quality, simhash, topk, urlfilter, vectors
 from walkrank.llm.common import read
 
 
@@ -38,6 +38,10 @@ def op5_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vectors.near_duplicates(read(spark, sf_dir, "embeddings"), cosine=0.95)
 
 
+def op6_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.score(read(spark, sf_dir, "documents"))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
@@ -57,7 +61,7 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op2_licenses, op3_topk, op4_bpe, op5_vectors, op7_quality, op8_simhash, op9_html, op10_urls)}
+    return {f.__name__: f for f in (op1_mixing, op2_licenses, op3_topk, op4_bpe, op5_vectors, op6_lm, op7_quality, op8_simhash, op9_html, op10_urls)}
 
 
 def oracle_sql() -> dict[str, str]:
