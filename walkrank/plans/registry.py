@@ -6,10 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from walkrank.plans import methods
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return dict(methods.Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(methods.O)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return methods.flagship(spark, sf_dir)
