@@ -373,10 +373,11 @@ def _(spark, d):
     return show_rank(baselines.series(repaired(spark, d, "trade"), 3))
 
 
-for _g in ("trade", "similarity", "words"):
-    @case(f"topk_{_g}", f"WITH {o.graph(_g)}, {o.ranks(2)} {o.top('r2', 50)}")
-    def _(spark, d, g=_g):
-        return show_top(walk.top_k(baselines.fixed(repaired(spark, d, g), 2), 50))
+# (the similarity graph's degrees are 8: two iterations give scores that lie half-way between rounded ones)
+for _g, _i in (("trade", 2), ("similarity", 5), ("words", 2)):
+    @case(f"topk_{_g}", f"WITH {o.graph(_g)}, {o.ranks(_i)} {o.top(f'r{_i}', 50)}")
+    def _(spark, d, g=_g, i=_i):
+        return show_top(walk.top_k(baselines.fixed(repaired(spark, d, g), i), 50))
 
 
 # --- accuracy: the tally's estimate or one iteration against more iterations ---
