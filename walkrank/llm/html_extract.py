@@ -129,8 +129,8 @@ def parse(text: str | None) -> Page:
                         break
     if pos < len(text):
         rest = text[pos:]
-        cut = rest.find("<")  # a tag that never ends isn't text
-        buffer.append(rest if cut < 0 or not re.match(r"<[a-zA-Z/!]", rest[cut:]) else rest[:cut])
+        broken = re.search(r"<[a-zA-Z/!]", rest)  # a tag that never ends isn't text
+        buffer.append(rest[: broken.start()] if broken else rest)
     close()
     return page
 
