@@ -24,6 +24,7 @@ def start(verts: DataFrame, n: int) -> DataFrame:
 
 def step(rank: DataFrame, edges_d: DataFrame, verts: DataFrame, n: int, p_t: float = 0.15, to_all: DataFrame | None = None) -> DataFrame:
     """One iteration. to_all (id): vertices without out-edges whose mass is shared by all."""
+    n = max(n, 1)
     sent = edges_d.join(rank.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("value") / F.col("d")).alias("m"))
     out = verts.join(sent, "id", "left")
     spread = F.lit(0.0)

@@ -6,15 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkrank.plans import methods
+from walkrank.plans import methods, relational
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return dict(methods.Q)
+    return methods.Q | relational.Q
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(methods.O)
+    return methods.O | relational.O
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
