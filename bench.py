@@ -47,7 +47,9 @@ def main() -> None:
         timed(f"{name}_sparsified_r50", lambda: cut(baselines.sparsified_rank(edges, 0.5, 2, rng=rng)))
         extra = cost.baseline_model_bytes(lay, 1).first()["bytes"]
         for p in (1.0, 0.7, 0.4, 0.1):
-            tally = timed(f"{name}_walkers_ps{p}", lambda: walk.walker_tally(lay, walk.WalkParams(n_walkers=n, refresh_rate=p, counters=False, rng=rng)).tally.persist())
+            run = walk.walker_tally(lay, walk.WalkParams(n_walkers=n, refresh_rate=p, counters=False, rng=rng))
+            tally = timed(f"{name}_walkers_ps{p}", lambda: cut(run.tally))
+            run.release()
             got = accuracy.curve(walk.estimate(tally, n), ref, [100]).first()
             ratios[f"{name}_ps{p}_mass100"] = round(got["mass_norm"], 4)
             ratios[f"{name}_ps{p}_identified100"] = round(got["hit_share"], 3)

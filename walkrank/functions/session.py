@@ -13,11 +13,17 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint; a folder of our own only where the session names none."""
+    """A reliable checkpoint; a folder of our own only where the session names none.
+
+    A checkpoint alone would compute its plan twice (once to run it, once to write it), so the plan is cached meanwhile.
+    """
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="walkrank-"))
-    return df.checkpoint(eager=True)
+    df.persist()
+    out = df.checkpoint(eager=True)
+    df.unpersist()
+    return out
 
 
 def small(df: DataFrame, rows: int, most_rows: int = 2_000_000) -> DataFrame:

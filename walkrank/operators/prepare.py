@@ -69,12 +69,13 @@ def encode(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 @dataclass
 class Layout:
-    """replicas (src, shard, nbrs, d_local) and one row a vertex of its replicas: (src, d_out, reps)."""
+    """replicas (src, shard, nbrs, d_local), one row a vertex of its replicas (src, d_out, reps), dense indices (id, idx)."""
 
     replicas: DataFrame
     directory: DataFrame
     vertices: DataFrame
     n: int
+    index: DataFrame
 
     def replication(self) -> DataFrame:
         return self.directory.agg(F.avg(F.size("reps")).alias("replication_factor"))
@@ -106,4 +107,5 @@ def layout(edges: DataFrame, kind: str = "random", shards: int = 8, rng: Rng = R
     directory = reps.groupBy("src").agg(F.sum("d_local").alias("d_out"), F.array_sort(F.collect_list(F.struct("shard", "d_local"))).alias("reps"))
     directory = cut(directory) if keep else directory
     verts = directory.select(F.col("src").alias("id"))
-    return Layout(reps, directory, verts, verts.count())
+    index = cut(indexed(verts, rng)) if keep else indexed(verts, rng)
+    return Layout(reps, directory, verts, index.count(), index)

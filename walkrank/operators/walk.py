@@ -6,8 +6,8 @@ stops with probability p_T (thin); a vertex refreshes a random share p_s of its
 `horizon` steps the rest are counted too. All draws are keyed hashes, so retried tasks repeat them.
 
 The walker table has at most `n_walkers` rows whatever the graph's size (the rounding up of a split can add a few), so it
-may be broadcast against the adjacency behind a check of that bound. Each step's walkers are checkpointed: the adjacency
-is read once a step.
+may be broadcast against the adjacency behind a check of that bound. Each step's walkers feed two consumers (those that
+stop, those that go on); they are cached, so the adjacency is read once a step, and, every few steps, checkpointed.
 """
 
 from __future__ import annotations
@@ -27,6 +27,10 @@ from walkrank.operators.erasure import live_replicas
 from walkrank.operators.prepare import Layout, indexed
 
 
+#: Steps between checkpoints.
+EVERY = 6
+
+
 @dataclass(frozen=True)
 class WalkParams:
     n_walkers: int = 800_000
@@ -49,14 +53,20 @@ class WalkParams:
 class WalkResult:
     tally: DataFrame
     steps: list[dict]
+    cached: list[DataFrame] = field(default_factory=list)
+
+    def release(self) -> None:
+        """Frees the cached walkers; the tally can still be computed, from its start."""
+        for d in self.cached:
+            d.unpersist()
 
 
-def birth_uniform(verts: DataFrame, n_walkers: int, rng: Rng, n: int | None = None) -> DataFrame:
-    """(walker, id): each walker draws a vertex, all alike."""
-    at = indexed(verts, rng)
+def birth_uniform(verts: DataFrame | None, n_walkers: int, rng: Rng, n: int | None = None, index: DataFrame | None = None) -> DataFrame:
+    """(walker, id): each walker draws a vertex, all alike. index: dense indices (id, idx) if there are any yet."""
+    at = indexed(verts, rng) if index is None else index
     n = at.count() if n is None else n
-    w = verts.sparkSession.range(n_walkers).select(F.col("id").alias("walker")).withColumn("idx", rng.draw("b", 0, "walker") % max(n, 1))
-    return w.join(at, "idx").select("walker", "id")
+    w = at.sparkSession.range(n_walkers).select(F.col("id").alias("walker")).withColumn("idx", rng.draw("b", 0, "walker") % max(n, 1))
+    return small(w, n_walkers).join(at, "idx").select("walker", "id")
 
 
 def birth_per_vertex(verts: DataFrame, n_walkers: int, rng: Rng, n: int) -> DataFrame:
@@ -155,15 +165,21 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
     p, rng = params, params.rng
     if births is None:
         if p.birth == "uniform":
-            births = birth_uniform(layout.vertices, p.n_walkers, rng, layout.n).groupBy("id").agg(F.count("*").alias("k"))
+            births = birth_uniform(None, p.n_walkers, rng, layout.n, layout.index).groupBy("id").agg(F.count("*").alias("k"))
         else:
             births = birth_per_vertex(layout.vertices, p.n_walkers, rng, layout.n)
-    walkers = cut(births)
+    cached: list[DataFrame] = []
+
+    def keep(df: DataFrame) -> DataFrame:
+        cached.append(df.persist())
+        return df
+
+    walkers = keep(births)
     done: list[DataFrame] = []
     steps: list[dict] = []
     last = p.horizon if p.horizon is not None else p.max_steps
     for step in range(last):
-        thinned = cut(thin(walkers, p.stop_rate, step, rng))
+        thinned = keep(thin(walkers, p.stop_rate, step, rng))
         done.append(thinned.select("id", F.col("stopped").alias("c")))
         alive = thinned.where("k > stopped").select(F.col("id").alias("src"), (F.col("k") - F.col("stopped")).alias("k"))
         met = small(alive, p.n_walkers).join(layout.directory, "src")
@@ -178,8 +194,8 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
             if p.on_no_live == "stay":
                 arrived = combine(arrived.unionByName(stuck))
             else:
-                done.append(cut(stuck.select("id", F.col("k").alias("c"))))
-        walkers = cut(arrived)
+                done.append(keep(stuck.select("id", F.col("k").alias("c"))))
+        walkers = cut(arrived) if step % EVERY == EVERY - 1 else keep(arrived)
         if p.counters:
             a = thinned.agg(F.sum("k"), F.sum("stopped"), F.count_if(F.col("k") > F.col("stopped"))).first()
             b = live.agg(F.sum(F.size("reps"))).first()[0] or 0
@@ -192,7 +208,7 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
-    return WalkResult(out.groupBy("id").agg(F.sum("c").cast("long").alias("c")).where("c > 0"), steps)
+    return WalkResult(out.groupBy("id").agg(F.sum("c").cast("long").alias("c")).where("c > 0"), steps, cached)
 
 
 def estimate(tally: DataFrame, n_walkers: int, normalize: str = "n") -> DataFrame:

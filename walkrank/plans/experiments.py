@@ -41,6 +41,7 @@ class Bench:
         got = walk.walker_tally(self.layout, p)
         est = cut(walk.estimate(got.tally, p.n_walkers))
         took = time.monotonic() - began
+        got.release()
         return self.row(experiment, "walkers", est, took, cost.walker_model_bytes(got.steps), params | {"shards": self.layout.replicas.select("shard").distinct().count()}, k)
 
     def power(self, experiment: str, k: int, iterations: int) -> tuple:
