@@ -115,7 +115,9 @@ def fit_matrix(terms: np.ndarray, labels: np.ndarray, dims: int = 64, k: int = 1
     model = Votes(idf, np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), labels.astype(np.float64), k, power)
     x = terms * idf
     x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-    values, vectors = np.linalg.eigh((x.T @ x).astype(np.float64))
+    gram = (x.T @ x).astype(np.float64)
+    del x
+    values, vectors = np.linalg.eigh(gram)
     order = np.argsort(-values)[: min(dims, len(terms))]
     axes = vectors[:, order]
     model.axes = (axes * np.sign(axes[np.abs(axes).argmax(axis=0), np.arange(axes.shape[1])])).astype(np.float32)
@@ -142,9 +144,11 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: int =
     sample = F.broadcast(taught[0].union(taught[1]))
     rows = docs.select(F.col("doc_id").alias("__doc"), F.col("text").cast("string").alias("text")).join(sample, F.col("__doc") == F.col("__id")).select("label", "text")
     # ids may repeat in docs: the bound holds for rows too
-    got = _terms(rows).orderBy(F.xxhash64("terms"), "label").limit(2 * per_class).collect()
-    terms = np.array([np.frombuffer(r.terms, dtype=np.float16) for r in got], dtype=np.float32).reshape(-1, TERMS)
-    return fit_matrix(terms, np.array([r.label for r in got]), **more)
+    got = _terms(rows).orderBy(F.xxhash64("terms"), "label").limit(2 * per_class).toArrow()
+    terms = np.empty((got.num_rows, TERMS), dtype=np.float32)
+    for i, t in enumerate(got.column("terms")):
+        terms[i] = np.frombuffer(t.as_buffer(), dtype=np.float16)
+    return fit_matrix(terms, got.column("label").to_numpy(), **more)
 
 
 def score_frame(docs: DataFrame, model: Votes, text: str = "text", keep: list[str] | None = None) -> DataFrame:
