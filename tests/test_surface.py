@@ -7,6 +7,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
+from walkrank.functions import rng
 from walkrank.plans import experiments, methods, registry, relational
 from walkrank.sources import files, graphs
 from walkrank.streaming import activity
@@ -71,6 +72,22 @@ def test_experiment_rows(spark):
     assert spark.createDataFrame(rows, experiments.RUN).count() == 4
 
 
+def test_scaling_of_runs(spark):
+    row = lambda size, p, took, n=5: ("c", "walkers", "g", {"shards": str(size), "refresh_rate": str(p), "n_walkers": str(n)}, took, 1, 10, 1.0, 1.0)
+    rows = spark.createDataFrame([row(4, 1.0, 8.0), row(8, 1.0, 4.0, 6), row(16, 1.0, 4.0), row(4, 0.1, 3.0), ("c", "power", "g", {"iterations": "1"}, 9.0, 1, 10, 1.0, 1.0)], experiments.RUN)
+    got = {(r["setting"], r["size"]): (r["speed_up"], r["efficiency"]) for r in experiments.scaling(rows).collect()}
+    assert len(got) == 4 and sorted(got.values()) == [(1.0, 1.0), (1.0, 1.0), (2.0, 0.5), (2.0, 1.0)]
+
+
+def test_sql_draws(spark):
+    rng.register(spark)
+    assert spark.sql("SELECT walk_draw('7|0|3')").first()[0] == 503911891814805986  # a value both engines gave
+    n = spark.range(4000).select(F.concat(F.lit("7|d|1|"), F.col("id")).alias("t"), rng.Rng(7).draw("d", 1, "id").alias("want"), rng.Rng(7).happens(0.3, "d", 1, "id").alias("ends"))
+    n.createOrReplaceTempView("walk_texts")
+    a, b, share = spark.sql("SELECT count_if(walk_draw(t) = want), count_if(walk_happens(t, 0.3D) = ends), avg(cast(ends AS INT)) FROM walk_texts").first()
+    assert a == b == 4000 and abs(share - 0.3) < 0.03
+
+
 def stream(spark, make, tmp_path, mode="append", name="out"):
     events = spark.read.parquet(f"{SF}/events.parquet").orderBy("ts").coalesce(1)
     events.write.parquet(str(tmp_path / "in"))

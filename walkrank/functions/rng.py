@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 BITS = 60
@@ -39,3 +39,10 @@ class Rng:
     def sql(self, purpose: str, step: int, *keys: str) -> str:
         """The portable draw as DuckDB SQL; keys are SQL expressions."""
         return f"('0x' || substr(md5('{self.seed}|{purpose}|{step}|' || " + " || '|' || ".join(f"({k})::VARCHAR" for k in keys) + "), 1, 15))::BIGINT"
+
+
+def register(spark: SparkSession) -> None:
+    """SQL functions of this session, plain expressions to the optimizer: walk_draw(text) is the portable draw of
+    'seed|purpose|step|key..', walk_happens(text, p) is true with probability p."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION walk_draw(t STRING) RETURNS BIGINT RETURN cast(conv(substr(md5(cast(t AS BINARY)), 1, 15), 16, 10) AS BIGINT)")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION walk_happens(t STRING, p DOUBLE) RETURNS BOOLEAN RETURN cast(conv(substr(md5(cast(t AS BINARY)), 1, 15), 16, 10) AS BIGINT) < cast(p * {1 << BITS}D AS BIGINT)")

@@ -182,8 +182,8 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
         thinned = keep(thin(walkers, p.stop_rate, step, rng))
         done.append(thinned.select("id", F.col("stopped").alias("c")))
         alive = thinned.where("k > stopped").select(F.col("id").alias("src"), (F.col("k") - F.col("stopped")).alias("k"))
-        met = small(alive, p.n_walkers).join(layout.directory, "src")
-        live = live_replicas(met.select("src", "k", "d_out", "reps"), p.refresh_rate, step, rng, p.erasure == "at_least_one")
+        met = small(alive, p.n_walkers).join(layout.directory, "src").withColumn("had", F.size("reps"))
+        live = live_replicas(met.select("src", "k", "d_out", "reps", "had"), p.refresh_rate, step, rng, p.erasure == "at_least_one")
         if p.scatter == "split":
             shares = split_shares(None, live, step, rng, p.rounding, p.replica_weight)
             arrived = pick_in_replica(small(shares, p.n_walkers), layout.replicas, step, rng)
@@ -198,11 +198,10 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
         walkers = cut(arrived) if step % EVERY == EVERY - 1 else keep(arrived)
         if p.counters:
             a = thinned.agg(F.sum("k"), F.sum("stopped"), F.count_if(F.col("k") > F.col("stopped"))).first()
-            b = live.agg(F.sum(F.size("reps"))).first()[0] or 0
-            tried = met.agg(F.sum(F.size("reps"))).first()[0] or 0
+            b = live.agg(F.sum("had"), F.sum(F.size("reps"))).first()
             c = walkers.agg(F.count("*"), F.coalesce(F.sum("k"), F.lit(0))).first()
-            steps.append({"step": step, "alive_in": a[0] or 0, "stopped": a[1] or 0, "active": a[2] or 0, "refresh_tried": tried, "refresh_sent": b, "destinations": c[0], "alive_out": c[1]})
-        if p.horizon is None and walkers.isEmpty():
+            steps.append({"step": step, "alive_in": a[0] or 0, "stopped": a[1] or 0, "active": a[2] or 0, "refresh_tried": b[0] or 0, "refresh_sent": b[1] or 0, "destinations": c[0], "alive_out": c[1]})
+        if p.horizon is None and (steps[-1]["destinations"] == 0 if p.counters else walkers.isEmpty()):
             break
     done.append(walkers.select("id", F.col("k").alias("c")))
     out = done[0]

@@ -12,6 +12,8 @@ import time
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
 
 from walkrank.functions.rng import Rng
 from walkrank.functions.session import cut
@@ -89,6 +91,12 @@ def frontier(spark, d, name: str = "words", k: int = 100) -> Iterator[tuple]:
         yield b.power(f"frontier_{name}", k, i)
 
 
+def small_frontier(spark, d) -> Iterator[tuple]:
+    """W8: the frontier on the smaller graphs."""
+    for name, k in (("trade", 50), ("similarity", 20)):
+        yield from frontier(spark, d, name, k)
+
+
 def sparsify(spark, d) -> Iterator[tuple]:
     """W5."""
     b = Bench(spark, d, "words")
@@ -99,12 +107,20 @@ def sparsify(spark, d) -> Iterator[tuple]:
 
 
 def sweep_walkers(spark, d) -> Iterator[tuple]:
-    """W6, and W9 by the column model_bytes."""
+    """W6."""
     b = Bench(spark, d, "similarity")
     for share in (0.02, 0.05, 0.1, 0.2, 0.5, 1, 2, 8, 32):
         yield b.walkers("sweep_walkers", 20, n_walkers=max(10, int(b.layout.n * share)))
 
 
+def bytes_vs_n(spark, d) -> Iterator[tuple]:
+    """W9: traffic against the number of walkers, at full and at partial refresh."""
+    b = Bench(spark, d, "trade")
+    for share in (0.1, 0.2, 0.5, 1, 2, 4):
+        for p in (1.0, 0.4):
+            yield b.walkers("bytes_vs_n", 50, n_walkers=_n(b, share), refresh_rate=p)
+
+
 def sweep_horizon(spark, d) -> Iterator[tuple]:
     """W7."""
     b = Bench(spark, d, "similarity")
@@ -130,7 +146,19 @@ def ablation(spark, d) -> Iterator[tuple]:
                 yield b.walkers("ablation_" + "_".join(map(str, next(iter(more.items())))), 20, **base, **more)
 
 
-ALL = {f.__name__: f for f in (cluster_size, accuracy_k, frontier, sparsify, sweep_walkers, sweep_horizon, two_sizes, ablation)}
+ALL = {f.__name__: f for f in (cluster_size, accuracy_k, frontier, small_frontier, sparsify, sweep_walkers, bytes_vs_n, sweep_horizon, two_sizes, ablation)}
+
+
+def scaling(rows: DataFrame, size: str = "shards") -> DataFrame:
+    """Speed-up over the smallest cluster and its share of the ideal, per method and setting, of cluster_size's rows.
+
+    Rows without that parameter (the baseline's) drop out; params but `size` name a setting.
+    """
+    setting = F.map_filter("params", lambda key, _: ~key.isin(size, "n_walkers"))
+    at = rows.where(F.map_contains_key("params", F.lit(size))).select("method", "graph", "k", F.to_json(F.map_from_entries(F.array_sort(F.map_entries(setting)))).alias("setting"), F.element_at("params", size).cast("int").alias("size"), "seconds")
+    least = W.partitionBy("method", "graph", "k", "setting").orderBy("size")
+    up = F.first("seconds").over(least) / F.col("seconds")
+    return at.withColumn("speed_up", up).withColumn("efficiency", up * F.first("size").over(least) / F.col("size"))
 
 
 def runs(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
