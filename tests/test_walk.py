@@ -81,6 +81,15 @@ def test_conservation(random_edges, more):
     assert cost.walker_model_bytes(got.steps) > 0
 
 
+def test_long_walks_end_and_lose_nobody(spark):
+    lay = prepare.layout(graphs.toy(spark), "random", 3, Rng(3))
+    p = walk.WalkParams(n_walkers=40, horizon=None, stop_rate=0.5, refresh_rate=0.5, rounding="exact", max_steps=30, rng=Rng(3))
+    one, two = walk.walker_tally(lay, p), walk.walker_tally(lay, walk.with_params(p, counters=False))
+    got = sorted(map(tuple, one.tally.collect()))
+    assert got == sorted(map(tuple, two.tally.collect())) and sum(c for _, c in got) == 40
+    assert one.steps[-1]["alive_out"] == 0 and sum(s["stopped"] for s in one.steps) == 40 and len(one.steps) < 30
+
+
 def test_fewer_refreshes_cost_less(random_edges):
     lay = prepare.layout(random_edges, "random", 8)
     sent = {p: sum(s["refresh_sent"] for s in walk.walker_tally(lay, params(refresh_rate=p)).steps) for p in (1.0, 0.7, 0.4, 0.1)}

@@ -7,7 +7,8 @@ stops with probability p_T (thin); a vertex refreshes a random share p_s of its
 
 The walker table has at most `n_walkers` rows whatever the graph's size (the rounding up of a split can add a few), so it
 may be broadcast against the adjacency behind a check of that bound. Each step's walkers feed two consumers (those that
-stop, those that go on); they are cached, so the adjacency is read once a step, and, every few steps, checkpointed.
+stop, those that go on); they are cached, so the adjacency is read once a step, and, every few steps, checkpointed with the
+tally so far, after which the cache is freed.
 """
 
 from __future__ import annotations
@@ -160,6 +161,14 @@ def scatter_binomial(alive_live: DataFrame, replicas: DataFrame, p_s: float, ste
     return combine(_binomial(rows, "id", "k").where("k > 0"))
 
 
+def _united(parts: list[DataFrame]) -> DataFrame:
+    """(id, c): the sum of tallies, without zeros."""
+    out = parts[0]
+    for d in parts[1:]:
+        out = out.unionByName(d)
+    return out.groupBy("id").agg(F.sum("c").cast("long").alias("c")).where("c > 0")
+
+
 def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None = None) -> WalkResult:
     """Tally (id, c) and, per step, counters (walkers in, stopped, refreshes tried and sent, signals, walkers out)."""
     p, rng = params, params.rng
@@ -195,19 +204,21 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
                 arrived = combine(arrived.unionByName(stuck))
             else:
                 done.append(keep(stuck.select("id", F.col("k").alias("c"))))
-        walkers = cut(arrived) if step % EVERY == EVERY - 1 else keep(arrived)
+        ends = step % EVERY == EVERY - 1
+        walkers = cut(arrived) if ends else keep(arrived)
         if p.counters:
             a = thinned.agg(F.sum("k"), F.sum("stopped"), F.count_if(F.col("k") > F.col("stopped"))).first()
             b = live.agg(F.sum("had"), F.sum(F.size("reps"))).first()
             c = walkers.agg(F.count("*"), F.coalesce(F.sum("k"), F.lit(0))).first()
             steps.append({"step": step, "alive_in": a[0] or 0, "stopped": a[1] or 0, "active": a[2] or 0, "refresh_tried": b[0] or 0, "refresh_sent": b[1] or 0, "destinations": c[0], "alive_out": c[1]})
-        if p.horizon is None and (steps[-1]["destinations"] == 0 if p.counters else walkers.isEmpty()):
+        if ends and step < last - 1:  # so that a long walk's plan and cache stay as small as a short one's
+            done = [cut(_united(done))]
+            while cached:
+                cached.pop().unpersist()
+        if p.horizon is None and (steps[-1]["destinations"] == 0 if p.counters else ends and walkers.isEmpty()):
             break
     done.append(walkers.select("id", F.col("k").alias("c")))
-    out = done[0]
-    for d in done[1:]:
-        out = out.unionByName(d)
-    return WalkResult(out.groupBy("id").agg(F.sum("c").cast("long").alias("c")).where("c > 0"), steps, cached)
+    return WalkResult(_united(done), steps, cached)
 
 
 def estimate(tally: DataFrame, n_walkers: int, normalize: str = "n") -> DataFrame:
