@@ -64,6 +64,34 @@ def test_lm_scores(spark):
     assert alone[0].train_tokens == 0 and alone[0].n_known == 0
 
 
+def test_pairs_are_a_distribution_and_survive_packing(tmp_path):
+    rng = np.random.default_rng(3)
+    totals = np.array([50, 40, 30, 0, 20])
+    counts = np.unique(rng.integers(0, 5, (60, 2)), axis=0)
+    counts = counts[counts[:, 0] != 3]
+    times = rng.integers(1, 6, len(counts))
+    trie = lm.Trie.of_pairs(counts[:, 0], counts[:, 1], times, totals)
+    (tmp_path / "pairs").write_bytes(trie.pack())
+    trie = lm.Trie.open(str(tmp_path / "pairs"))
+    alone = np.log10([0.1, 0.2, 0.3, 0.25, 0.15])
+    told = dict(zip(map(tuple, counts.tolist()), times.tolist()))
+    for before in range(5):
+        got = 10.0 ** trie.after(np.full(5, before), np.arange(5), alone)
+        share = [max(told.get((before, w), 0) - lm.PAIR_DISCOUNT, 0) / max(totals[before], 1) for w in range(5)]
+        want = np.array(share) + (1 - sum(share)) * 10.0**alone
+        assert np.allclose(got, want, rtol=2e-3) and abs(got.sum() - 1) < 2e-3
+    assert np.allclose(trie.after(np.full(5, -1), np.arange(5), alone), alone)
+
+
+def test_order_of_words_counts(spark):
+    held = lambda i: zlib.crc32(str(i).encode()) % 10 == 0
+    ids = iter(i for i in range(1000) if not held(i))
+    rows = [(next(ids), "red fox sees blue owl") for _ in range(30)] + [(next(i for i in range(1000) if held(i)), "red fox sees blue owl"), (next(i for i in range(500, 1000) if held(i)), "owl blue sees fox red")]
+    got = lm.score(spark.createDataFrame(rows, "doc_id long, text string")).where("held_out").orderBy("doc_id").collect()
+    assert abs(got[0].base_score - got[1].base_score) < 1e-9
+    assert got[0].score > got[1].score + 3 and got[0].score > got[0].base_score
+
+
 def test_quality_on_held_out_labels(spark):
     docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
     got = quality.classify(docs, labels).join(labels, "doc_id").where("held_out and quality is not null").toPandas()

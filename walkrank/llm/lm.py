@@ -2,14 +2,17 @@
 
 The model: a word has its share of the training words, less a discount, and all discounts together (the share of words
 that occur once, which estimates that of unseen words) are spread over all words by their spelling: an n-gram model over bytes (with a start and an end mark), smoothed by interpolation of the
-Witten-Bell kind down to equal shares, learned from every distinct training word. After each word a text ends with
-the share that ends have among training tokens. So every text has a probability, known words or not.
+Witten-Bell kind down to equal shares, learned from every distinct training word. A text ends with
+the share that ends have among training tokens. The word before (or the start of the text) tells more: each pair of
+tokens with over a 2**-22 share of all training tokens has its count, less a discount, over that of its first word; what
+this leaves is spread as above. So every text has a probability, known words or not.
 
 The trie: level n holds the n-grams in path order, as last symbols, monotone pointers to their children
 (Elias-Fano: low bits packed, high bits unary) and, quantised, their smoothed probability and the weight that is left for
 shorter contexts. A query walks all positions of many words at once: the n-gram that ends at a position is
 the child, under the position's symbol, of the (n-1)-gram that ends before it, found by successor search among the
-children of that context. Levels are plain arrays behind one header, so a file of them can be mapped into memory.
+children of that context. Levels are plain arrays behind one header, so a file of them can be mapped into memory. Pairs of
+words are such a trie of two levels, with the numbers of words as symbols.
 
 Scoring: words are counted over all training texts. Words with over a 2**-20 share of all tokens (so at most 2**20 of them,
 whatever the corpus) are broadcast with their counts; in a document all other words are dealt out by word, meet their
@@ -27,6 +30,7 @@ import mmap
 import struct
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -38,6 +42,12 @@ from walkrank.llm.common import arrow_map, bucket_of, cut, keyed
 ORDER = 6
 MOST = 4_000_000
 HOT_SHARE = 1 << 20
+PAIR_SHARE = 1 << 22
+PAIR_DISCOUNT = 0.75
+#: Tokens handled at once.
+RUN = 1 << 18
+#: Stands for a text's end, and as a context for its start; can't be a word.
+EDGE = b"\n"
 START, END = 0x20, 0x0A
 SYMBOLS = 257.0
 #: Steps of a quantised logarithm to base 10.
@@ -97,13 +107,18 @@ class EliasFano:
         return (high << self.low_bits) | (low & np.uint64((1 << self.low_bits) - 1)).astype(np.int64)
 
 
+def code(x: np.ndarray) -> np.ndarray:
+    """Quantised -log10."""
+    return np.minimum(np.round(-np.log10(np.maximum(x, 1e-32)) * SCALE), 65535).astype(np.uint16)
+
+
 class Trie:
     """Levels 1..order: symbols, child pointers, quantised -log10 of probability and of the shorter contexts' weight."""
 
     def __init__(self, levels: list[tuple[np.ndarray, EliasFano | None, np.ndarray, np.ndarray]]):
         self.levels = levels
         self.first = np.full(256, -1, dtype=np.int64)
-        if levels:
+        if levels and levels[0][0].dtype == np.uint8:
             self.first[levels[0][0]] = np.arange(len(levels[0][0]))
 
     @classmethod
@@ -132,13 +147,37 @@ class Trie:
                 pointers = EliasFano.of(np.searchsorted(got, np.arange(len(keys) + 1)))
             else:
                 left, pointers = np.ones(len(keys)), None
-            code = lambda x: np.minimum(np.round(-np.log10(np.maximum(x, 1e-32)) * SCALE), 65535).astype(np.uint16)
             levels.append(((keys & np.uint64(255)).astype(np.uint8), pointers, code(p), code(left)))
         return cls(levels)
 
+    @classmethod
+    def of_pairs(cls, first: np.ndarray, second: np.ndarray, counts: np.ndarray, totals: np.ndarray) -> Trie:
+        """Two levels over words 0..len(totals)-1 from counts of pairs (no pair twice) and of words as first ones.
+
+        Level 2 holds (count - discount) / total, level 1 the share that is left for words by themselves.
+        """
+        by = np.lexsort((second, first))
+        first, second, p = first[by], second[by], np.maximum(counts[by] - PAIR_DISCOUNT, 0) / np.maximum(totals[first[by]], 1)
+        left = 1 - np.bincount(first, weights=p, minlength=len(totals))
+        pointers = EliasFano.of(np.searchsorted(first, np.arange(len(totals) + 1)))
+        words, none = np.arange(len(totals), dtype=np.uint32), np.zeros(0, np.uint16)
+        return cls([(words, pointers, none, code(left)), (second.astype(np.uint32), None, code(p), none)])
+
+    def after(self, before: np.ndarray, word: np.ndarray, alone: np.ndarray) -> np.ndarray:
+        """log10 probability of words after words (-1: one not in the trie), given those of the words alone."""
+        (_, _, _, left), (_, _, p, _) = self.levels
+        out = np.where(before >= 0, left[before] / -SCALE, 0.0) + alone
+        both = np.flatnonzero((before >= 0) & (word >= 0))
+        pairs, back = np.unique(before[both] << 32 | word[both], return_inverse=True)
+        node = self.child(0, pairs >> 32, pairs & 0xFFFFFFFF)[back]
+        hit = node >= 0
+        out[both[hit]] = np.log10(10.0 ** out[both[hit]] + 10.0 ** (p[node[hit]] / -SCALE))
+        return out
+
     def pack(self) -> bytes:
         """A header of sizes, then the levels' arrays, each at a multiple of 8 bytes."""
-        head, parts = [struct.pack("<q", len(self.levels))], []
+        wide = int(any(x[0].dtype == np.uint32 for x in self.levels))
+        head, parts = [struct.pack("<2q", len(self.levels), wide)], []
         for symbols, ef, p, left in self.levels:
             arrays = [symbols, p, left, *((ef.low, ef.high) if ef else (np.zeros(0, np.uint64),) * 2)]
             head.append(struct.pack("<7q", *map(len, arrays), ef.n if ef else -1, ef.low_bits if ef else 0))
@@ -147,12 +186,12 @@ class Trie:
 
     @classmethod
     def unpack(cls, raw: bytes | mmap.mmap) -> Trie:
-        (count,) = struct.unpack_from("<q", raw, 0)
-        sizes = [struct.unpack_from("<7q", raw, 8 + 56 * k) for k in range(count)]
-        at, levels = 8 + 56 * count, []
+        count, wide = struct.unpack_from("<2q", raw, 0)
+        sizes = [struct.unpack_from("<7q", raw, 16 + 56 * k) for k in range(count)]
+        at, levels = 16 + 56 * count, []
         for *lengths, n, bits in sizes:
             arrays = []
-            for kind, size in zip((np.uint8, np.uint16, np.uint16, np.uint64, np.uint64), lengths):
+            for kind, size in zip((np.uint32 if wide else np.uint8, np.uint16, np.uint16, np.uint64, np.uint64), lengths):
                 arrays.append(np.frombuffer(raw, dtype=kind, count=size, offset=at))
                 at += arrays[-1].nbytes + -arrays[-1].nbytes % 8
             levels.append((arrays[0], EliasFano(n, bits, arrays[3], arrays[4]) if n >= 0 else None, arrays[1], arrays[2]))
@@ -235,6 +274,43 @@ def split(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8").lower().split()
 
 
+def runs(texts: list[str | None], at: dict[bytes, int]) -> Iterator[tuple[int, int, list[list[bytes]], np.ndarray]]:
+    """(start, stop, tokens of each text, numbers of all these tokens or -1), about RUN tokens at a time; EDGE ends a text."""
+    start, held, size = 0, [], 0
+    for i, t in enumerate(texts):
+        held.append([*split(t), EDGE])
+        size += len(held[-1])
+        if size >= RUN or i == len(texts) - 1:
+            yield start, i + 1, held, np.fromiter(map(at.get, chain.from_iterable(held), repeat(-1)), np.int64, size)
+            start, held, size = i + 1, [], 0
+
+
+def pair_counts(texts: DataFrame, words) -> DataFrame:
+    """(key, c): counts of pairs of neighbours among broadcast words and the texts' edges; key: both numbers."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = {w: i for i, w in enumerate(words.value[0])}
+        edge = at[EDGE] = len(at)
+        kept, size = [], 0
+
+        def flush() -> pa.RecordBatch:
+            keys, c = np.unique(np.concatenate(kept) if kept else np.zeros(0, np.int64), return_counts=True)
+            kept.clear()
+            return pa.RecordBatch.from_arrays([pa.array(keys), pa.array(c.astype(np.int64))], names=["key", "c"])
+
+        for b in batches:
+            for *_, now in runs(b.column("text").to_pylist(), at):
+                before = np.concatenate(([edge], now[:-1]))
+                kept.append((before << 32 | now)[(before >= 0) & (now >= 0)])
+                size += len(kept[-1])
+                if size > 1 << 21:
+                    yield flush()
+                    size = 0
+        yield flush()
+
+    return arrow_map(texts, work, "key bigint, c bigint").groupBy("key").agg(F.sum("c").alias("c"))
+
+
 def word_counts(texts: DataFrame) -> DataFrame:
     """(word binary, c): counts of the words of texts (text)."""
 
@@ -304,7 +380,13 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     # more than a 2**-20 share of the tokens: there are fewer than 2**20 such words in any corpus
     hot = counts.where(F.col("c") > n_all / HOT_SHARE).toArrow()
     spark = docs.sparkSession
-    model = spark.sparkContext.broadcast((trie.pack(), hot.column("word").to_pylist(), hot.column("c").to_numpy()))
+    hot_c = hot.column("c").to_numpy()
+    words = spark.sparkContext.broadcast((hot.column("word").to_pylist(), hot_c))
+    # more than a 2**-22 share: there are fewer than 2**22 such pairs in any corpus
+    told = pair_counts(taught.select("text"), words).where(F.col("c") > n_all / PAIR_SHARE).toArrow()
+    key = told.column("key").to_numpy()
+    pairs = Trie.of_pairs(key >> 32, key & 0xFFFFFFFF, told.column("c").to_numpy(), np.append(hot_c, ends))
+    model = spark.sparkContext.broadcast((trie.pack(), pairs.pack()))
     scale = float(np.log10(n_all + 0.1 * (v_all + 1)))
     end_p = (ends + 0.5) / (n_all + 1.0)
     go_on, stop = float(np.log10(1 - end_p)), float(np.log10(end_p))
@@ -312,33 +394,30 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     base_type = dict(rows.dtypes)["doc_id"]
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        packed, words, c = model.value
-        at = {w: i for i, w in enumerate(words)}
-        base = (np.log10(c + 0.1) - scale).tolist()
-        spelled = (word_log10(c, Trie.unpack(packed).spell(words), kinds, once, tokens) + go_on).tolist() if words else []
-        for whole in batches:
-            for start in range(0, whole.num_rows, 512):
-                b = whole.slice(start, 512)
+        (known_words, c), (packed, packed_pairs) = words.value, model.value
+        at = {w: i for i, w in enumerate(known_words)}
+        at[EDGE] = len(at)
+        base = np.append(np.log10(c + 0.1) - scale, [end_base, 0.0])  # the last is for -1
+        alone = np.append(word_log10(c, Trie.unpack(packed).spell(known_words), kinds, once, tokens) + go_on if known_words else [], [stop, 0.0])
+        told = np.append(np.ones(len(known_words), np.int64), [int(ends > 0), 0])
+        after = Trie.unpack(packed_pairs).after
+        for b in batches:
+            for start, end, texts, now in runs(b.column("text").to_pylist(), at):
+                before = np.concatenate(([at[EDGE]], now[:-1]))
+                each = np.concatenate([after(before[k : k + RUN], now[k : k + RUN], alone[now[k : k + RUN]]) for k in range(0, len(now), RUN)])
+                sizes = np.array([len(t) for t in texts])
+                first = np.cumsum(sizes) - sizes
+                s_base, s_model, known = (np.add.reduceat(x, first).tolist() for x in (base[now], each, told[now]))
                 ids, ths, out_words, counts_ = [], [], [], []
-                for doc_id, th, t in zip(b.column("doc_id").to_pylist(), b.column("th").to_pylist(), b.column("text")):
-                    own = split(t.as_py())
-                    s_base, s_model, known = end_base, stop, int(ends > 0)
-                    tail = 0
-                    for w, k in Counter(own).items():
-                        i = at.get(w)
-                        if i is None:
-                            out_words.append(w)
-                            counts_.append(k)
-                            tail += 1
-                        else:
-                            s_base += k * base[i]
-                            s_model += k * spelled[i]
-                            known += k
+                for i, (doc_id, th, own) in enumerate(zip(b.column("doc_id").slice(start, end - start).to_pylist(), b.column("th").slice(start, end - start).to_pylist(), texts)):
+                    rest = Counter(own[k] for k in np.flatnonzero(now[first[i] : first[i] + sizes[i]] < 0).tolist())
+                    out_words.extend(rest)
+                    counts_.extend(rest.values())
                     # one row for the document itself; a space can't be in a word
-                    out_words.append(b" " + struct.pack("<dqq", s_base, known, len(own) + 1) + struct.pack("<d", s_model))
+                    out_words.append(b" " + struct.pack("<dqqd", s_base[i], known[i], len(own), s_model[i]))
                     counts_.append(0)
-                    ids.extend([doc_id] * (tail + 1))
-                    ths.extend([th] * (tail + 1))
+                    ids.extend([doc_id] * (len(rest) + 1))
+                    ths.extend([th] * (len(rest) + 1))
                 yield pa.RecordBatch.from_arrays([pa.array(ids, b.column("doc_id").type), pa.array(ths, pa.int64()), pa.array(out_words, pa.binary()), pa.array(counts_, pa.int32())], names=["doc_id", "th", "word", "k"])
 
     dealt = arrow_map(rows.select("doc_id", keyed(F.col("text")).alias("th"), "text"), deal, f"doc_id {base_type}, th bigint, word binary, k int")
