@@ -92,6 +92,38 @@ def test_order_of_words_counts(spark):
     assert got[0].score > got[1].score + 3 and got[0].score > got[0].base_score
 
 
+def test_rare_pairs_count_whatever_is_broadcast(spark, monkeypatch):
+    docs = pd.read_parquet(f"{DATA}/documents.parquet").head(150)[["doc_id", "text"]]
+    frame = spark.createDataFrame([*((int(i), t) for i, t in docs.itertuples(index=False)), (7, None), (None, "a b"), (None, "a b")], "doc_id long, text string")
+    held = lambda i: zlib.crc32(("" if i is None else str(i)).encode()) % 10 == 0
+    rows = [(r.doc_id, r.text, held(r.doc_id)) for r in frame.collect()]
+    words, pairs, follow = Counter(), Counter(), Counter()
+    for _, t, out in rows:
+        if not out:
+            w = [lm.EDGE, *lm.split(t), lm.EDGE]
+            words.update(w[1:])
+            pairs.update(zip(w, w[1:]))
+    follow.update(a for a, _ in pairs)
+    ends, n = words[lm.EDGE], sum(words.values())
+    only = {w: c for w, c in words.items() if w != lm.EDGE}
+    trie = lm.train(spark.createDataFrame(list(only.items()), "word binary, c bigint"))
+    end_p = (ends + 0.5) / (n + 1.0)
+    seen = sorted({w for _, t, _ in rows for w in lm.split(t)})
+    alone = dict(zip(seen, 10.0 ** lm.word_log10(np.array([words[w] for w in seen], float), trie.spell(seen), len(only), sum(c == 1 for c in only.values()), n - ends) * (1 - end_p))) | {lm.EDGE: end_p}
+    want = []
+    for i, t, _ in rows:
+        w = [lm.EDGE, *lm.split(t), lm.EDGE]
+        p = [(max(pairs[a, b] - lm.PAIR_DISCOUNT, 0) + lm.PAIR_DISCOUNT * follow[a] * alone[b]) / words[a] if words[a] else alone[b] for a, b in zip(w, w[1:])]
+        want.append((str(i), len(p), sum(map(math.log10, p))))
+    want.sort()
+    for share in (1 << 20, 1 << 7):  # the second leaves little to broadcast
+        monkeypatch.setattr(lm, "HOT_SHARE", share)
+        monkeypatch.setattr(lm, "PAIR_SHARE", share)
+        got = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lm.score(frame).collect())
+        assert [x[:2] for x in got] == [x[:2] for x in want]
+        assert all(abs(a[2] - b[2]) < 1e-3 * a[1] + 1e-6 for a, b in zip(got, want))
+
+
 def test_quality_on_held_out_labels(spark):
     docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
     got = quality.classify(docs, labels).join(labels, "doc_id").where("held_out and quality is not null").toPandas()

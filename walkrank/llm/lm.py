@@ -4,8 +4,9 @@ The model: a word has its share of the training words, less a discount, and all
 that occur once, which estimates that of unseen words) are spread over all words by their spelling: an n-gram model over bytes (with a start and an end mark), smoothed by interpolation of the
 Witten-Bell kind down to equal shares, learned from every distinct training word. A text ends with
 the share that ends have among training tokens. The word before (or the start of the text) tells more: each pair of
-tokens with over a 2**-22 share of all training tokens has its count, less a discount, over that of its first word; what
-this leaves is spread as above. So every text has a probability, known words or not.
+tokens in the training texts, however rare, has its count, less a discount, over that of its first word; what
+this leaves (the discount times the word's different successors, over its count) is spread as above. So every text has a
+probability, known words or not.
 
 The trie: level n holds the n-grams in path order, as last symbols, monotone pointers to their children
 (Elias-Fano: low bits packed, high bits unary) and, quantised, their smoothed probability and the weight that is left for
@@ -14,10 +15,11 @@ the child, under the position's symbol, of the (n-1)-gram that ends before it, f
 children of that context. Levels are plain arrays behind one header, so a file of them can be mapped into memory. Pairs of
 words are such a trie of two levels, with the numbers of words as symbols.
 
-Scoring: words are counted over all training texts. Words with over a 2**-20 share of all tokens (so at most 2**20 of them,
-whatever the corpus) are broadcast with their counts; in a document all other words are dealt out by word, meet their
-count and are scored there, each distinct word once. The trie's order is the highest, up to ORDER, at which
-it has at most MOST n-grams, so its size is bounded too.
+Scoring: words and pairs are counted over all training texts. Words with over a 2**-20 share of all tokens (so at most 2**20
+of them, whatever the corpus) and pairs of these with over a 2**-22 share are broadcast; this saves shuffling and changes no score. In a
+document all other words and pairs are dealt out, meet their counts and are scored there. A word by itself gives the log
+of its share and of what it leaves to successors; a known pair adds what it gains over these, so an unknown pair adds nothing. Pairs
+are known by two 64-bit digests of their words.
 
 Words: runs of bytes other than ASCII white space, A-Z lower-cased. Null texts are empty (one end token). Rows that repeat
 id and text get the same result each; a null id counts as empty text in the fold, so it is held out.
@@ -28,9 +30,10 @@ from __future__ import annotations
 
 import mmap
 import struct
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
-from itertools import chain, repeat
+from hashlib import blake2b
+from itertools import chain, count, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -151,20 +154,24 @@ class Trie:
         return cls(levels)
 
     @classmethod
-    def of_pairs(cls, first: np.ndarray, second: np.ndarray, counts: np.ndarray, totals: np.ndarray) -> Trie:
+    def of_pairs(cls, first: np.ndarray, second: np.ndarray, counts: np.ndarray, totals: np.ndarray, left: np.ndarray | None = None) -> Trie:
         """Two levels over words 0..len(totals)-1 from counts of pairs (no pair twice) and of words as first ones.
 
-        Level 2 holds (count - discount) / total, level 1 the share that is left for words by themselves.
+        Level 2 holds (count - discount) / total, level 1 the share that is left for words by themselves: `left`, or what these pairs leave.
         """
         by = np.lexsort((second, first))
         first, second, p = first[by], second[by], np.maximum(counts[by] - PAIR_DISCOUNT, 0) / np.maximum(totals[first[by]], 1)
-        left = 1 - np.bincount(first, weights=p, minlength=len(totals))
+        left = 1 - np.bincount(first, weights=p, minlength=len(totals)) if left is None else left
         pointers = EliasFano.of(np.searchsorted(first, np.arange(len(totals) + 1)))
         words, none = np.arange(len(totals), dtype=np.uint32), np.zeros(0, np.uint16)
         return cls([(words, pointers, none, code(left)), (second.astype(np.uint32), None, code(p), none)])
 
     def after(self, before: np.ndarray, word: np.ndarray, alone: np.ndarray) -> np.ndarray:
         """log10 probability of words after words (-1: one not in the trie), given those of the words alone."""
+        return self.told_after(before, word, alone)[0]
+
+    def told_after(self, before: np.ndarray, word: np.ndarray, alone: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same, and which of the pairs are in the trie."""
         (_, _, _, left), (_, _, p, _) = self.levels
         out = np.where(before >= 0, left[before] / -SCALE, 0.0) + alone
         both = np.flatnonzero((before >= 0) & (word >= 0))
@@ -172,7 +179,9 @@ class Trie:
         node = self.child(0, pairs >> 32, pairs & 0xFFFFFFFF)[back]
         hit = node >= 0
         out[both[hit]] = np.log10(10.0 ** out[both[hit]] + 10.0 ** (p[node[hit]] / -SCALE))
-        return out
+        told = np.zeros(len(before), dtype=bool)
+        told[both[hit]] = True
+        return out, told
 
     def pack(self) -> bytes:
         """A header of sizes, then the levels' arrays, each at a multiple of 8 bytes."""
@@ -207,9 +216,9 @@ class Trie:
         """Of nodes in `level` (from 0; -1: none): the child with that symbol, or -1."""
         out = np.full(len(parent), -1, dtype=np.int64)
         live = np.flatnonzero(parent >= 0)
-        if not len(live):
-            return out
         pointers, symbols = self.levels[level][1], self.levels[level + 1][0]
+        if not len(live) or not len(symbols):
+            return out
         p = parent[live]
         lo, hi = np.split(pointers.at(np.concatenate((p, p + 1))), 2)
         end, want = hi.copy(), symbol[live]
@@ -285,30 +294,54 @@ def runs(texts: list[str | None], at: dict[bytes, int]) -> Iterator[tuple[int, i
             start, held, size = i + 1, [], 0
 
 
-def pair_counts(texts: DataFrame, words) -> DataFrame:
-    """(key, c): counts of pairs of neighbours among broadcast words and the texts' edges; key: both numbers."""
+def digest(word: bytes) -> bytes:
+    return blake2b(word, digest_size=8).digest()
+
+
+def pair_keys(before: np.ndarray, word: np.ndarray, digests: np.ndarray) -> pa.Array:
+    """A space, which no word holds, and the digests of both words."""
+    raw = np.full((len(before), 17), 0x20, dtype=np.uint8)
+    raw[:, 1:9], raw[:, 9:] = digests[before], digests[word]
+    return pa.Array.from_buffers(pa.binary(), len(raw), [None, pa.py_buffer(np.arange(0, 17 * len(raw) + 1, 17, dtype=np.int32)), pa.py_buffer(raw)])
+
+
+def numbered(index: dict[bytes, int], tokens: Iterator[bytes], size: int) -> np.ndarray:
+    """Numbers of tokens; new ones get the next number in `index`, a defaultdict that counts."""
+    return np.fromiter(map(index.__getitem__, tokens), np.int64, size)
+
+
+def digests_of(index: dict[bytes, int]) -> np.ndarray:
+    return np.frombuffer(b"".join(map(digest, index)), dtype=np.uint8).reshape(len(index), 8)
+
+
+def pair_counts(texts: DataFrame) -> DataFrame:
+    """(key, c): counts of all pairs of neighbours, the texts' edges among them."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = {w: i for i, w in enumerate(words.value[0])}
-        edge = at[EDGE] = len(at)
+        index: dict[bytes, int] = defaultdict(count().__next__)
         kept, size = [], 0
 
         def flush() -> pa.RecordBatch:
-            keys, c = np.unique(np.concatenate(kept) if kept else np.zeros(0, np.int64), return_counts=True)
+            pairs, c = np.unique(np.concatenate(kept), return_counts=True)
+            keys = pair_keys(pairs >> 32, pairs & 0xFFFFFFFF, digests_of(index))
             kept.clear()
-            return pa.RecordBatch.from_arrays([pa.array(keys), pa.array(c.astype(np.int64))], names=["key", "c"])
+            index.clear()
+            index.default_factory = count().__next__
+            return pa.RecordBatch.from_arrays([keys, pa.array(c.astype(np.int64))], names=["key", "c"])
 
         for b in batches:
-            for *_, now in runs(b.column("text").to_pylist(), at):
-                before = np.concatenate(([edge], now[:-1]))
-                kept.append((before << 32 | now)[(before >= 0) & (now >= 0)])
-                size += len(kept[-1])
+            for _, _, held, now in runs(b.column("text").to_pylist(), {}):
+                edge = index[EDGE]
+                own = numbered(index, chain.from_iterable(held), len(now))
+                kept.append(np.concatenate(([edge], own[:-1])) << 32 | own)
+                size += len(own)
                 if size > 1 << 21:
                     yield flush()
                     size = 0
-        yield flush()
+        if kept:
+            yield flush()
 
-    return arrow_map(texts, work, "key bigint, c bigint").groupBy("key").agg(F.sum("c").alias("c"))
+    return arrow_map(texts, work, "key binary, c bigint").groupBy("key").agg(F.sum("c").alias("c"))
 
 
 def word_counts(texts: DataFrame) -> DataFrame:
@@ -376,40 +409,65 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     ends = taught.count()
     kinds, once, tokens = counts.agg(F.count("*"), F.count_if(F.col("c") == 1), F.coalesce(F.sum("c"), F.lit(0))).first()
     n_all, v_all = tokens + ends, kinds + (1 if ends else 0)
-    trie = train(counts, order, most)
-    # more than a 2**-20 share of the tokens: there are fewer than 2**20 such words in any corpus
-    hot = counts.where(F.col("c") > n_all / HOT_SHARE).toArrow()
     spark = docs.sparkSession
-    hot_c = hot.column("c").to_numpy()
-    words = spark.sparkContext.broadcast((hot.column("word").to_pylist(), hot_c))
-    # more than a 2**-22 share: there are fewer than 2**22 such pairs in any corpus
-    told = pair_counts(taught.select("text"), words).where(F.col("c") > n_all / PAIR_SHARE).toArrow()
-    key = told.column("key").to_numpy()
-    pairs = Trie.of_pairs(key >> 32, key & 0xFFFFFFFF, told.column("c").to_numpy(), np.append(hot_c, ends))
-    model = spark.sparkContext.broadcast((trie.pack(), pairs.pack()))
+    spelling = spark.sparkContext.broadcast(train(counts, order, most).pack())
     scale = float(np.log10(n_all + 0.1 * (v_all + 1)))
     end_p = (ends + 0.5) / (n_all + 1.0)
     go_on, stop = float(np.log10(1 - end_p)), float(np.log10(end_p))
     end_base = float(np.log10(ends + 0.1)) - scale
     base_type = dict(rows.dtypes)["doc_id"]
 
+    def by_itself(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trie = Trie.unpack(spelling.value)
+        for b in batches:
+            words = b.column("word").to_pylist()
+            if words:
+                alone = word_log10(b.column("c").to_numpy(), trie.spell(words), kinds, once, tokens) + go_on
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(map(digest, words), pa.binary()), pa.array(alone)], names=["word", "c", "h", "alone"])
+
+    pairs = cut(pair_counts(taught.select("text")))
+    # what a word leaves to its successors by themselves: the discounts of its pairs
+    spread = pairs.groupBy(F.substring("key", 2, 8).alias("h")).agg((F.count("*") * PAIR_DISCOUNT).alias("off"))
+    edge = spark.createDataFrame([(EDGE, ends, digest(EDGE), stop)], "word binary, c bigint, h binary, alone double")
+    known = cut(arrow_map(counts, by_itself, "word binary, c bigint, h binary, alone double").unionByName(edge).join(spread.hint("merge"), "h", "left"))
+    # at most 2**20 words and 2**22 pairs, to save shuffling
+    hot = known.where((F.col("c") > n_all / HOT_SHARE) & (F.col("word") != F.lit(EDGE))).unionByName(known.where(F.col("word") == F.lit(EDGE))).select("word", "c", "alone", (F.coalesce("off", "c") / F.greatest("c", F.lit(1))).alias("left")).toArrow()
+    hot_words, (hot_c, hot_alone, hot_left) = hot.column("word").to_pylist(), (hot.column(x).to_numpy() for x in ("c", "alone", "left"))
+    last = np.argsort(np.array([w == EDGE for w in hot_words]), kind="stable")  # the edge comes last
+    hot_words, hot_c, hot_alone, hot_left = [hot_words[i] for i in last], hot_c[last], hot_alone[last], np.where(hot_c > 0, hot_left, 1.0)[last]
+    told = pairs.where(F.col("c") > n_all / PAIR_SHARE).toArrow()
+    both = np.frombuffer(b"".join(x.cast(pa.binary(17)).buffers()[1].to_pybytes()[: 17 * len(x)] for x in told.column("key").chunks), np.uint8).reshape(-1, 17)[:, 1:].copy().view(np.uint64)
+    own = np.frombuffer(b"".join(map(digest, hot_words)), np.uint64)
+    by = np.argsort(own)
+    place = by[np.minimum(np.searchsorted(own[by], both), len(own) - 1)]
+    ok = (own[place] == both).all(axis=1)
+    common = Trie.of_pairs(place[ok, 0], place[ok, 1], told.column("c").to_numpy()[ok], hot_c, hot_left)
+    model = spark.sparkContext.broadcast((hot_words[:-1], hot_c[:-1], hot_alone[:-1], common.pack()))
+    share = F.greatest(F.col("c") - PAIR_DISCOUNT, F.lit(0.0)) / (F.col("off") * F.pow(F.lit(10.0), F.col("alone")))
+    second = known.select(F.col("h").alias("h2"), "alone").hint("merge")
+    gained = pairs.join(spread.hint("merge"), F.substring("key", 2, 8) == F.col("h")).join(second, F.substring("key", 10, 8) == F.col("h2"))
+    learned = known.select("word", "c", "alone", F.coalesce(F.log10(F.col("off") / F.col("c")), F.lit(0.0)).alias("x")).union(
+        gained.select("key", F.lit(None).cast("long"), F.lit(None).cast("double"), F.log10(1 + share)))
+
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (known_words, c), (packed, packed_pairs) = words.value, model.value
+        known_words, c, itself, packed_pairs = model.value
         at = {w: i for i, w in enumerate(known_words)}
         at[EDGE] = len(at)
         base = np.append(np.log10(c + 0.1) - scale, [end_base, 0.0])  # the last is for -1
-        alone = np.append(word_log10(c, Trie.unpack(packed).spell(known_words), kinds, once, tokens) + go_on if known_words else [], [stop, 0.0])
+        alone = np.append(itself, [stop, 0.0])
         told = np.append(np.ones(len(known_words), np.int64), [int(ends > 0), 0])
-        after = Trie.unpack(packed_pairs).after
+        told_after = Trie.unpack(packed_pairs).told_after
+        names = ["doc_id", "th", "word", "k"]
         for b in batches:
             for start, end, texts, now in runs(b.column("text").to_pylist(), at):
                 before = np.concatenate(([at[EDGE]], now[:-1]))
-                each = np.concatenate([after(before[k : k + RUN], now[k : k + RUN], alone[now[k : k + RUN]]) for k in range(0, len(now), RUN)])
+                each, met = map(np.concatenate, zip(*(told_after(before[k : k + RUN], now[k : k + RUN], alone[now[k : k + RUN]]) for k in range(0, len(now), RUN))))
                 sizes = np.array([len(t) for t in texts])
                 first = np.cumsum(sizes) - sizes
                 s_base, s_model, known = (np.add.reduceat(x, first).tolist() for x in (base[now], each, told[now]))
+                doc_ids, hashes = b.column("doc_id").slice(start, end - start), b.column("th").slice(start, end - start)
                 ids, ths, out_words, counts_ = [], [], [], []
-                for i, (doc_id, th, own) in enumerate(zip(b.column("doc_id").slice(start, end - start).to_pylist(), b.column("th").slice(start, end - start).to_pylist(), texts)):
+                for i, (doc_id, th, own) in enumerate(zip(doc_ids.to_pylist(), hashes.to_pylist(), texts)):
                     rest = Counter(own[k] for k in np.flatnonzero(now[first[i] : first[i] + sizes[i]] < 0).tolist())
                     out_words.extend(rest)
                     counts_.extend(rest.values())
@@ -418,23 +476,33 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
                     counts_.append(0)
                     ids.extend([doc_id] * (len(rest) + 1))
                     ths.extend([th] * (len(rest) + 1))
-                yield pa.RecordBatch.from_arrays([pa.array(ids, b.column("doc_id").type), pa.array(ths, pa.int64()), pa.array(out_words, pa.binary()), pa.array(counts_, pa.int32())], names=["doc_id", "th", "word", "k"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids, b.column("doc_id").type), pa.array(ths, pa.int64()), pa.array(out_words, pa.binary()), pa.array(counts_, pa.int32())], names=names)
+                # all other pairs, once a document, with a count below 0
+                index: dict[bytes, int] = defaultdict(count().__next__)
+                edge = index[EDGE]
+                mine = numbered(index, chain.from_iterable(texts), len(now))
+                pairs, which = np.unique((np.concatenate(([edge], mine[:-1])) << 32 | mine)[~met], return_inverse=True)
+                rows_, many = np.unique(np.repeat(np.arange(len(texts)), sizes)[~met] << 32 | which, return_counts=True)
+                doc, pair = rows_ >> 32, pairs[rows_ & 0xFFFFFFFF]
+                yield pa.RecordBatch.from_arrays([doc_ids.take(pa.array(doc)), hashes.take(pa.array(doc)), pair_keys(pair >> 32, pair & 0xFFFFFFFF, digests_of(index)), pa.array((-many).astype(np.int32))], names=names)
 
     dealt = arrow_map(rows.select("doc_id", keyed(F.col("text")).alias("th"), "text"), deal, f"doc_id {base_type}, th bigint, word binary, k int")
-    met = dealt.join(counts.hint("merge"), "word", "left").select("doc_id", "th", "word", "k", "c")
+    met = dealt.join(learned.hint("merge"), "word", "left").select("doc_id", "th", F.when(F.col("k") >= 0, F.col("word")).alias("word"), "k", "c", "alone", "x")
 
     def rate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie = Trie.unpack(model.value[0])
+        trie = Trie.unpack(spelling.value)
         for b in batches:
             if not b.num_rows:
                 continue
             words, k = b.column("word").to_pylist(), b.column("k").to_numpy().astype(np.float64)
-            c = b.column("c").fill_null(0).to_numpy()
+            c, x, alone = (b.column(name).fill_null(0).to_numpy().copy() for name in ("c", "x", "alone"))
             heads = np.flatnonzero(k == 0)
+            new = np.flatnonzero((k > 0) & (c == 0))
             index: dict[bytes, int] = {}
-            own = np.array([index.setdefault(w, len(index)) if n else 0 for w, n in zip(words, k.tolist())])
-            spelled = trie.spell(list(index)) if index else np.zeros(1)
-            base, model_, known = k * (np.log10(c + 0.1) - scale), k * (word_log10(c, spelled[own], kinds, once, tokens) + go_on), np.where(c > 0, k, 0).astype(np.int64)
+            own = np.array([index.setdefault(words[i], len(index)) for i in new.tolist()], dtype=np.int64)
+            if index:
+                alone[new] = word_log10(c[new], trie.spell(list(index))[own], kinds, once, tokens) + go_on
+            base, model_, known = np.where(k > 0, k * (np.log10(c + 0.1) - scale), 0.0), np.abs(k) * (alone + x), np.where(c > 0, k, 0).astype(np.int64)
             n_tokens, copies = np.zeros(len(k), dtype=np.int64), np.zeros(len(k), dtype=np.int64)
             for i in heads.tolist():
                 base[i], known[i], n_tokens[i] = struct.unpack_from("<dqq", words[i], 1)
