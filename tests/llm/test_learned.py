@@ -124,6 +124,14 @@ def test_rare_pairs_count_whatever_is_broadcast(spark, monkeypatch):
         assert all(abs(a[2] - b[2]) < 1e-3 * a[1] + 1e-6 for a, b in zip(got, want))
 
 
+def test_spelling_keeps_its_order_beyond_the_trie(spark):
+    docs = pd.read_parquet(f"{DATA}/documents.parquet").head(60)[["doc_id", "text"]]
+    frame = spark.createDataFrame([*((int(i), t) for i, t in docs.itertuples(index=False)), (None, "unheard-of \u00e9\u4e16")], "doc_id long, text string")
+    small, large = ({r.doc_id: r for r in lm.score(frame, most=most).collect()} for most in (lm.MOST, 0))
+    assert len(small) == len(large) == 61
+    assert all(r.n_tokens == small[i].n_tokens and r.n_known == small[i].n_known and abs(r.score - small[i].score) < 3e-3 * r.n_tokens for i, r in large.items())
+
+
 def test_quality_on_held_out_labels(spark):
     docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
     got = quality.classify(docs, labels).join(labels, "doc_id").where("held_out and quality is not null").toPandas()

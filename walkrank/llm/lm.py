@@ -19,7 +19,8 @@ Scoring: words and pairs are counted over all training texts. Words with over a
 of them, whatever the corpus) and pairs of these with over a 2**-22 share are broadcast; this saves shuffling and changes no score. In a
 document all other words and pairs are dealt out, meet their counts and are scored there. A word by itself gives the log
 of its share and of what it leaves to successors; a known pair adds what it gains over these, so an unknown pair adds nothing. Pairs
-are known by two 64-bit digests of their words.
+are known by two 64-bit digests of their words. The trie's order is the same at every size: with more than MOST n-grams there is no
+trie, and each distinct word is spelled by joins with the table of n-grams, level by level, with the same smoothing.
 
 Words: runs of bytes other than ASCII white space, A-Z lower-cased. Null texts are empty (one end token). Rows that repeat
 id and text get the same result each; a null id counts as empty text in the fold, so it is held out.
@@ -256,10 +257,8 @@ class Trie:
         ones = self.levels[0]
         cost = np.where(node >= 0, ones[2][node] / SCALE, 0.0)
         unseen = node < 0
-        if unseen.any():  # a byte that training lacks gets its equal share of what is left
-            told = ones[0] != START
-            kept = 1 - (10.0 ** (-ones[2][told] / SCALE)).sum()
-            cost[unseen] = -np.log10(max(kept, 1e-12) / (SYMBOLS - told.sum()))
+        if unseen.any():  # a byte that training lacks gets its equal share of what is left, as the start mark has, which is never told
+            cost[unseen] = ones[2][self.first[START]] / SCALE
         for n in range(1, len(self.levels)):
             context = np.concatenate(([-1], node[:-1]))
             context[place < n] = -1
@@ -388,19 +387,58 @@ def gram_counts(counts: DataFrame, order: int = ORDER) -> DataFrame:
     return arrow_map(counts.select("word"), work, "n int, key bigint, c bigint").groupBy("n", "key").agg(F.sum("c").alias("c"))
 
 
-def train(counts: DataFrame, order: int = ORDER, most: int = MOST) -> Trie:
-    """The trie of (word, c), of the highest order at which it has at most `most` n-grams."""
+def train(counts: DataFrame, order: int = ORDER, most: int = MOST) -> Trie | None:
+    """The trie of (word, c), or None if it would have more than `most` n-grams."""
     grams = cut(gram_counts(counts, order))
-    sizes = {r.n: r["size"] for r in grams.groupBy("n").agg(F.count("*").alias("size")).collect()}
-    while order > 1 and sum(sizes.get(n, 0) for n in range(1, order + 1)) > most:
-        order -= 1
-    if not sizes:
+    size = grams.count()
+    if size > most:
+        return None
+    if not size:
         return Trie([])
-    table = grams.where(F.col("n") <= order).toArrow()  # at most `most` rows
+    table = grams.toArrow()  # at most `most` rows
     n, key, c = (table.column(x).to_numpy() for x in ("n", "key", "c"))
     return Trie.train([(key[n == k].astype(np.uint64), c[n == k]) for k in range(1, order + 1)])
 
 
+def spell_apart(taught: DataFrame, others: DataFrame, order: int = ORDER) -> DataFrame:
+    """(word, spelled): what the trie of the words `taught` gives for them and `others`, by joins only."""
+    spark = taught.sparkSession
+    grams = cut(gram_counts(taught, order).unionByName(gram_counts(others, order).withColumn("c", F.lit(0).cast("long"))).groupBy("n", "key").agg(F.sum("c").alias("c")))
+    ones = grams.where("n = 1").toArrow()  # at most 256 rows
+    key, c = (ones.column(x).to_numpy() for x in ("key", "c"))
+    told = np.where(key == START, 0, c)
+    p = (told + (told > 0).sum() / SYMBOLS) / (told.sum() + (told > 0).sum())
+    below = spark.createDataFrame(list(zip(key.tolist(), (-np.log10(p)).tolist())), "key long, cost double")
+    costs = below.select(F.lit(1).alias("n"), "key", "cost")
+    for n in range(2, order + 1):
+        level = grams.where(F.col("n") == n).select("key", "c", F.shiftrightunsigned("key", 8).alias("context"), F.col("key").bitwiseAND((1 << 8 * (n - 1)) - 1).alias("shorter"))
+        follow = level.where("c > 0").groupBy("context").agg(F.sum("c").alias("total"), F.count("*").alias("kinds"))
+        met = level.join(follow, "context", "left").join(below.select(F.col("key").alias("shorter"), F.col("cost").alias("low")), "shorter")
+        seen = -F.log10((F.col("c") + F.col("kinds") * F.pow(F.lit(10.0), -F.col("low"))) / (F.col("total") + F.col("kinds")))
+        left = F.coalesce(-F.log10(F.col("kinds") / (F.col("total") + F.col("kinds"))), F.lit(0.0))
+        below = cut(met.select("key", F.when(F.col("c") > 0, seen).otherwise(F.col("low") + left).alias("cost")))
+        costs = costs.union(below.select(F.lit(n), "key", "cost"))
+
+    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if not b.num_rows:
+                continue
+            words = b.column("word").to_pylist()
+            sizes = np.array([len(w) + 2 for w in words])
+            text = np.frombuffer(b" " + b"\n ".join(words) + b"\n", dtype=np.uint8).astype(np.uint64)
+            place = np.arange(len(text)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            key, longest = text.copy(), text.copy()
+            for n in range(2, order + 1):
+                key = np.concatenate(([np.uint64(0)], key[:-1])) << np.uint64(8) | text
+                longest[place >= n - 1] = key[place >= n - 1]
+            kept = np.flatnonzero(place > 0)  # the start mark costs nothing
+            own = np.repeat(np.arange(len(words)), sizes)[kept]
+            yield pa.RecordBatch.from_arrays([b.column("word").take(pa.array(own)), pa.array(np.minimum(place[kept] + 1, order).astype(np.int32)), pa.array(longest[kept].astype(np.int64))], names=["word", "n", "key"])
+
+    every = arrow_map(taught.select("word").union(others.select("word")), places, "word binary, n int, key bigint")
+    return every.join(costs.hint("merge"), ["n", "key"]).groupBy("word").agg((-F.sum("cost")).alias("spelled"))
+
+
 def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST) -> DataFrame:
     """One row for each row of docs: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     rows = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), (bucket_of(F.col("doc_id"), fold) == 0).alias("held_out"))
@@ -410,7 +448,8 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     kinds, once, tokens = counts.agg(F.count("*"), F.count_if(F.col("c") == 1), F.coalesce(F.sum("c"), F.lit(0))).first()
     n_all, v_all = tokens + ends, kinds + (1 if ends else 0)
     spark = docs.sparkSession
-    spelling = spark.sparkContext.broadcast(train(counts, order, most).pack())
+    trie = train(counts, order, most)
+    spelling = None if trie is None else spark.sparkContext.broadcast(trie.pack())
     scale = float(np.log10(n_all + 0.1 * (v_all + 1)))
     end_p = (ends + 0.5) / (n_all + 1.0)
     go_on, stop = float(np.log10(1 - end_p)), float(np.log10(end_p))
@@ -418,18 +457,22 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     base_type = dict(rows.dtypes)["doc_id"]
 
     def by_itself(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie = Trie.unpack(spelling.value)
+        trie = Trie.unpack(spelling.value) if spelling else None
         for b in batches:
             words = b.column("word").to_pylist()
             if words:
-                alone = word_log10(b.column("c").to_numpy(), trie.spell(words), kinds, once, tokens) + go_on
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(map(digest, words), pa.binary()), pa.array(alone)], names=["word", "c", "h", "alone"])
+                alone = word_log10(b.column("c").to_numpy(), trie.spell(words) if trie else b.column("spelled").to_numpy(), kinds, once, tokens) + go_on
+                yield pa.RecordBatch.from_arrays([b.column("word"), b.column("c"), pa.array(map(digest, words), pa.binary()), pa.array(alone)], names=["word", "c", "h", "alone"])
 
     pairs = cut(pair_counts(taught.select("text")))
     # what a word leaves to its successors by themselves: the discounts of its pairs
     spread = pairs.groupBy(F.substring("key", 2, 8).alias("h")).agg((F.count("*") * PAIR_DISCOUNT).alias("off"))
     edge = spark.createDataFrame([(EDGE, ends, digest(EDGE), stop)], "word binary, c bigint, h binary, alone double")
-    known = cut(arrow_map(counts, by_itself, "word binary, c bigint, h binary, alone double").unionByName(edge).join(spread.hint("merge"), "h", "left"))
+    every = counts
+    if trie is None:  # words of held-out texts are spelled here as well
+        others = word_counts(rows.where("held_out").select("text")).join(counts, "word", "left_anti").select("word")
+        every = counts.unionByName(others.withColumn("c", F.lit(0).cast("long"))).join(spell_apart(counts, others, order), "word")
+    known = cut(arrow_map(every, by_itself, "word binary, c bigint, h binary, alone double").unionByName(edge).join(spread.hint("merge"), "h", "left"))
     # at most 2**20 words and 2**22 pairs, to save shuffling
     hot = known.where((F.col("c") > n_all / HOT_SHARE) & (F.col("word") != F.lit(EDGE))).unionByName(known.where(F.col("word") == F.lit(EDGE))).select("word", "c", "alone", (F.coalesce("off", "c") / F.greatest("c", F.lit(1))).alias("left")).toArrow()
     hot_words, (hot_c, hot_alone, hot_left) = hot.column("word").to_pylist(), (hot.column(x).to_numpy() for x in ("c", "alone", "left"))
@@ -490,14 +533,14 @@ def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST)
     met = dealt.join(learned.hint("merge"), "word", "left").select("doc_id", "th", F.when(F.col("k") >= 0, F.col("word")).alias("word"), "k", "c", "alone", "x")
 
     def rate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie = Trie.unpack(spelling.value)
+        trie = Trie.unpack(spelling.value) if spelling else None
         for b in batches:
             if not b.num_rows:
                 continue
             words, k = b.column("word").to_pylist(), b.column("k").to_numpy().astype(np.float64)
+            new = np.flatnonzero((k > 0) & b.column("alone").is_null().to_numpy(zero_copy_only=False))
             c, x, alone = (b.column(name).fill_null(0).to_numpy().copy() for name in ("c", "x", "alone"))
             heads = np.flatnonzero(k == 0)
-            new = np.flatnonzero((k > 0) & (c == 0))
             index: dict[bytes, int] = {}
             own = np.array([index.setdefault(words[i], len(index)) for i in new.tolist()], dtype=np.int64)
             if index:
