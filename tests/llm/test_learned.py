@@ -208,6 +208,18 @@ def test_html(spark):
     assert html_extract.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_html_paths_are_whole():
+    def nested(deep, inner):
+        return "<body>" + "".join(f'<div class="a-level-of-the-template-{chr(97 + i)}">' for i in range(deep)) + inner + "</div>" * deep
+
+    article = '<div class="post"><p>The words of this post, which are many.</p></div>'
+    deep = nested(20, '<div class="teasers"><p>Other.</p></div>' + article)
+    assert html_extract.main_text(html_extract.parse(deep), None) == "The words of this post, which are many."
+    twins = '<div class="a b c wide"><p>A long text that should be taken.</p></div><div class="a b c x"><p>Not it.</p></div>'
+    assert html_extract.main_text(html_extract.parse("<body>" + twins), None) == "A long text that should be taken."
+    assert len(set(html_extract.parse(nested(3000, "<p>x</p>")).paths)) == 3002
+
+
 def test_pipeline_stages_against_plain_ones(spark):
     pytest.importorskip("public_tokenizers")
     import corpus_pipeline as cp

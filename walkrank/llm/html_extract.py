@@ -1,8 +1,9 @@
 """Main text of web pages by consensus of host paths.
 
 A first pass scores each page's containers (text outside links, what kind of element it is) and reports
-the generalised paths (tags with class names, digits masked) of the best few. Spark sums these votes per host
-and picks the winning path, the larger sum first, ties to the lesser path. A second pass takes every page's
+the generalised paths (tags with all their class names and ids, digits masked) of the best few. Paths are told apart by their depth and a
+digest of the whole path. Spark sums these votes per host
+and picks the winning path, the larger sum first, ties to the shallower path, then to the lesser digest. A second pass takes every page's
 containers on its host's winning path; a page that has none falls back to its own best container.
 
 Elements that never are main text (navigation, page headers and footers, side bars, notices, adverts, forms,
@@ -19,6 +20,7 @@ import html as entities
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from hashlib import blake2b
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -50,7 +52,10 @@ class Page:
 
     blocks: list[tuple[int, str]] = field(default_factory=list)
     parents: list[int] = field(default_factory=list)
+    #: Depth and digest of the whole path, so neither names nor levels are cut off and deep pages stay small.
     paths: list[str] = field(default_factory=list)
+    #: The last step of each path.
+    steps: list[str] = field(default_factory=list)
     scores: list[float] = field(default_factory=list)
 
 
@@ -65,8 +70,12 @@ def _named(attributes: str) -> tuple[str, str]:
     return " ".join(names), role
 
 
+def _path(above: str, step: str, depth: int) -> str:
+    return f"{depth:06d}:{blake2b(f'{above}/{step}'.encode('utf-8', 'replace'), digest_size=16).hexdigest()}"
+
+
 def parse(text: str | None) -> Page:
-    page = Page([], [-1], ["/"], [0.0])
+    page = Page([], [-1], [_path("", "", 0)], [""], [0.0])
     # open block elements: (tag, container, left out)
     stack: list[tuple[str, int, bool]] = [("", 0, False)]
     buffer: list[str] = []
@@ -110,9 +119,11 @@ def parse(text: str | None) -> Page:
                 inner = any(t in ("article", "main") for t, _, _ in stack)
                 out = out or tag in NEVER or (tag == "header" and not inner) or role in BAD_ROLE or (bool(names) and tag not in ("body", "html", "article", "main") and bool(BAD_NAME.search(names)))
                 if tag in CONTAINERS and not out:
-                    path = f"{page.paths[at].rstrip('/')}/{tag}" + "".join("." + re.sub(r"\d+", "#", x) for x in sorted(names.split())[:3])
+                    step = tag + "".join("." + re.sub(r"\d+", "#", x) for x in sorted(names.split()))
+                    above = page.paths[at]
                     page.parents.append(at)
-                    page.paths.append(path[:400])
+                    page.paths.append(_path(above, step, int(above.partition(":")[0]) + 1))
+                    page.steps.append(step)
                     page.scores.append(0.0)
                     at = len(page.parents) - 1
                 stack.append((tag, at, out))
@@ -143,7 +154,7 @@ def ranked(page: Page) -> list[tuple[float, str]]:
     found: dict[str, float] = {}
     for k, path in enumerate(page.paths):
         if total[k] > 0:
-            last = path.rsplit("/", 1)[1]
+            last = page.steps[k]
             prior = 3.0 if last.startswith(("article", "main")) else 1.5 if GOOD_NAME.search(last.partition(".")[2]) else 1.0
             found[path] = found.get(path, 0.0) + total[k] * prior
     return sorted(((s, p) for p, s in found.items()), key=lambda x: (-x[0], x[1]))
