@@ -220,6 +220,18 @@ def test_html_paths_are_whole():
     assert len(set(html_extract.parse(nested(3000, "<p>x</p>")).paths)) == 3002
 
 
+def test_html_all_containers_vote(spark):
+    # three levels with names of their own in each page; only the host's container around them is shared
+    page = lambda a: f'<body><div class="promise"><p>{"A claim of this page, longer than the text. " * (9 if a == "z" else 0)}</p></div><div class="frame"><div id="one-{a}"><div id="two-{a}"><div id="three-{a}"><p>Text of page {a}.</p></div></div></div></div>'
+    got = {r.page_id: r.text for r in html_extract.extract(spark.createDataFrame([(i, f"http://h.org/{a}", page(a)) for i, a in enumerate("pqrstuvwxyz")], "page_id long, url string, html string")).collect()}
+    assert got == {i: f"Text of page {a}." for i, a in enumerate("pqrstuvwxyz")}
+
+
+def test_html_figures_and_formulas_are_text():
+    page = "<body><article><p>Let <math><mi>x</mi><mo>=</mo><mn>1</mn></math> be.</p><figure><pre>code()</pre><figcaption>A caption.</figcaption></figure><object><p>Instead.</p></object></article>"
+    assert html_extract.main_text(html_extract.parse(page), None) == "Let x=1 be.\n\ncode()\n\nA caption.\n\nInstead."
+
+
 def test_pipeline_stages_against_plain_ones(spark):
     pytest.importorskip("public_tokenizers")
     import corpus_pipeline as cp

@@ -1,7 +1,7 @@
 """Main text of web pages by consensus of host paths.
 
 A first pass scores each page's containers (text outside links, what kind of element it is) and reports
-the generalised paths (tags with all their class names and ids, digits masked) of the best few. Paths are told apart by their depth and a
+the generalised paths (tags with all their class names and ids, digits masked) of all that hold text. Paths are told apart by their depth and a
 digest of the whole path. Spark sums these votes per host
 and picks the winning path, the larger sum first, ties to the shallower path, then to the lesser digest. A second pass takes every page's
 containers on its host's winning path; a page that has none falls back to its own best container.
@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from hashlib import blake2b
@@ -31,15 +32,15 @@ from walkrank.llm.urlfilter import host_of
 
 SALTS = 64
 TOKEN = re.compile(
-    r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|textarea|svg|iframe|object|math)\b(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+>.*?(?:</\1\s*>|\Z)"
+    r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|textarea|svg|iframe)\b(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+>.*?(?:</\1\s*>|\Z)"
     r"|<[!?][^>]*+>|</([a-zA-Z][^\s>/]*+)[^>]*+>|<([a-zA-Z][^\s>/]*+)((?:(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+|[^>]*+))>",
     re.S | re.I,
 )
 ATTRIBUTE = re.compile(r"""\b(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
 #: Fixed lists of element names.
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img picture source meta link input".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img picture source meta link input math mi mn mo ms mtext mspace mrow mfrac msqrt mroot mstyle merror mpadded mphantom mfenced menclose msub msup msubsup munder mover munderover mmultiscripts mprescripts none mtable mtr mtd maction semantics annotation annotation-xml".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-NEVER = frozenset("head nav footer aside form button select option menu dialog audio video canvas map figure frameset noframes title".split())
+NEVER = frozenset("head nav footer aside form button select option menu dialog audio video canvas map frameset noframes title".split())
 CONTAINERS = frozenset("body div article main section td center blockquote content".split())
 BAD_NAME = re.compile(r"(?:^|[-_\s])(?:ad|ads|adv|advert\w*|banner|sponsor\w*|promo\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|side|footer|header|masthead|cookie\w*|consent|notice\w*|alert|popup|modal|newsletter|subscribe|signup|login|search|share|sharing|social|related|recommend\w*|comment\w*|disqus|replies|widget\w*|toolbar|pagination|pager|legal|copyright)(?:$|[-_\s\d])", re.I)
 BAD_ROLE = frozenset("navigation banner contentinfo complementary search form dialog alert".split())
@@ -173,21 +174,20 @@ def main_text(page: Page, path: str | None) -> str:
     return "\n\n".join(t for at, t in page.blocks if inside[at])
 
 
-def votes(pages: DataFrame, most: int = 3) -> DataFrame:
-    """(host, path, vote): each page's best containers, its best with vote 1."""
+def votes(pages: DataFrame) -> DataFrame:
+    """(host, path, vote): all containers with text, a page's best with vote 1000; summed for each host over a batch."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for at in range(0, whole.num_rows, 256):
                 b = whole.slice(at, 256)
-                hosts, paths, weights = [], [], []
+                found: Counter = Counter()
                 for host, text in zip(b.column("host").to_pylist(), b.column("html")):
-                    best = ranked(parse(text.as_py()))[:most]
+                    best = ranked(parse(text.as_py()))
                     for score, path in best:
-                        hosts.append(host)
-                        paths.append(path)
-                        weights.append(round(1000 * score / best[0][0]))
-                yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(paths, pa.string()), pa.array(weights, pa.int64())], names=["host", "path", "vote"])
+                        found[host, path] += round(1000 * score / best[0][0])
+                hosts, paths = zip(*found) if found else ((), ())
+                yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(paths, pa.string()), pa.array(found.values(), pa.int64())], names=["host", "path", "vote"])
 
     return arrow_map(pages.select("host", "html"), work, "host string, path string, vote bigint")
 
