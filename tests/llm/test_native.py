@@ -72,3 +72,9 @@ def test_url_filter(spark):
     assert by[0][0] is False and by[1] == (True, "spam", "domain:bad.org") and by[2] == (True, "adult", "domain:bad.org") and by[3][0] is False
     assert by[4] == (True, "thin", "prefix:ok.org/a") and by[5][0] is False and by[6] == (True, "t", "param:ref") and not by[7][0] and not by[8][0] and not by[10][0]
     assert urlfilter.apply_lists(c.limit(0), e).count() == 0 and urlfilter.apply_lists(c, e.limit(0)).where("blocked").count() == 0
+
+
+def test_url_prefixes_of_any_depth(spark):
+    e = spark.createDataFrame([("prefix", "ok.org/a/b/c/d/e", "add", "2024-01-01 00:00:00", "deep")], "kind string, key string, action string, at string, category string").withColumn("at", F.to_timestamp("at"))
+    c = spark.createDataFrame([(1, "http://ok.org/a/b/c/d/e/f?x=1"), (2, "http://ok.org/a/b/c/d"), (3, "http://ok.org/a/b/c/d/ef")], "page_id long, url string").withColumn("fetched_at", F.to_timestamp(F.lit("2024-01-02 00:00:00")))
+    assert {r.page_id: r.rule for r in urlfilter.apply_lists(c, e).collect()} == {1: "prefix:ok.org/a/b/c/d/e", 2: None, 3: None}

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from walkrank.llm.common import draw
 
 SALTS = 32
-#: Most path segments of a prefix rule.
+#: Most path segments of a prefix rule in the query's SQL; the operator itself takes prefixes of any depth.
 DEPTH = 3
 
 
@@ -52,7 +52,7 @@ def capture_keys(captures: DataFrame) -> DataFrame:
     labels = F.split(F.col("__host"), "\\.")
     known = F.col("__host") != ""
     domains = F.expr("transform(sequence(1, size(__l)), i -> named_struct('kind', 'domain', 'key', array_join(slice(__l, i, size(__l)), '.')))")
-    steps = F.expr(f"transform(sequence(1, least(size(__p), {DEPTH})), i -> named_struct('kind', 'prefix', 'key', concat(__host, '/', array_join(slice(__p, 1, i), '/'))))")
+    steps = F.expr("transform(sequence(1, size(__p)), i -> named_struct('kind', 'prefix', 'key', concat(__host, '/', array_join(slice(__p, 1, i), '/'))))")
     params = F.expr("transform(__q, x -> named_struct('kind', 'param', 'key', x))")
     none = F.expr("cast(array() as array<struct<kind:string,key:string>>)")
     own = F.array(F.struct(F.lit("self").alias("kind"), F.lit("").alias("key")))
