@@ -120,3 +120,21 @@ def test_rerank_stream(spark, tmp_path):
 def test_flagship(spark):
     top = methods.flagship(spark, SF)
     assert top.columns == ["position", "vertex", "score"] and top.count() == 20
+
+
+def test_nearest_vectors_at_every_size(spark, tmp_path, monkeypatch):
+    import numpy as np
+
+    rng_ = np.random.default_rng(1)
+    v = rng_.standard_normal((90, 6)).round(1)
+    v[40:50] = v[30:40]
+    frame = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)] + [(200, None), (201, [1.0, 2.0])], "vec_id long, v array<double>")
+    u = v / np.sqrt(np.square(v).sum(axis=1))[:, None]
+    for cosine, s in ((True, u @ u.T), (False, v @ v.T)):
+        want = {(i, j, r + 1) for i in range(90) for r, j in enumerate(sorted((j for j in range(90) if j != i), key=lambda j: (-round(float(s[i, j]), 9), j))[:3])}
+        for block in (7, 1024):
+            assert {(x.id, x.other, x.r) for x in graphs.nearest(frame.repartition(3), 3, cosine, block).collect()} == want
+    # the graph is built beyond the 20,000 vectors that it used to refuse
+    spark.range(20_001).select(F.col("id").alias("vec_id"), F.array(F.sin("id"), F.cos("id")).alias("embedding")).write.parquet(str(tmp_path / "embeddings.parquet"))
+    g = graphs.similarity(spark, str(tmp_path), 1)
+    assert g.count() == 20_001

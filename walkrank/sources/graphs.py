@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkrank.functions.session import read
+from walkrank.functions.session import cut, read
 
+#: Vectors that meet others at once.
+BLOCK = 1024
 TOY = [("a", "b"), ("a", "c"), ("b", "c"), ("c", "a"), ("d", "a"), ("d", "c")]
 
 
@@ -82,17 +88,70 @@ def customers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simple(bought.withColumn("next", F.lead("o_custkey").over(along)).select(_key("c", "o_custkey").alias("src"), _key("c", "next").alias("dst")))
 
 
+def nearest(vectors: DataFrame, k: int, cosine: bool, block: int = BLOCK) -> DataFrame:
+    """(id, other, sim, r): the k nearest others of each vector (vec_id, v array<double>), by cosine or inner product.
+
+    Blocks of rows meet as matrices; a block keeps its k best while it meets the others, so what is merged at the end is
+    k rows a vector for each partition. Equal to 9 digits are ties, which go to the lesser id; a cosine with a zero vector is the least.
+    Null vectors and such with null components take no part; vectors compete with those of their own length.
+    """
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {}
+
+        def flush(d: int) -> pa.RecordBatch:
+            ids, rows = zip(*held.pop(d))
+            return pa.RecordBatch.from_arrays([pa.array([np.array(ids, np.int64).tobytes()]), pa.array([np.concatenate(rows).tobytes()])], names=["ids", "rows"])
+
+        for b in batches:
+            for i, v in zip(b.column("vec_id").to_pylist(), b.column("v")):
+                x = v.values.to_numpy(zero_copy_only=False)
+                held.setdefault(len(x), []).append((i, x))
+                if len(held[len(x)]) == block:
+                    yield flush(len(x))
+        for d in list(held):
+            yield flush(d)
+
+    def best(i: np.ndarray, j: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, ...]:
+        order = np.lexsort((j, -np.round(s, 9), i))
+        i, j, s = i[order], j[order], s[order]
+        kept = np.arange(len(i)) - np.searchsorted(i, i) < k
+        return i[kept], j[kept], s[kept]
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, top = None, None
+        for b in batches:
+            for ids, rows, ids2, rows2 in zip(*(b.column(c).to_pylist() for c in ("ids", "rows", "ids2", "rows2"))):
+                i, j = np.frombuffer(ids, np.int64), np.frombuffer(ids2, np.int64)
+                x, y = np.frombuffer(rows).reshape(len(i), -1), np.frombuffer(rows2).reshape(len(j), -1)
+                if x.shape[1] != y.shape[1]:
+                    continue
+                s = x @ y.T
+                if cosine:
+                    norm = np.sqrt(np.square(x).sum(axis=1))[:, None] * np.sqrt(np.square(y).sum(axis=1))
+                    s = np.where(norm > 0, s / np.where(norm > 0, norm, 1), -np.inf)
+                key = np.where(i[:, None] == j, np.nan, -np.round(s, 9))  # nan: last
+                kth = np.partition(key, min(k, len(j)) - 1, axis=1)[:, min(k, len(j)) - 1]
+                a, c = np.nonzero((i[:, None] != j) & ((key <= kth[:, None]) | np.isnan(kth)[:, None]))
+                new = best(i[a], j[c], s[a, c])
+                if last is not None and ids != last:
+                    yield pa.RecordBatch.from_arrays(list(map(pa.array, top)), names=["id", "other", "sim"])
+                    top = None
+                top = new if top is None else best(*map(np.concatenate, zip(top, new)))
+                last = ids
+        if top is not None:
+            yield pa.RecordBatch.from_arrays(list(map(pa.array, top)), names=["id", "other", "sim"])
+
+    whole = vectors.where(F.col("vec_id").isNotNull() & F.col("v").isNotNull() & F.forall("v", lambda x: x.isNotNull())).select(F.col("vec_id").cast("long"), "v")
+    blocks = cut(whole.mapInArrow(pack, "ids binary, rows binary"))
+    met = blocks.crossJoin(blocks.toDF("ids2", "rows2")).mapInArrow(meet, "id bigint, other bigint, sim double")
+    return met.withColumn("r", F.row_number().over(W.partitionBy("id").orderBy(F.desc(F.round("sim", 9)), "other"))).where(F.col("r") <= k)
+
+
 def similarity(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
-    """vector -> its k nearest by cosine; a nested loop over a table whose row count is checked."""
+    """vector -> its k nearest by cosine, among all vectors."""
     e = read(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    if e.count() > 20_000:
-        raise ValueError("all pairs are for small tables; use an index for more vectors")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    n = e.select("vec_id", "v", F.sqrt(dot(F.col("v"), F.col("v"))).alias("norm"))
-    m = F.broadcast(n.toDF("id2", "v2", "norm2"))
-    near = n.join(m, F.col("vec_id") != F.col("id2")).select("vec_id", "id2", F.round(dot(F.col("v"), F.col("v2")) / (F.col("norm") * F.col("norm2")), 9).alias("sim"))
-    top = near.withColumn("r", F.row_number().over(W.partitionBy("vec_id").orderBy(F.desc("sim"), "id2"))).where(F.col("r") <= k)
-    return top.select(_key("v", "vec_id").alias("src"), _key("v", "id2").alias("dst"))
+    return nearest(e, k, cosine=True).select(_key("v", "id").alias("src"), _key("v", "other").alias("dst"))
 
 
 def links(spark: SparkSession, sf_dir: str) -> DataFrame:
