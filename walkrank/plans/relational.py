@@ -10,6 +10,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from walkrank.functions.session import read
+from walkrank.sources import graphs
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 O: dict[str, str] = {}
@@ -50,6 +51,12 @@ def _(spark, d):
     return both.groupBy("vec_id").agg(F.max_by(F.struct("nearest", "s"), F.struct(F.round("s", 9), -F.col("nearest"))).alias("b")).select("vec_id", "b.nearest", F.round("b.s", 6).alias("sim"))
 
 
+@case("knn_edges_all", "SELECT vec_id, nearest, sim FROM (SELECT a.vec_id, b.vec_id AS nearest, round(list_inner_product(a.e, b.e), 6) AS sim, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_inner_product(a.e, b.e), 9) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b ON a.vec_id <> b.vec_id) WHERE r = 1")
+def _(spark, d):
+    e = read(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    return graphs.nearest(e, 1, cosine=False).select(F.col("id").alias("vec_id"), F.col("other").alias("nearest"), F.round("sim", 6).alias("sim"))
+
+
 @case("interval_activity_edges", "SELECT a.user_id AS src, b.user_id AS dst, count(*) AS n FROM events a JOIN events b ON b.ts > a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTE AND a.user_id <> b.user_id GROUP BY 1, 2")
 def _(spark, d):
     # a range join as an equi join: each event lies in its own 5-minute bucket and is looked up from that and the one before
