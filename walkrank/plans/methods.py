@@ -557,6 +557,7 @@ def app(name: str, g: str, where: str, k: int, p_s: float = 0.7) -> None:
 app("customers", "customers", "true", 20)
 app("trade_customers", "trade", "id LIKE 'c%'", 20)
 app("keywords", "words_de", "true", 20)
+app("keywords_all", "words", "true", 20)
 app("keywords_benchmark", "items", "true", 20)
 app("keywords_user_turns", "turns", "true", 20)
 app("sentences", "sentences", "true", 20)
@@ -573,6 +574,20 @@ def _(spark, d):
     return out
 
 
+@case("keywords_langs_topk")
+def _(spark, d):
+    # walkers for each language that the table has, null among them
+    docs, out = read(spark, d, "documents"), None
+    for (x,) in sorted(docs.select("lang").distinct().collect(), key=lambda r: (r.lang is None, r.lang)):
+        edges = cut(prepare.repair(cut(graphs.next_words(docs.where(F.col("lang").eqNullSafe(F.lit(x).cast("string")))))))
+        if edges.isEmpty():
+            continue  # no vertices
+        tally = walk.walker_tally(prepare.layout(edges, "random", 8, RNG, 16), params(horizon=3, refresh_rate=0.7)).tally
+        top = show_top(walk.top_k(walk.estimate(tally, N), 5)).select(F.lit(x).cast("string").alias("lang"), "*")
+        out = top if out is None else out.union(top)
+    return out if out is not None else spark.createDataFrame([], "lang string, position int, vertex string, score double")
+
+
 @case("users_mixed_topk", f"""WITH a AS ({o.GRAPHS['activity']}), c AS (SELECT 'u' || substr(src, 2) AS src, 'u' || substr(dst, 2) AS dst FROM ({o.GRAPHS['customers']})), w AS (SELECT src, dst, sum(w) AS w FROM (SELECT src, dst, 0.7::DOUBLE / (count(*) OVER (PARTITION BY src)) AS w FROM a UNION ALL
   SELECT src, dst, 0.3::DOUBLE / (count(*) OVER (PARTITION BY src)) FROM c) GROUP BY ALL), v AS (SELECT src AS id FROM w UNION SELECT dst FROM w), d AS (SELECT src, sum(w) AS d FROM w GROUP BY src), r1 AS (SELECT v.id, coalesce(m, 0) * 0.85::DOUBLE + 0.15::DOUBLE / (SELECT count(*) FROM v) AS value
   FROM v LEFT JOIN (SELECT dst AS id, sum(w / d) / (SELECT count(*) FROM v) AS m FROM w JOIN d USING (src) GROUP BY dst) USING (id)) {o.top('r1', 20)}""")
