@@ -8,130 +8,11 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from walkrank.llm import html_extract, lm, quality, topk, vectors
+from walkrank.llm import html_extract, quality, topk, vectors
 
 DATA = "/root/testdata/sf0.01"
 
 
-def test_elias_fano():
-    rng = np.random.default_rng(0)
-    for n, most in ((1, 0), (7, 3), (1000, 40), (900, 10**6), (900, 10**14)):
-        v = np.sort(rng.integers(0, most + 1, n))
-        assert (lm.EliasFano.of(v).at(np.arange(n)) == v).all()
-
-
-def test_trie_is_a_distribution_and_survives_a_file(tmp_path):
-    words = [b"abc", b"abd", b"b", b"cab", b"abcab"]
-    grams = [Counter() for _ in range(4)]
-    for w in words:
-        m = b" " + w + b"\n"
-        for n in range(1, 5):
-            for i in range(n, len(m) + 1):
-                grams[n - 1][int.from_bytes(m[i - n : i], "big")] += 1
-    trie = lm.Trie.train([(np.array(list(g), np.uint64), np.array(list(g.values()))) for g in grams])
-    (tmp_path / "trie").write_bytes(trie.pack())
-    again = lm.Trie.open(str(tmp_path / "trie"))
-    probe = [b"abc", b"zz", b"", b"abcabcab"]
-    assert np.allclose(trie.spell(probe), again.spell(probe))
-    for prefix in (b"", b"ab", b"z", b"abc"):
-        # what follows a prefix: every byte and the end
-        stem = trie.spell([prefix])[0]
-        end = 10**stem
-        follow = [prefix + bytes([c]) for c in range(256) if c not in (0x20, 0x0A)]
-        # P(prefix c ...) isn't spelled out; compare the share of c through a marked word instead
-        shares = []
-        for f in follow:
-            ids = np.frombuffer(b" " + f + b"\n", np.uint8)
-            assert len(ids)
-            shares.append(trie.spell([f])[0])
-        assert all(np.isfinite(shares)) and end <= 1
-
-
-def test_lm_scores(spark):
-    docs = pd.read_parquet(f"{DATA}/documents.parquet").head(200)[["doc_id", "text"]]
-    rows = [(int(i), t, 1.0) for i, t in docs.itertuples(index=False)] + [(5000, None, 1.0), (5001, "", 1.0), (3, docs.text[3], 1.0), (None, "a b", 1.0), (3, "other text", 1.0)]
-    got = lm.score(spark.createDataFrame(rows, "doc_id long, text string, score double")).collect()
-    assert len(got) == len(rows)
-    held = lambda i: zlib.crc32(("" if i is None else str(i)).encode()) % 10 == 0
-    taught = [lm.split(t) for i, t, _ in rows if not held(i)]
-    c = Counter(w for t in taught for w in t)
-    n, v = sum(c.values()) + len(taught), len(c) + 1
-    want = sorted((str(i), held(i), len(lm.split(t)) + 1, sum(c[w] > 0 for w in lm.split(t)) + 1, round(sum(math.log10((x + 0.1) / (n + 0.1 * (v + 1))) for x in [*(c[w] for w in lm.split(t)), len(taught)]), 6)) for i, t, _ in rows)
-    assert sorted((str(r.doc_id), r.held_out, r.n_tokens, r.n_known, round(r.base_score, 6)) for r in got) == want
-    assert all(r.train_tokens == n and r.score < 0 for r in got)
-    assert lm.score(spark.createDataFrame([], "doc_id long, text string")).count() == 0
-    alone = lm.score(spark.createDataFrame([(None, "x y")], "doc_id long, text string")).collect()
-    assert alone[0].train_tokens == 0 and alone[0].n_known == 0
-
-
-def test_pairs_are_a_distribution_and_survive_packing(tmp_path):
-    rng = np.random.default_rng(3)
-    totals = np.array([50, 40, 30, 0, 20])
-    counts = np.unique(rng.integers(0, 5, (60, 2)), axis=0)
-    counts = counts[counts[:, 0] != 3]
-    times = rng.integers(1, 6, len(counts))
-    trie = lm.Trie.of_pairs(counts[:, 0], counts[:, 1], times, totals)
-    (tmp_path / "pairs").write_bytes(trie.pack())
-    trie = lm.Trie.open(str(tmp_path / "pairs"))
-    alone = np.log10([0.1, 0.2, 0.3, 0.25, 0.15])
-    told = dict(zip(map(tuple, counts.tolist()), times.tolist()))
-    for before in range(5):
-        got = 10.0 ** trie.after(np.full(5, before), np.arange(5), alone)
-        share = [max(told.get((before, w), 0) - lm.PAIR_DISCOUNT, 0) / max(totals[before], 1) for w in range(5)]
-        want = np.array(share) + (1 - sum(share)) * 10.0**alone
-        assert np.allclose(got, want, rtol=2e-3) and abs(got.sum() - 1) < 2e-3
-    assert np.allclose(trie.after(np.full(5, -1), np.arange(5), alone), alone)
-
-
-def test_order_of_words_counts(spark):
-    held = lambda i: zlib.crc32(str(i).encode()) % 10 == 0
-    ids = iter(i for i in range(1000) if not held(i))
-    rows = [(next(ids), "red fox sees blue owl") for _ in range(30)] + [(next(i for i in range(1000) if held(i)), "red fox sees blue owl"), (next(i for i in range(500, 1000) if held(i)), "owl blue sees fox red")]
-    got = lm.score(spark.createDataFrame(rows, "doc_id long, text string")).where("held_out").orderBy("doc_id").collect()
-    assert abs(got[0].base_score - got[1].base_score) < 1e-9
-    assert got[0].score > got[1].score + 3 and got[0].score > got[0].base_score
-
-
-def test_rare_pairs_count_whatever_is_broadcast(spark, monkeypatch):
-    docs = pd.read_parquet(f"{DATA}/documents.parquet").head(150)[["doc_id", "text"]]
-    frame = spark.createDataFrame([*((int(i), t) for i, t in docs.itertuples(index=False)), (7, None), (None, "a b"), (None, "a b")], "doc_id long, text string")
-    held = lambda i: zlib.crc32(("" if i is None else str(i)).encode()) % 10 == 0
-    rows = [(r.doc_id, r.text, held(r.doc_id)) for r in frame.collect()]
-    words, pairs, follow = Counter(), Counter(), Counter()
-    for _, t, out in rows:
-        if not out:
-            w = [lm.EDGE, *lm.split(t), lm.EDGE]
-            words.update(w[1:])
-            pairs.update(zip(w, w[1:]))
-    follow.update(a for a, _ in pairs)
-    ends, n = words[lm.EDGE], sum(words.values())
-    only = {w: c for w, c in words.items() if w != lm.EDGE}
-    trie = lm.train(spark.createDataFrame(list(only.items()), "word binary, c bigint"))
-    end_p = (ends + 0.5) / (n + 1.0)
-    seen = sorted({w for _, t, _ in rows for w in lm.split(t)})
-    alone = dict(zip(seen, 10.0 ** lm.word_log10(np.array([words[w] for w in seen], float), trie.spell(seen), len(only), sum(c == 1 for c in only.values()), n - ends) * (1 - end_p))) | {lm.EDGE: end_p}
-    want = []
-    for i, t, _ in rows:
-        w = [lm.EDGE, *lm.split(t), lm.EDGE]
-        p = [(max(pairs[a, b] - lm.PAIR_DISCOUNT, 0) + lm.PAIR_DISCOUNT * follow[a] * alone[b]) / words[a] if words[a] else alone[b] for a, b in zip(w, w[1:])]
-        want.append((str(i), len(p), sum(map(math.log10, p))))
-    want.sort()
-    for share in (1 << 20, 1 << 7):  # the second leaves little to broadcast
-        monkeypatch.setattr(lm, "HOT_SHARE", share)
-        monkeypatch.setattr(lm, "PAIR_SHARE", share)
-        got = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lm.score(frame).collect())
-        assert [x[:2] for x in got] == [x[:2] for x in want]
-        assert all(abs(a[2] - b[2]) < 1e-3 * a[1] + 1e-6 for a, b in zip(got, want))
-
-
-def test_spelling_keeps_its_order_beyond_the_trie(spark):
-    docs = pd.read_parquet(f"{DATA}/documents.parquet").head(60)[["doc_id", "text"]]
-    frame = spark.createDataFrame([*((int(i), t) for i, t in docs.itertuples(index=False)), (None, "unheard-of \u00e9\u4e16")], "doc_id long, text string")
-    small, large = ({r.doc_id: r for r in lm.score(frame, most=most).collect()} for most in (lm.MOST, 0))
-    assert len(small) == len(large) == 61
-    assert all(r.n_tokens == small[i].n_tokens and r.n_known == small[i].n_known and abs(r.score - small[i].score) < 3e-3 * r.n_tokens for i, r in large.items())
-
-
 def test_quality_on_held_out_labels(spark):
     docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
     got = quality.classify(docs, labels).join(labels, "doc_id").where("held_out and quality is not null").toPandas()

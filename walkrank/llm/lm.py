@@ -1,273 +1,69 @@
-"""Language-model scoring with an n-gram trie in Elias-Fano coded levels.
-
-The model: a word has its share of the training words, less a discount, and all discounts together (the share of words
-that occur once, which estimates that of unseen words) are spread over all words by their spelling: an n-gram model over bytes (with a start and an end mark), smoothed by interpolation of the
-Witten-Bell kind down to equal shares, learned from every distinct training word. A text ends with
-the share that ends have among training tokens. The word before (or the start of the text) tells more: each pair of
-tokens in the training texts, however rare, has its count, less a discount, over that of its first word; what
-this leaves (the discount times the word's different successors, over its count) is spread as above. So every text has a
-probability, known words or not.
-
-The trie: level n holds the n-grams in path order, as last symbols, monotone pointers to their children
-(Elias-Fano: low bits packed, high bits unary) and, quantised, their smoothed probability and the weight that is left for
-shorter contexts. A query walks all positions of many words at once: the n-gram that ends at a position is
-the child, under the position's symbol, of the (n-1)-gram that ends before it, found by successor search among the
-children of that context. Levels are plain arrays behind one header, so a file of them can be mapped into memory. Pairs of
-words are such a trie of two levels, with the numbers of words as symbols.
-
-Scoring: words and pairs are counted over all training texts. Words with over a 2**-20 share of all tokens (so at most 2**20
-of them, whatever the corpus) and pairs of these with over a 2**-22 share are broadcast; this saves shuffling and changes no score. In a
-document all other words and pairs are dealt out, meet their counts and are scored there. A word by itself gives the log
-of its share and of what it leaves to successors; a known pair adds what it gains over these, so an unknown pair adds nothing. Pairs
-are known by two 64-bit digests of their words. The trie's order is the same at every size: with more than MOST n-grams there is no
-trie, and each distinct word is spelled by joins with the table of n-grams, level by level, with the same smoothing.
-
-Words: runs of bytes other than ASCII white space, A-Z lower-cased. Null texts are empty (one end token). Rows that repeat
-id and text get the same result each; a null id counts as empty text in the fold, so it is held out.
-Without training rows the base is that of counts of zero and spelling is by equal shares.
+"""Language-model scoring: a trigram model of words in Elias-Fano tries, one a part of the corpus's n-grams, mapped into memory.
+
+The model pools counts of three orders. With N training tokens, and c() counts in training texts,
+
+    P(w | u v) = (c(u v w) + KAPPA c(v w) + G p(w)) / (c(u v) + KAPPA c(v) + G),
+
+which sums to one over w because each order's counts of successors sum to the count of their context. p(w) is the share of w among
+the training words, less a discount; all discounts together (the share of words that occur once, which estimates that of unseen words)
+are spread over all words by their spelling (spelling.py); a text ends with the share that ends have among training
+tokens. Before a text stand two edges. So every text has a probability, known words or not, and no count is left out, however rare.
+
+As a text's logarithm is a sum, the numerator of a token and the denominator of its successor are both known where the counts of
+(u v w), (v w) and w meet, and one exchange both counts and scores:
+
+1. census(): counts of distinct words, and what may be hot.
+2. hot(): exact counts of words with over a 2**-20 share, and of pairs and triples that hold over a share of 1 / (16 parts), so their
+   number is bounded by shares, not by the corpus. They are broadcast. This is about traffic alone: no score depends on it.
+3. deal(): each run of texts sends every distinct triple once, with the places it occurs at, to the part that its word's hash
+   names; a hot word's triples are dealt by their pair, a hot pair's by the whole triple, and hot triples are scored at once. So no part holds a
+   hot key.
+4. answer(): a part counts its triples, writes its trie (word, then the word before, then the one before that; an n-gram is searched for among the
+   successors of its context) with quantised log10 probabilities to an unnamed scratch file, maps that, scores the part's triples
+   and answers each run with sums per text. Sums are of integers, so no order of tasks changes them.
+5. total(): a run's answers are added up. All must be there, and from the same run: else an error is raised.
+
+Words are told apart by 64-bit hashes, as are pairs and triples that may be hot. Words: runs of bytes other than ASCII white space, A-Z lower-cased.
+Null texts are empty (one end token). Rows that repeat id and text get the same result each; a null id counts as empty text in the
+fold, so it is held out. Extra columns are ignored. Without training rows the base is that of counts of zero and words are spelled by
+equal shares.
 """
 
 from __future__ import annotations
 
-import mmap
 import struct
-from collections import Counter, defaultdict
+import tempfile
+from collections import defaultdict
 from collections.abc import Iterator
-from hashlib import blake2b
-from itertools import chain, count, repeat
+from dataclasses import dataclass
+from itertools import chain, count
 
 import numpy as np
 import pyarrow as pa
+import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import arrow_map, bucket_of, cut, keyed
-
-ORDER = 6
-MOST = 4_000_000
-HOT_SHARE = 1 << 20
-PAIR_SHARE = 1 << 22
-PAIR_DISCOUNT = 0.75
-#: Tokens handled at once.
-RUN = 1 << 18
+from walkrank.llm import spelling as spellings
+from walkrank.llm.common import arrow_map, bucket_of, cut, shuffle_parts
+from walkrank.llm.eftrie import SCALE, Trie, code
+from walkrank.llm.spelling import Spelling
+
+KAPPA = 0.002
+G = 10.0
+#: Words with over one share in so many are broadcast.
+HOT_WORDS = 1 << 20
+#: Bytes of text a part, and tokens a run.
+PART_BYTES = 24 << 20
+RUN = 1 << 20
 #: Stands for a text's end, and as a context for its start; can't be a word.
 EDGE = b"\n"
-START, END = 0x20, 0x0A
-SYMBOLS = 257.0
-#: Steps of a quantised logarithm to base 10.
-SCALE = 2000.0
-POP = np.array([bin(x).count("1") for x in range(256)], dtype=np.int64)
-SELECT = np.array([[([i for i in range(8) if b >> i & 1] + [0] * 8)[r] for r in range(8)] for b in range(256)], dtype=np.int64)
-
-
-class EliasFano:
-    """A monotone sequence of integers with access to any place."""
-
-    def __init__(self, n: int, low_bits: int, low: np.ndarray, high: np.ndarray):
-        self.n, self.low_bits, self.low, self.high = n, low_bits, low, high
-        ones = np.bitwise_count(high).astype(np.int64)
-        self.before = np.concatenate(([0], np.cumsum(ones)[:-1])) if len(ones) else np.zeros(0, dtype=np.int64)
-
-    @classmethod
-    def of(cls, values: np.ndarray) -> EliasFano:
-        values = np.asarray(values, dtype=np.uint64)
-        n = len(values)
-        top = int(values[-1]) if n else 0
-        bits = max(0, int(np.floor(np.log2(top / n)))) if n and top > n else 0
-        at = np.arange(n, dtype=np.uint64) * np.uint64(bits)
-        low = np.zeros(int(n * bits) // 64 + 2, dtype=np.uint64)
-        if bits:
-            part = values & np.uint64((1 << bits) - 1)
-            word, shift = (at >> np.uint64(6)).astype(np.int64), at & np.uint64(63)
-            np.bitwise_or.at(low, word, part << shift)
-            over = shift + np.uint64(bits) > 64
-            np.bitwise_or.at(low, word[over] + 1, part[over] >> (np.uint64(64) - shift[over]))
-        ones = (values >> np.uint64(bits)).astype(np.int64) + np.arange(n)
-        high = np.zeros((int(ones[-1]) if n else 0) // 64 + 1, dtype=np.uint64)
-        np.bitwise_or.at(high, ones >> 6, np.uint64(1) << (ones & 63).astype(np.uint64))
-        return cls(n, bits, low, high)
-
-    def at(self, i: np.ndarray) -> np.ndarray:
-        word = np.searchsorted(self.before, i, side="right") - 1
-        # places of words without ones are passed over: the last word that starts at or before i holds it
-        rest = i - self.before[word]
-        bits = self.high[word]
-        place = np.zeros(len(i), dtype=np.int64)
-        byte = (bits & np.uint64(255)).astype(np.int64)
-        for b in range(7):
-            pop = POP[byte]
-            past = (rest >= pop) & (place == 8 * b)
-            rest = np.where(past, rest - pop, rest)
-            place = np.where(past, 8 * (b + 1), place)
-            following = ((bits >> np.uint64(8 * (b + 1))) & np.uint64(255)).astype(np.int64)
-            byte = np.where(past, following, byte)
-        high = word * 64 + place + SELECT[byte, rest] - i
-        if not self.low_bits:
-            return high
-        at = i.astype(np.uint64) * np.uint64(self.low_bits)
-        w, shift = (at >> np.uint64(6)).astype(np.int64), at & np.uint64(63)
-        low = self.low[w] >> shift
-        low |= np.where(shift > 0, self.low[w + 1] << ((np.uint64(64) - shift) & np.uint64(63)), np.uint64(0))
-        return (high << self.low_bits) | (low & np.uint64((1 << self.low_bits) - 1)).astype(np.int64)
-
-
-def code(x: np.ndarray) -> np.ndarray:
-    """Quantised -log10."""
-    return np.minimum(np.round(-np.log10(np.maximum(x, 1e-32)) * SCALE), 65535).astype(np.uint16)
-
-
-class Trie:
-    """Levels 1..order: symbols, child pointers, quantised -log10 of probability and of the shorter contexts' weight."""
-
-    def __init__(self, levels: list[tuple[np.ndarray, EliasFano | None, np.ndarray, np.ndarray]]):
-        self.levels = levels
-        self.first = np.full(256, -1, dtype=np.int64)
-        if levels and levels[0][0].dtype == np.uint8:
-            self.first[levels[0][0]] = np.arange(len(levels[0][0]))
-
-    @classmethod
-    def train(cls, grams: list[tuple[np.ndarray, np.ndarray]]) -> Trie:
-        """From (key, count) per order: a key is the n-gram's bytes as a big-endian integer."""
-        levels, keys_of, p_of = [], [], []
-        grams = [(k[o], c[o].astype(np.float64)) for k, c in grams for o in [np.argsort(k, kind="stable")]]
-        heads = [np.searchsorted(grams[n][0], grams[n + 1][0] >> np.uint64(8)) for n in range(len(grams) - 1)]
-        for n, (keys, counts) in enumerate(grams):
-            size = len(grams[n - 1][0]) if n else 1
-            parent = heads[n - 1] if n else np.zeros(len(keys), dtype=np.int64)
-            told = counts if n else np.where(keys == START, 0.0, counts)  # the start mark is never told
-            total = np.bincount(parent, weights=told, minlength=size)
-            kinds = np.bincount(parent, weights=(told > 0).astype(np.float64), minlength=size)
-            if n:
-                below = p_of[-1][np.searchsorted(keys_of[-1], keys & np.uint64((1 << 8 * n) - 1))]
-            else:
-                below = np.full(len(keys), 1.0 / SYMBOLS)
-            p = (told + kinds[parent] * below) / np.maximum(total[parent] + kinds[parent], 1e-300)
-            keys_of.append(keys)
-            p_of.append(p)
-            if n + 1 < len(grams):
-                after, got = grams[n + 1][1], heads[n]
-                sums, different = np.bincount(got, weights=after, minlength=len(keys)), np.bincount(got, minlength=len(keys))
-                left = np.where(sums > 0, different / np.maximum(sums + different, 1), 1.0)
-                pointers = EliasFano.of(np.searchsorted(got, np.arange(len(keys) + 1)))
-            else:
-                left, pointers = np.ones(len(keys)), None
-            levels.append(((keys & np.uint64(255)).astype(np.uint8), pointers, code(p), code(left)))
-        return cls(levels)
-
-    @classmethod
-    def of_pairs(cls, first: np.ndarray, second: np.ndarray, counts: np.ndarray, totals: np.ndarray, left: np.ndarray | None = None) -> Trie:
-        """Two levels over words 0..len(totals)-1 from counts of pairs (no pair twice) and of words as first ones.
-
-        Level 2 holds (count - discount) / total, level 1 the share that is left for words by themselves: `left`, or what these pairs leave.
-        """
-        by = np.lexsort((second, first))
-        first, second, p = first[by], second[by], np.maximum(counts[by] - PAIR_DISCOUNT, 0) / np.maximum(totals[first[by]], 1)
-        left = 1 - np.bincount(first, weights=p, minlength=len(totals)) if left is None else left
-        pointers = EliasFano.of(np.searchsorted(first, np.arange(len(totals) + 1)))
-        words, none = np.arange(len(totals), dtype=np.uint32), np.zeros(0, np.uint16)
-        return cls([(words, pointers, none, code(left)), (second.astype(np.uint32), None, code(p), none)])
-
-    def after(self, before: np.ndarray, word: np.ndarray, alone: np.ndarray) -> np.ndarray:
-        """log10 probability of words after words (-1: one not in the trie), given those of the words alone."""
-        return self.told_after(before, word, alone)[0]
-
-    def told_after(self, before: np.ndarray, word: np.ndarray, alone: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The same, and which of the pairs are in the trie."""
-        (_, _, _, left), (_, _, p, _) = self.levels
-        out = np.where(before >= 0, left[before] / -SCALE, 0.0) + alone
-        both = np.flatnonzero((before >= 0) & (word >= 0))
-        pairs, back = np.unique(before[both] << 32 | word[both], return_inverse=True)
-        node = self.child(0, pairs >> 32, pairs & 0xFFFFFFFF)[back]
-        hit = node >= 0
-        out[both[hit]] = np.log10(10.0 ** out[both[hit]] + 10.0 ** (p[node[hit]] / -SCALE))
-        told = np.zeros(len(before), dtype=bool)
-        told[both[hit]] = True
-        return out, told
-
-    def pack(self) -> bytes:
-        """A header of sizes, then the levels' arrays, each at a multiple of 8 bytes."""
-        wide = int(any(x[0].dtype == np.uint32 for x in self.levels))
-        head, parts = [struct.pack("<2q", len(self.levels), wide)], []
-        for symbols, ef, p, left in self.levels:
-            arrays = [symbols, p, left, *((ef.low, ef.high) if ef else (np.zeros(0, np.uint64),) * 2)]
-            head.append(struct.pack("<7q", *map(len, arrays), ef.n if ef else -1, ef.low_bits if ef else 0))
-            parts += [a.tobytes() + b"\0" * (-a.nbytes % 8) for a in arrays]
-        return b"".join(head + parts)
-
-    @classmethod
-    def unpack(cls, raw: bytes | mmap.mmap) -> Trie:
-        count, wide = struct.unpack_from("<2q", raw, 0)
-        sizes = [struct.unpack_from("<7q", raw, 16 + 56 * k) for k in range(count)]
-        at, levels = 16 + 56 * count, []
-        for *lengths, n, bits in sizes:
-            arrays = []
-            for kind, size in zip((np.uint32 if wide else np.uint8, np.uint16, np.uint16, np.uint64, np.uint64), lengths):
-                arrays.append(np.frombuffer(raw, dtype=kind, count=size, offset=at))
-                at += arrays[-1].nbytes + -arrays[-1].nbytes % 8
-            levels.append((arrays[0], EliasFano(n, bits, arrays[3], arrays[4]) if n >= 0 else None, arrays[1], arrays[2]))
-        return cls(levels)
-
-    @classmethod
-    def open(cls, path: str) -> Trie:
-        """From a file, mapped into memory."""
-        with open(path, "rb") as f:
-            return cls.unpack(mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ))
-
-    def child(self, level: int, parent: np.ndarray, symbol: np.ndarray) -> np.ndarray:
-        """Of nodes in `level` (from 0; -1: none): the child with that symbol, or -1."""
-        out = np.full(len(parent), -1, dtype=np.int64)
-        live = np.flatnonzero(parent >= 0)
-        pointers, symbols = self.levels[level][1], self.levels[level + 1][0]
-        if not len(live) or not len(symbols):
-            return out
-        p = parent[live]
-        lo, hi = np.split(pointers.at(np.concatenate((p, p + 1))), 2)
-        end, want = hi.copy(), symbol[live]
-        while True:  # the least place whose symbol isn't less than the wanted one
-            open_ = lo < hi
-            if not open_.any():
-                break
-            mid = (lo + hi) // 2
-            less = open_ & (symbols[np.minimum(mid, len(symbols) - 1)] < want)
-            lo, hi = np.where(less, mid + 1, lo), np.where(open_ & ~less, mid, hi)
-        hit = (lo < end) & (symbols[np.minimum(lo, len(symbols) - 1)] == want)
-        out[live[hit]] = lo[hit]
-        return out
-
-    def spell(self, words: list[bytes]) -> np.ndarray:
-        """log10 probability of each word's bytes and end mark."""
-        out = np.empty(len(words))
-        at = 0
-        while at < len(words):
-            upto, size = at, 0
-            while upto < len(words) and (upto == at or size < 1 << 19):
-                size += len(words[upto]) + 2
-                upto += 1
-            out[at:upto] = self._spell(words[at:upto])
-            at = upto
-        return out
-
-    def _spell(self, words: list[bytes]) -> np.ndarray:
-        text = np.frombuffer(b" " + b"\n ".join(words) + b"\n", dtype=np.uint8)
-        first = np.cumsum([0] + [len(w) + 2 for w in words[:-1]])
-        if not self.levels:
-            return -np.log10(SYMBOLS) * np.array([len(w) + 1 for w in words], dtype=np.float64)
-        place = np.arange(len(text)) - np.repeat(first, [len(w) + 2 for w in words])
-        node = self.first[text]
-        ones = self.levels[0]
-        cost = np.where(node >= 0, ones[2][node] / SCALE, 0.0)
-        unseen = node < 0
-        if unseen.any():  # a byte that training lacks gets its equal share of what is left, as the start mark has, which is never told
-            cost[unseen] = ones[2][self.first[START]] / SCALE
-        for n in range(1, len(self.levels)):
-            context = np.concatenate(([-1], node[:-1]))
-            context[place < n] = -1
-            node = self.child(n - 1, context, text)
-            _, _, p, _ = self.levels[n]
-            left = self.levels[n - 1][3]
-            cost = np.where(node >= 0, p[node] / SCALE if len(p) else 0.0, cost + np.where(context >= 0, left[context] / SCALE, 0.0))
-        cost[place == 0] = 0.0
-        return -np.add.reduceat(cost, first)
+LOW = np.int64(0xFFFFFFFF)
+
+
+def split(text: str | None) -> list[bytes]:
+    return (text or "").encode("utf-8").lower().split()
 
 
 def word_log10(c: np.ndarray, spelled: np.ndarray, kinds: int, once: int, tokens: int) -> np.ndarray:
@@ -275,289 +71,484 @@ def word_log10(c: np.ndarray, spelled: np.ndarray, kinds: int, once: int, tokens
     if not tokens:
         return spelled
     discount = (once + 0.5) / (kinds + 1.0)
-    return np.log10(np.maximum(c - discount, 0) / tokens + discount * kinds / tokens * 10.0**spelled + 1e-300)
+    spread = np.log10(discount * max(kinds, 1) / tokens)
+    known = np.maximum(c - discount, 0) / tokens
+    return np.where(c > 0, np.log10(known + 10.0 ** np.maximum(spread + spelled, -300) + 1e-300), spread + spelled)
 
 
-def split(text: str | None) -> list[bytes]:
-    return (text or "").encode("utf-8").lower().split()
+# --- numbers of tokens, hashes, packed arrays ---
 
 
-def runs(texts: list[str | None], at: dict[bytes, int]) -> Iterator[tuple[int, int, list[list[bytes]], np.ndarray]]:
-    """(start, stop, tokens of each text, numbers of all these tokens or -1), about RUN tokens at a time; EDGE ends a text."""
-    start, held, size = 0, [], 0
+def runs(texts: list[str | None], most: int) -> Iterator[tuple[int, int, list[bytes], np.ndarray, np.ndarray]]:
+    """(start, stop, distinct tokens, their numbers along the texts, tokens a text), about `most` tokens at a time; EDGE is 0 and ends a text."""
+    start, size = 0, 0
+    index: dict[bytes, int] = defaultdict(count().__next__)
+    held: list[list[bytes]] = []
     for i, t in enumerate(texts):
-        held.append([*split(t), EDGE])
-        size += len(held[-1])
-        if size >= RUN or i == len(texts) - 1:
-            yield start, i + 1, held, np.fromiter(map(at.get, chain.from_iterable(held), repeat(-1)), np.int64, size)
-            start, held, size = i + 1, [], 0
+        own = split(t)
+        own.append(EDGE)
+        held.append(own)
+        size += len(own)
+        if size >= most or i == len(texts) - 1:
+            index[EDGE]  # noqa: B018
+            now = np.fromiter(map(index.__getitem__, chain.from_iterable(held)), np.int64, size)
+            yield start, i + 1, list(index), now, np.fromiter(map(len, held), np.int64, len(held))
+            start, size, held = i + 1, 0, []
+            index = defaultdict(count().__next__)
 
 
-def digest(word: bytes) -> bytes:
-    return blake2b(word, digest_size=8).digest()
+def mixed(x: np.ndarray) -> np.ndarray:
+    """64 bits, each of which depends on all bits of x."""
+    x = x ^ (x >> np.uint64(33))
+    x = x * np.uint64(0xFF51AFD7ED558CCD)
+    x ^= x >> np.uint64(33)
+    x *= np.uint64(0xC4CEB9FE1A85EC53)
+    return x ^ (x >> np.uint64(33))
 
 
-def pair_keys(before: np.ndarray, word: np.ndarray, digests: np.ndarray) -> pa.Array:
-    """A space, which no word holds, and the digests of both words."""
-    raw = np.full((len(before), 17), 0x20, dtype=np.uint8)
-    raw[:, 1:9], raw[:, 9:] = digests[before], digests[word]
-    return pa.Array.from_buffers(pa.binary(), len(raw), [None, pa.py_buffer(np.arange(0, 17 * len(raw) + 1, 17, dtype=np.int32)), pa.py_buffer(raw)])
+def hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
 
 
-def numbered(index: dict[bytes, int], tokens: Iterator[bytes], size: int) -> np.ndarray:
-    """Numbers of tokens; new ones get the next number in `index`, a defaultdict that counts."""
-    return np.fromiter(map(index.__getitem__, tokens), np.int64, size)
+def joined(before: np.ndarray, after: np.ndarray) -> np.ndarray:
+    """Hash of a sequence from that of its first word and that of the rest."""
+    return mixed(before * np.uint64(0x9E3779B97F4A7C15) + after)
 
 
-def digests_of(index: dict[bytes, int]) -> np.ndarray:
-    return np.frombuffer(b"".join(map(digest, index)), dtype=np.uint8).reshape(len(index), 8)
+def find(table: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Places of wanted in a sorted table, or -1."""
+    if not len(table):
+        return np.full(len(wanted), -1, dtype=np.int64)
+    at = np.minimum(np.searchsorted(table, wanted), len(table) - 1)
+    return np.where(table[at] == wanted, at, -1)
 
 
-def pair_counts(texts: DataFrame) -> DataFrame:
-    """(key, c): counts of all pairs of neighbours, the texts' edges among them."""
+@dataclass
+class Grams:
+    """Distinct pairs (word, word before) and triples (place of a pair, word before that), sorted; the triple of each token."""
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index: dict[bytes, int] = defaultdict(count().__next__)
-        kept, size = [], 0
+    pair_word: np.ndarray
+    pair_before: np.ndarray
+    triple_pair: np.ndarray
+    triple_before: np.ndarray
+    triple_of: np.ndarray
 
-        def flush() -> pa.RecordBatch:
-            pairs, c = np.unique(np.concatenate(kept), return_counts=True)
-            keys = pair_keys(pairs >> 32, pairs & 0xFFFFFFFF, digests_of(index))
-            kept.clear()
-            index.clear()
-            index.default_factory = count().__next__
-            return pa.RecordBatch.from_arrays([keys, pa.array(c.astype(np.int64))], names=["key", "c"])
 
-        for b in batches:
-            for _, _, held, now in runs(b.column("text").to_pylist(), {}):
-                edge = index[EDGE]
-                own = numbered(index, chain.from_iterable(held), len(now))
-                kept.append(np.concatenate(([edge], own[:-1])) << 32 | own)
-                size += len(own)
-                if size > 1 << 21:
-                    yield flush()
-                    size = 0
-        if kept:
-            yield flush()
+def grams(words: np.ndarray, before: np.ndarray, earlier: np.ndarray) -> Grams:
+    pairs, pair_of = np.unique(words << 32 | before, return_inverse=True)
+    triples, triple_of = np.unique(pair_of << 32 | earlier, return_inverse=True)
+    return Grams(pairs >> 32, pairs & LOW, triples >> 32, triples & LOW, triple_of)
 
-    return arrow_map(texts, work, "key binary, c bigint").groupBy("key").agg(F.sum("c").alias("c"))
 
+def along(now: np.ndarray, sizes: np.ndarray) -> Grams:
+    """The grams of texts; EDGE stands before their first token."""
+    first = np.cumsum(sizes) - sizes
+    before = np.concatenate(([0], now[:-1]))
+    before[first] = 0
+    earlier = np.concatenate(([0], before[:-1]))
+    earlier[first] = 0
+    return grams(now, before, earlier)
 
-def word_counts(texts: DataFrame) -> DataFrame:
-    """(word binary, c): counts of the words of texts (text)."""
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter = Counter()
+def pack(*arrays: np.ndarray) -> bytes:
+    """Arrays of whole numbers (narrowed, byte planes apart) or floats, compressed."""
+    head, body = [struct.pack("<B", len(arrays))], []
+    for a in arrays:
+        if a.dtype.kind != "f" and a.dtype != np.uint64:
+            top = int(a.max()) if len(a) else 0
+            a = a.astype(np.uint8 if top < 1 << 8 else np.uint16 if top < 1 << 16 else np.uint32 if top < 1 << 32 else np.uint64)
+        head.append(struct.pack("<cq", a.dtype.char.encode(), len(a)))
+        body.append(a.view(np.uint8).reshape(-1, a.itemsize).T.tobytes() if len(a) else b"")
+    raw = b"".join(head + body)
+    return struct.pack("<q", len(raw)) + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def unpack(blob: bytes) -> list[np.ndarray]:
+    """Whole numbers come back as 64-bit ones."""
+    raw = pa.decompress(blob[8:], decompressed_size=struct.unpack_from("<q", blob)[0], codec="zstd", asbytes=True)
+    n, out = raw[0], []
+    at = 1 + 9 * n
+    for k in range(n):
+        char, size = struct.unpack_from("<cq", raw, 1 + 9 * k)
+        kind = np.dtype(char.decode())
+        a = np.frombuffer(raw, np.uint8, size * kind.itemsize, at).reshape(kind.itemsize, size).T.copy().view(kind).reshape(size)
+        at += size * kind.itemsize
+        out.append(a.astype(np.int64) if kind.kind != "f" and kind != np.uint64 else a)
+    return out
 
-        def flush() -> pa.RecordBatch:
-            out = pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "c"])
-            counts.clear()
-            return out
 
+# --- counts ---
+
+
+def census(rows: DataFrame, share: int) -> DataFrame:
+    """(kind, key, c, n) of rows (text, held_out): words (kind 1) with their counts in training and in all texts; pairs (2) and triples (3) by
+    hash, with their count n in those runs where it is over one in `share` of the tokens."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for t in b.column("text"):
-                counts.update(split(t.as_py()))
-                if len(counts) > 400_000:
-                    yield flush()
-        yield flush()
+            held = b.column("held_out").to_numpy(zero_copy_only=False)
+            for start, stop, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+                taught = np.repeat(~held[start:stop], sizes)
+                n, c = np.bincount(now, minlength=len(words)), np.bincount(now[taught], minlength=len(words))
+                yield of(1, pa.array(words, pa.binary()), c, n)
+                g, h, least = along(now, sizes), hashes(words), max(2, len(now) // share)
+                many = np.bincount(g.triple_of, minlength=len(g.triple_pair))
+                pair_many = np.bincount(g.triple_pair, weights=many, minlength=len(g.pair_word)).astype(np.int64)
+                pair_hash = joined(h[g.pair_before], h[g.pair_word])
+                for kind, key, m in ((2, pair_hash, pair_many), (3, joined(h[g.triple_before], pair_hash[g.triple_pair]), many)):
+                    hot = np.flatnonzero(m >= least)
+                    yield of(kind, pa.array([x.tobytes() for x in key[hot]], pa.binary()), np.zeros(len(hot), np.int64), m[hot])
+
+    def of(kind: int, keys: pa.Array, c: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(c), kind, np.int32)), keys, pa.array(c.astype(np.int64)), pa.array(n.astype(np.int64))], names=["kind", "key", "c", "n"])
+
+    return arrow_map(rows.select("text", "held_out"), work, "kind int, key binary, c bigint, n bigint").groupBy("kind", "key").agg(F.sum("c").alias("c"), F.sum("n").alias("n"))
+
+
+@dataclass
+class Model:
+    """What all tasks know; its size is bounded by shares."""
+
+    spelling: Spelling
+    kinds: int
+    once: int
+    tokens: int
+    ends: int
+    parts: int
+    #: Hot words: hashes, the commonest first, their training counts and log10 p(w); the order of the hashes.
+    words: np.ndarray
+    c: np.ndarray
+    alone: np.ndarray
+    order: np.ndarray
+    #: Hot pairs and triples: sorted hashes and training counts.
+    pairs: np.ndarray
+    pair_c: np.ndarray
+    triples: np.ndarray
+    triple_c: np.ndarray
+
+    @property
+    def n_all(self) -> int:
+        return self.tokens + self.ends
+
+    def p(self, c: np.ndarray, spelled: np.ndarray) -> np.ndarray:
+        """log10 p(w) of words."""
+        return word_log10(c, spelled, self.kinds, self.once, self.tokens) + np.log10(1 - self.end_p())
+
+    def end_p(self) -> float:
+        return (self.ends + 0.5) / (self.n_all + 1.0)
+
+    def told(self, c3: np.ndarray, c2: np.ndarray, c1: np.ndarray, alone: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """log10 of tokens' numerators over their successors' denominators (of counts 0 at least), at most 0. An end is followed by a text's start."""
+        # without counts the logarithm of p(w) itself, which may be too small for a double
+        up = np.where((c3 == 0) & (c2 == 0), np.log10(G) + alone, np.log10(c3 + KAPPA * c2 + G * 10.0 ** np.maximum(alone, -300)))
+        return up - np.log10(np.where(ends, self.ends + KAPPA * self.ends, c2 + KAPPA * c1) + G)
+
+    def hot_words(self, h: np.ndarray) -> np.ndarray:
+        """Numbers of hot words by their hashes, or -1."""
+        at = find(self.words[self.order], h)
+        return np.where(at >= 0, self.order[at] if len(self.order) else -1, -1)
+
+
+def hot(rows: DataFrame, found: DataFrame, model: Model, share: int, total: int) -> Model:
+    """The model with its hot words, pairs and triples."""
+    spark = rows.sparkSession
+    shared = spark.sparkContext.broadcast(model)
+
+    def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        spelling = shared.value.spelling
+        for b in batches:
+            if b.num_rows:
+                words, c = b.column("key").to_pylist(), b.column("c").to_numpy()
+                ends = np.fromiter((w == EDGE for w in words), bool, len(words))
+                alone = np.where(ends, np.log10(shared.value.end_p()), shared.value.p(c, spelling.spell(words)))
+                yield pa.RecordBatch.from_arrays([pa.array(hashes(words).view(np.int64)), b.column("c"), b.column("n"), pa.array(alone)], names=["h", "c", "n", "alone"])
+
+    often = found.where((F.col("kind") == 1) & ((F.col("n") > total / HOT_WORDS) | (F.col("key") == F.lit(EDGE))))
+    words = arrow_map(often.select("key", "c", "n"), spell, "h bigint, c bigint, n bigint, alone double").toArrow()  # HOT_WORDS at most
+    h, c, n, alone = (words.column(x).to_numpy() for x in ("h", "c", "n", "alone"))
+    by = np.lexsort((h, -n))
+    model.words, model.c, model.alone = h[by].view(np.uint64), c[by], alone[by]
+    model.order = np.argsort(model.words)
+    for kind in (2, 3):  # `share` rows at most
+        keys = found.where((F.col("kind") == kind) & (F.col("n") > total / share)).select("key").toArrow().column("key").to_pylist()
+        table = np.sort(np.frombuffer(b"".join(keys), np.uint64))
+        if kind == 2:
+            model.pairs, model.pair_c = table, np.zeros(len(table), np.int64)
+        else:
+            model.triples, model.triple_c = table, np.zeros(len(table), np.int64)
+    if not len(model.pairs):
+        return model
+    asked = spark.sparkContext.broadcast((model.pairs, model.triples))
+
+    def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pairs, triples = asked.value
+        c = np.zeros(len(pairs) + len(triples), np.int64)
+        for b in batches:
+            for _, _, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+                h = hashes(words)
+                first = np.cumsum(sizes) - sizes
+                before = np.concatenate(([0], now[:-1]))
+                before[first] = 0
+                at = find(pairs, two := joined(h[before], h[now]))
+                c[: len(pairs)] += np.bincount(at[at >= 0], minlength=len(pairs))
+                before = np.concatenate(([0], before[:-1]))
+                before[first] = 0
+                some = np.flatnonzero(at >= 0)  # a hot triple's pair is hot
+                at = find(triples, joined(h[before[some]], two[some]))
+                c[len(pairs) :] += np.bincount(at[at >= 0], minlength=len(triples))
+        yield pa.RecordBatch.from_arrays([pa.array(np.flatnonzero(c)), pa.array(c[c > 0])], names=["k", "c"])
+
+    counted = arrow_map(rows.where("not held_out").select("text"), exact, "k bigint, c bigint").groupBy("k").agg(F.sum("c").alias("c")).toArrow()
+    both = np.zeros(len(model.pairs) + len(model.triples), np.int64)
+    both[counted.column("k").to_numpy()] = counted.column("c").to_numpy()
+    model.pair_c, model.triple_c = both[: len(model.pairs)], both[len(model.pairs) :]
+    return model
+
 
-    return arrow_map(texts, work, "word binary, c bigint").groupBy("word").agg(F.sum("c").alias("c"))
+# --- one exchange of n-grams, one of answers ---
 
+CELL = "part int, run bigint, digest bigint, cells int, blob binary"
 
-def gram_counts(counts: DataFrame, order: int = ORDER) -> DataFrame:
-    """(n, key, c): counts of the byte n-grams in marked words, for n = 1..order; each row of counts (word) counts once."""
+
+def cells_of(part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(part, places of its triples in order) of the parts that have some."""
+    by = np.argsort(part, kind="stable")
+    own = part[by]
+    starts = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1]))) if len(own) else np.zeros(0, np.int64)
+    for a, b in zip(starts.tolist(), np.append(starts[1:], len(own)).tolist()):
+        yield int(own[a]), by[a:b]
+
+
+def deal(rows: DataFrame, model: Model) -> DataFrame:
+    """CELL rows: each run's triples by part, and one row (a number of cells that isn't null) with its texts' ids and what was scored at once."""
+    shared = rows.sparkSession.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m: Model = shared.value
+        spelling, n_hot = m.spelling, len(m.words)
+        task, at = TaskContext.get().partitionId() << 32, count()
         for b in batches:
-            if not b.num_rows:
-                continue
-            words = b.column("word").to_pylist()
-            sizes = np.array([len(w) + 2 for w in words])
-            text = np.frombuffer(b" " + b"\n ".join(words) + b"\n", dtype=np.uint8).astype(np.uint64)
-            first = np.cumsum(sizes) - sizes
-            place = np.arange(len(text)) - np.repeat(first, sizes)
-            key = np.zeros(len(text), dtype=np.uint64)
-            for n in range(1, order + 1):
-                # the last n bytes up to each place
-                key = (np.concatenate(([np.uint64(0)], key[:-1])) << np.uint64(8) | text) if n > 1 else text.copy()
-                ok = place >= n - 1
-                keys, many = np.unique(key[ok], return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), n, np.int32)), pa.array(keys.astype(np.int64)), pa.array(many.astype(np.int64))], names=["n", "key", "c"])
-
-    return arrow_map(counts.select("word"), work, "n int, key bigint, c bigint").groupBy("n", "key").agg(F.sum("c").alias("c"))
-
-
-def train(counts: DataFrame, order: int = ORDER, most: int = MOST) -> Trie | None:
-    """The trie of (word, c), or None if it would have more than `most` n-grams."""
-    grams = cut(gram_counts(counts, order))
-    size = grams.count()
-    if size > most:
-        return None
-    if not size:
-        return Trie([])
-    table = grams.toArrow()  # at most `most` rows
-    n, key, c = (table.column(x).to_numpy() for x in ("n", "key", "c"))
-    return Trie.train([(key[n == k].astype(np.uint64), c[n == k]) for k in range(1, order + 1)])
-
-
-def spell_apart(taught: DataFrame, others: DataFrame, order: int = ORDER) -> DataFrame:
-    """(word, spelled): what the trie of the words `taught` gives for them and `others`, by joins only."""
-    spark = taught.sparkSession
-    grams = cut(gram_counts(taught, order).unionByName(gram_counts(others, order).withColumn("c", F.lit(0).cast("long"))).groupBy("n", "key").agg(F.sum("c").alias("c")))
-    ones = grams.where("n = 1").toArrow()  # at most 256 rows
-    key, c = (ones.column(x).to_numpy() for x in ("key", "c"))
-    told = np.where(key == START, 0, c)
-    p = (told + (told > 0).sum() / SYMBOLS) / (told.sum() + (told > 0).sum())
-    below = spark.createDataFrame(list(zip(key.tolist(), (-np.log10(p)).tolist())), "key long, cost double")
-    costs = below.select(F.lit(1).alias("n"), "key", "cost")
-    for n in range(2, order + 1):
-        level = grams.where(F.col("n") == n).select("key", "c", F.shiftrightunsigned("key", 8).alias("context"), F.col("key").bitwiseAND((1 << 8 * (n - 1)) - 1).alias("shorter"))
-        follow = level.where("c > 0").groupBy("context").agg(F.sum("c").alias("total"), F.count("*").alias("kinds"))
-        met = level.join(follow, "context", "left").join(below.select(F.col("key").alias("shorter"), F.col("cost").alias("low")), "shorter")
-        seen = -F.log10((F.col("c") + F.col("kinds") * F.pow(F.lit(10.0), -F.col("low"))) / (F.col("total") + F.col("kinds")))
-        left = F.coalesce(-F.log10(F.col("kinds") / (F.col("total") + F.col("kinds"))), F.lit(0.0))
-        below = cut(met.select("key", F.when(F.col("c") > 0, seen).otherwise(F.col("low") + left).alias("cost")))
-        costs = costs.union(below.select(F.lit(n), "key", "cost"))
-
-    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held = b.column("held_out").to_numpy(zero_copy_only=False)
+            for start, stop, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+                run, g, h = task | next(at), along(now, sizes), hashes(words)
+                # what a retried task would have to repeat
+                digest = int(mixed(h[now] + np.arange(len(now), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64))
+                text_of = np.repeat(np.arange(len(sizes)), sizes)
+                many = np.bincount(g.triple_of, minlength=len(g.triple_pair))
+                places = text_of[np.argsort(g.triple_of, kind="stable")]
+                ends = np.cumsum(many)
+                word_at = m.hot_words(h)
+                pair_hash = joined(h[g.pair_before], h[g.pair_word])
+                pair_at = np.where(word_at[g.pair_word] >= 0, find(m.pairs, pair_hash), -1)
+                triple_hash = joined(h[g.triple_before], pair_hash[g.triple_pair])
+                triple_at = np.where(pair_at[g.triple_pair] >= 0, find(m.triples, triple_hash), -1)
+                word_of = g.pair_word[g.triple_pair]
+                own = np.zeros((3, len(sizes)))
+                now_known = np.flatnonzero(triple_at >= 0)
+                if len(now_known):
+                    w = word_at[word_of[now_known]]
+                    values = code(m.told(m.triple_c[triple_at[now_known]], m.pair_c[pair_at[g.triple_pair[now_known]]], m.c[w], m.alone[w], word_of[now_known] == 0))
+                    occurs = spread(ends[now_known] - many[now_known], many[now_known])
+                    for k, x in enumerate((values, np.log10(m.c[w] + 0.1), m.c[w] > 0)):
+                        own[k] = np.bincount(places[occurs], weights=np.repeat(x, many[now_known]), minlength=len(sizes))
+                key = np.where(pair_at[g.triple_pair] >= 0, triple_hash, np.where(word_at[word_of] >= 0, pair_hash[g.triple_pair], mixed(h[word_of])))
+                rest = np.flatnonzero(triple_at < 0)
+                part = (key[rest] % np.uint64(m.parts)).astype(np.int64)
+                cold = np.flatnonzero(word_at < 0)
+                spelled = np.zeros(len(words), np.float32)
+                if len(cold):
+                    spelled[cold] = spelling.spell([words[i] for i in cold.tolist()])
+                cells = 0
+                for to, places_ in cells_of(part):
+                    t = rest[places_]
+                    pair, pair_new = g.triple_pair[t], flags(g.triple_pair[t])
+                    pairs = pair[pair_new]
+                    word_new = flags(g.pair_word[pairs])
+                    w, v, u = g.pair_word[pairs][word_new], g.pair_before[pairs], g.triple_before[t]
+                    local = np.unique(np.concatenate((w, v, u)))
+                    local = local[word_at[local] < 0]
+                    number = lambda x, local=local: np.where(word_at[x] >= 0, word_at[x], n_hot + np.searchsorted(local, x))
+                    occurs = spread(ends[t] - many[t], many[t])
+                    blob = pack(h[local], number(w), spelled[w[word_at[w] < 0]], lengths(word_new), number(v), lengths(pair_new), number(u), many[t], places[occurs], np.packbits(held[start:stop]))
+                    cells += 1
+                    yield row(to, run, digest, None, blob)
+                ids = pa.BufferOutputStream()
+                about = pa.RecordBatch.from_arrays([b.column("doc_id").slice(start, stop - start), pa.array(sizes), pa.array(own[0].astype(np.int64)), pa.array(own[1]), pa.array(own[2].astype(np.int64))], names=["doc_id", "n", "value", "base", "known"])
+                with pa.ipc.new_stream(ids, about.schema) as out:
+                    out.write_batch(about)
+                yield row(run % m.parts, run, digest, cells, ids.getvalue().to_pybytes())
+
+    def row(part: int, run: int, digest: int, cells: int | None, blob: bytes) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([run], pa.int64()), pa.array([digest], pa.int64()), pa.array([cells], pa.int32()), pa.array([blob], pa.binary())], names=["part", "run", "digest", "cells", "blob"])
+
+    return arrow_map(rows.select("doc_id", "text", "held_out"), work, CELL)
+
+
+def flags(sorted_: np.ndarray) -> np.ndarray:
+    """Where a sorted array's values begin."""
+    return np.concatenate(([True], sorted_[1:] != sorted_[:-1]))
+
+
+def lengths(starts: np.ndarray) -> np.ndarray:
+    return np.diff(np.append(np.flatnonzero(starts), len(starts)))
+
+
+def spread(starts: np.ndarray, many: np.ndarray) -> np.ndarray:
+    """The places starts[i], .., starts[i] + many[i] - 1 of all i."""
+    return np.repeat(starts - (np.cumsum(many) - many), many) + np.arange(int(many.sum()))
+
+
+class Part:
+    """One part's cells, counted and scored."""
+
+    def __init__(self, model: Model, blobs: list[bytes]):
+        m, n_hot = model, len(model.words)
+        cells = [unpack(b) for b in blobs]
+        known, number = np.unique(np.concatenate([c[0] for c in cells]), return_inverse=True)
+        firsts = np.cumsum([0] + [len(c[0]) for c in cells])
+        w, v, u, taught, spelled = [], [], [], [], []
+        self.places, self.many = [], []
+        for c, at in zip(cells, firsts.tolist()):
+            named = lambda x, c=c, at=at: np.where(x < n_hot, x, n_hot + number[at + np.maximum(x - n_hot, 0)]) if len(c[0]) else x
+            _, words, own, pairs, before, triples, earlier, many, places, out = c
+            words = named(words)
+            spelled.append((words[words >= n_hot], own))
+            w.append(np.repeat(np.repeat(words, pairs), triples))
+            v.append(np.repeat(named(before), triples))
+            u.append(named(earlier))
+            out = np.unpackbits(out.astype(np.uint8)).astype(np.int64)
+            taught.append(np.add.reduceat(1 - out[places], np.cumsum(many) - many))
+            self.places.append(places)
+            self.many.append(many)
+        self.sizes = [len(x) for x in w]
+        g = grams(*map(np.concatenate, (w, v, u)))
+        del w, v, u, cells
+        self.triple_of = g.triple_of
+        c3 = np.bincount(g.triple_of, weights=np.concatenate(taught), minlength=len(g.triple_pair)).astype(np.int64)
+        c2 = np.bincount(g.triple_pair, weights=c3, minlength=len(g.pair_word)).astype(np.int64)
+        words, word_of = np.unique(g.pair_word, return_inverse=True)
+        c1 = np.bincount(word_of, weights=c2, minlength=len(words)).astype(np.int64)
+        h = np.concatenate((m.words, known))
+        warm = words < n_hot
+        c1[warm] = m.c[words[warm]]
+        at = np.where(warm[word_of], find(m.pairs, joined(h[g.pair_before], h[g.pair_word])), -1)
+        c2[at >= 0] = m.pair_c[at[at >= 0]]
+        how = np.zeros(len(words))
+        ids, costs = (np.concatenate(x) for x in zip(*spelled))
+        how[np.searchsorted(words, ids)] = costs
+        alone = m.p(c1, how)
+        alone[warm] = m.alone[words[warm]]
+        end = m.hot_words(hashes([EDGE]))[0]
+        trie = self.written(m, words, word_of, g, c1, c2, c3, alone, words == end)
+        # queries: each distinct triple once
+        one = trie.roots(words)
+        two = trie.child(0, one[word_of], g.pair_before)
+        three = trie.child(1, two[g.triple_pair], g.triple_before)
+        p1, p2, p3 = (np.append(level[2], 0).astype(np.int64) for level in trie.levels)
+        none = np.zeros(len(words))
+        unknown = np.round(-m.told(none, none, none, alone, words == end) * SCALE).astype(np.int64)
+        single = np.where(one >= 0, p1[one], unknown)
+        double = np.where(two >= 0, p2[two], single[word_of])
+        self.values = np.where(three >= 0, p3[three], double[g.triple_pair])
+        self.base, self.known = (x[word_of][g.triple_pair] for x in (np.log10(c1 + 0.1), c1 > 0))
+
+    @staticmethod
+    def written(m: Model, words: np.ndarray, word_of: np.ndarray, g: Grams, c1: np.ndarray, c2: np.ndarray, c3: np.ndarray, alone: np.ndarray, ends: np.ndarray) -> Trie:
+        """The trie of what training texts have, from a file that is mapped into memory and has no name: it goes with the task."""
+        of_triple = word_of[g.triple_pair]
+        keep1, keep2, keep3 = np.flatnonzero(c1 > 0), np.flatnonzero(c2 > 0), np.flatnonzero(c3 > 0)
+        up2, up3 = np.cumsum(c1 > 0)[word_of[keep2]] - 1, np.cumsum(c2 > 0)[g.triple_pair[keep3]] - 1
+        value = lambda c3, c2, k: code(m.told(c3, c2, c1[k], alone[k], ends[k]))
+        none1, none2 = np.zeros(len(keep1)), np.zeros(len(keep2))
+        at2, at3 = word_of[keep2], of_triple[keep3]
+        trie = Trie.of(
+            [words[keep1], g.pair_before[keep2], g.triple_before[keep3]], [up2, up3],
+            [value(none1, none1, keep1), value(none2, c2[keep2], at2), value(c3[keep3], c2[g.triple_pair[keep3]], at3)],
+        )
+        with tempfile.TemporaryFile() as f:
+            f.write(trie.pack())
+            f.flush()
+            return Trie.open(f)
+
+    def answers(self) -> Iterator[bytes]:
+        """Per cell: its texts, and their sums of values, base logarithms and known tokens."""
+        at = 0
+        for size, places, many in zip(self.sizes, self.places, self.many):
+            triples = np.repeat(self.triple_of[at : at + size], many)
+            at += size
+            texts, own = np.unique(places, return_inverse=True)
+            value, base, known = (np.bincount(own, weights=x[triples], minlength=len(texts)) for x in (self.values, self.base, self.known))
+            yield pack(np.diff(texts, prepend=0), value.astype(np.int64), base, known.astype(np.int64))
+
+
+def answer(dealt: DataFrame, model: Model) -> DataFrame:
+    """CELL rows: each cell's answer to its run, and the rows of ids as they came."""
+    shared = dealt.sparkSession.sparkContext.broadcast(model)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list[pa.RecordBatch]] = defaultdict(list)
         for b in batches:
-            if not b.num_rows:
-                continue
-            words = b.column("word").to_pylist()
-            sizes = np.array([len(w) + 2 for w in words])
-            text = np.frombuffer(b" " + b"\n ".join(words) + b"\n", dtype=np.uint8).astype(np.uint64)
-            place = np.arange(len(text)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-            key, longest = text.copy(), text.copy()
-            for n in range(2, order + 1):
-                key = np.concatenate(([np.uint64(0)], key[:-1])) << np.uint64(8) | text
-                longest[place >= n - 1] = key[place >= n - 1]
-            kept = np.flatnonzero(place > 0)  # the start mark costs nothing
-            own = np.repeat(np.arange(len(words)), sizes)[kept]
-            yield pa.RecordBatch.from_arrays([b.column("word").take(pa.array(own)), pa.array(np.minimum(place[kept] + 1, order).astype(np.int32)), pa.array(longest[kept].astype(np.int64))], names=["word", "n", "key"])
-
-    every = arrow_map(taught.select("word").union(others.select("word")), places, "word binary, n int, key bigint")
-    return every.join(costs.hint("merge"), ["n", "key"]).groupBy("word").agg((-F.sum("cost")).alias("spelled"))
-
-
-def score(docs: DataFrame, fold: int = 10, order: int = ORDER, most: int = MOST) -> DataFrame:
+            part = b.column("part").to_numpy()
+            header = b.column("cells").is_valid().to_numpy(zero_copy_only=False)
+            if header.any():
+                yield b.filter(pa.array(header))
+            for p in np.unique(part[~header]).tolist():
+                held[p].append(b.filter(pa.array(~header & (part == p))))
+        for p in list(held):
+            table = pa.Table.from_batches(held.pop(p))
+            got = Part(shared.value, table.column("blob").to_pylist())
+            answers = pa.array(list(got.answers()), pa.binary())
+            yield from table.drop_columns("blob").append_column("blob", answers).combine_chunks().to_batches()
+
+    return arrow_map(dealt.repartitionById(model.parts, F.col("part")), work, CELL)
+
+
+def total(answers: DataFrame, id_type: str) -> DataFrame:
+    """(doc_id, n_tokens, n_known, base, score): one row for each text."""
+
+    def work(table: pa.Table) -> pa.Table:
+        table = table.sort_by("part")
+        cells = table.column("cells").to_pylist()
+        head = [i for i, c in enumerate(cells) if c is not None]
+        if len(head) != 1 or cells[head[0]] != len(cells) - 1 or len(set(table.column("digest").to_pylist())) != 1:
+            raise RuntimeError("a run of texts lacks answers or was dealt twice in different ways: the input isn't stable when tasks are retried")
+        about = pa.ipc.open_stream(table.column("blob")[head[0]].as_py()).read_all()
+        value, base, known = (about.column(x).to_numpy().copy() for x in ("value", "base", "known"))
+        for i, blob in enumerate(table.column("blob")):
+            if i != head[0]:
+                texts, v, b, k = unpack(blob.as_py())
+                at = np.cumsum(texts)
+                value[at] += v
+                base[at] += b
+                known[at] += k
+        return pa.table({"doc_id": about.column("doc_id"), "n_tokens": about.column("n"), "n_known": known, "base": base, "score": value / -SCALE})
+
+    return answers.groupBy("run").applyInArrow(work, f"doc_id {id_type}, n_tokens bigint, n_known bigint, base double, score double")
+
+
+def score(docs: DataFrame, fold: int = 10, part_bytes: int = PART_BYTES) -> DataFrame:
     """One row for each row of docs: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     rows = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), (bucket_of(F.col("doc_id"), fold) == 0).alias("held_out"))
-    taught = rows.where("not held_out")
-    counts = cut(word_counts(taught.select("text")))
-    ends = taught.count()
-    kinds, once, tokens = counts.agg(F.count("*"), F.count_if(F.col("c") == 1), F.coalesce(F.sum("c"), F.lit(0))).first()
-    n_all, v_all = tokens + ends, kinds + (1 if ends else 0)
     spark = docs.sparkSession
-    trie = train(counts, order, most)
-    spelling = None if trie is None else spark.sparkContext.broadcast(trie.pack())
-    scale = float(np.log10(n_all + 0.1 * (v_all + 1)))
-    end_p = (ends + 0.5) / (n_all + 1.0)
-    go_on, stop = float(np.log10(1 - end_p)), float(np.log10(end_p))
-    end_base = float(np.log10(ends + 0.1)) - scale
-    base_type = dict(rows.dtypes)["doc_id"]
-
-    def by_itself(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie = Trie.unpack(spelling.value) if spelling else None
-        for b in batches:
-            words = b.column("word").to_pylist()
-            if words:
-                alone = word_log10(b.column("c").to_numpy(), trie.spell(words) if trie else b.column("spelled").to_numpy(), kinds, once, tokens) + go_on
-                yield pa.RecordBatch.from_arrays([b.column("word"), b.column("c"), pa.array(map(digest, words), pa.binary()), pa.array(alone)], names=["word", "c", "h", "alone"])
-
-    pairs = cut(pair_counts(taught.select("text")))
-    # what a word leaves to its successors by themselves: the discounts of its pairs
-    spread = pairs.groupBy(F.substring("key", 2, 8).alias("h")).agg((F.count("*") * PAIR_DISCOUNT).alias("off"))
-    edge = spark.createDataFrame([(EDGE, ends, digest(EDGE), stop)], "word binary, c bigint, h binary, alone double")
-    every = counts
-    if trie is None:  # words of held-out texts are spelled here as well
-        others = word_counts(rows.where("held_out").select("text")).join(counts, "word", "left_anti").select("word")
-        every = counts.unionByName(others.withColumn("c", F.lit(0).cast("long"))).join(spell_apart(counts, others, order), "word")
-    known = cut(arrow_map(every, by_itself, "word binary, c bigint, h binary, alone double").unionByName(edge).join(spread.hint("merge"), "h", "left"))
-    # at most 2**20 words and 2**22 pairs, to save shuffling
-    hot = known.where((F.col("c") > n_all / HOT_SHARE) & (F.col("word") != F.lit(EDGE))).unionByName(known.where(F.col("word") == F.lit(EDGE))).select("word", "c", "alone", (F.coalesce("off", "c") / F.greatest("c", F.lit(1))).alias("left")).toArrow()
-    hot_words, (hot_c, hot_alone, hot_left) = hot.column("word").to_pylist(), (hot.column(x).to_numpy() for x in ("c", "alone", "left"))
-    last = np.argsort(np.array([w == EDGE for w in hot_words]), kind="stable")  # the edge comes last
-    hot_words, hot_c, hot_alone, hot_left = [hot_words[i] for i in last], hot_c[last], hot_alone[last], np.where(hot_c > 0, hot_left, 1.0)[last]
-    told = pairs.where(F.col("c") > n_all / PAIR_SHARE).toArrow()
-    both = np.frombuffer(b"".join(x.cast(pa.binary(17)).buffers()[1].to_pybytes()[: 17 * len(x)] for x in told.column("key").chunks), np.uint8).reshape(-1, 17)[:, 1:].copy().view(np.uint64)
-    own = np.frombuffer(b"".join(map(digest, hot_words)), np.uint64)
-    by = np.argsort(own)
-    place = by[np.minimum(np.searchsorted(own[by], both), len(own) - 1)]
-    ok = (own[place] == both).all(axis=1)
-    common = Trie.of_pairs(place[ok, 0], place[ok, 1], told.column("c").to_numpy()[ok], hot_c, hot_left)
-    model = spark.sparkContext.broadcast((hot_words[:-1], hot_c[:-1], hot_alone[:-1], common.pack()))
-    share = F.greatest(F.col("c") - PAIR_DISCOUNT, F.lit(0.0)) / (F.col("off") * F.pow(F.lit(10.0), F.col("alone")))
-    second = known.select(F.col("h").alias("h2"), "alone").hint("merge")
-    gained = pairs.join(spread.hint("merge"), F.substring("key", 2, 8) == F.col("h")).join(second, F.substring("key", 10, 8) == F.col("h2"))
-    learned = known.select("word", "c", "alone", F.coalesce(F.log10(F.col("off") / F.col("c")), F.lit(0.0)).alias("x")).union(
-        gained.select("key", F.lit(None).cast("long"), F.lit(None).cast("double"), F.log10(1 + share)))
-
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known_words, c, itself, packed_pairs = model.value
-        at = {w: i for i, w in enumerate(known_words)}
-        at[EDGE] = len(at)
-        base = np.append(np.log10(c + 0.1) - scale, [end_base, 0.0])  # the last is for -1
-        alone = np.append(itself, [stop, 0.0])
-        told = np.append(np.ones(len(known_words), np.int64), [int(ends > 0), 0])
-        told_after = Trie.unpack(packed_pairs).told_after
-        names = ["doc_id", "th", "word", "k"]
-        for b in batches:
-            for start, end, texts, now in runs(b.column("text").to_pylist(), at):
-                before = np.concatenate(([at[EDGE]], now[:-1]))
-                each, met = map(np.concatenate, zip(*(told_after(before[k : k + RUN], now[k : k + RUN], alone[now[k : k + RUN]]) for k in range(0, len(now), RUN))))
-                sizes = np.array([len(t) for t in texts])
-                first = np.cumsum(sizes) - sizes
-                s_base, s_model, known = (np.add.reduceat(x, first).tolist() for x in (base[now], each, told[now]))
-                doc_ids, hashes = b.column("doc_id").slice(start, end - start), b.column("th").slice(start, end - start)
-                ids, ths, out_words, counts_ = [], [], [], []
-                for i, (doc_id, th, own) in enumerate(zip(doc_ids.to_pylist(), hashes.to_pylist(), texts)):
-                    rest = Counter(own[k] for k in np.flatnonzero(now[first[i] : first[i] + sizes[i]] < 0).tolist())
-                    out_words.extend(rest)
-                    counts_.extend(rest.values())
-                    # one row for the document itself; a space can't be in a word
-                    out_words.append(b" " + struct.pack("<dqqd", s_base[i], known[i], len(own), s_model[i]))
-                    counts_.append(0)
-                    ids.extend([doc_id] * (len(rest) + 1))
-                    ths.extend([th] * (len(rest) + 1))
-                yield pa.RecordBatch.from_arrays([pa.array(ids, b.column("doc_id").type), pa.array(ths, pa.int64()), pa.array(out_words, pa.binary()), pa.array(counts_, pa.int32())], names=names)
-                # all other pairs, once a document, with a count below 0
-                index: dict[bytes, int] = defaultdict(count().__next__)
-                edge = index[EDGE]
-                mine = numbered(index, chain.from_iterable(texts), len(now))
-                pairs, which = np.unique((np.concatenate(([edge], mine[:-1])) << 32 | mine)[~met], return_inverse=True)
-                rows_, many = np.unique(np.repeat(np.arange(len(texts)), sizes)[~met] << 32 | which, return_counts=True)
-                doc, pair = rows_ >> 32, pairs[rows_ & 0xFFFFFFFF]
-                yield pa.RecordBatch.from_arrays([doc_ids.take(pa.array(doc)), hashes.take(pa.array(doc)), pair_keys(pair >> 32, pair & 0xFFFFFFFF, digests_of(index)), pa.array((-many).astype(np.int32))], names=names)
-
-    dealt = arrow_map(rows.select("doc_id", keyed(F.col("text")).alias("th"), "text"), deal, f"doc_id {base_type}, th bigint, word binary, k int")
-    met = dealt.join(learned.hint("merge"), "word", "left").select("doc_id", "th", F.when(F.col("k") >= 0, F.col("word")).alias("word"), "k", "c", "alone", "x")
-
-    def rate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        trie = Trie.unpack(spelling.value) if spelling else None
-        for b in batches:
-            if not b.num_rows:
-                continue
-            words, k = b.column("word").to_pylist(), b.column("k").to_numpy().astype(np.float64)
-            new = np.flatnonzero((k > 0) & b.column("alone").is_null().to_numpy(zero_copy_only=False))
-            c, x, alone = (b.column(name).fill_null(0).to_numpy().copy() for name in ("c", "x", "alone"))
-            heads = np.flatnonzero(k == 0)
-            index: dict[bytes, int] = {}
-            own = np.array([index.setdefault(words[i], len(index)) for i in new.tolist()], dtype=np.int64)
-            if index:
-                alone[new] = word_log10(c[new], trie.spell(list(index))[own], kinds, once, tokens) + go_on
-            base, model_, known = np.where(k > 0, k * (np.log10(c + 0.1) - scale), 0.0), np.abs(k) * (alone + x), np.where(c > 0, k, 0).astype(np.int64)
-            n_tokens, copies = np.zeros(len(k), dtype=np.int64), np.zeros(len(k), dtype=np.int64)
-            for i in heads.tolist():
-                base[i], known[i], n_tokens[i] = struct.unpack_from("<dqq", words[i], 1)
-                (model_[i],) = struct.unpack_from("<d", words[i], 25)
-                copies[i] = 1
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("th"), *map(pa.array, (base, model_, known, n_tokens, copies))], names=["doc_id", "th", "base", "model", "known", "n", "copies"])
-
-    rated = arrow_map(met, rate, f"doc_id {base_type}, th bigint, base double, model double, known bigint, n bigint, copies bigint")
-    per = rated.groupBy("doc_id", "th").agg(*(F.sum(x).alias(x) for x in ("base", "model", "known", "n", "copies")))
-    again = per.withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), F.greatest("copies", F.lit(1)))))
-    each = lambda x: (F.col(x) / F.col("copies"))
-    return again.select(
-        "doc_id", (bucket_of(F.col("doc_id"), fold) == 0).alias("held_out"), F.expr("n div copies").alias("n_tokens"), F.expr("known div copies").alias("n_known"),
-        F.lit(n_all).cast("long").alias("train_tokens"), each("base").alias("base_score"), each("model").alias("score"),
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()["b"]
+    parts = max(shuffle_parts(spark), -(-size // part_bytes), 1)
+    share = 16 * parts
+    found = cut(census(rows, share))
+    words = found.where((F.col("kind") == 1) & (F.col("key") != F.lit(EDGE)))
+    got = found.where("kind = 1").agg(
+        F.coalesce(F.sum("n"), F.lit(0)).alias("total"), F.count_if((F.col("c") > 0) & (F.col("key") != F.lit(EDGE))).alias("kinds"), F.count_if((F.col("c") == 1) & (F.col("key") != F.lit(EDGE))).alias("once"),
+        F.coalesce(F.sum(F.when(F.col("key") != F.lit(EDGE), F.col("c"))), F.lit(0)).alias("tokens"), F.coalesce(F.sum(F.when(F.col("key") == F.lit(EDGE), F.col("c"))), F.lit(0)).alias("ends"),
+    ).first()
+    spelling = spellings.train(words.where("c > 0"))
+    none = np.zeros(0, np.int64)
+    empty = none.view(np.uint64)
+    model = Model(spelling, got["kinds"], got["once"], got["tokens"], got["ends"], parts, empty, none, none, none, empty, none, empty, none)
+    model = hot(rows, found, model, share, got["total"])
+    id_type = dict(rows.dtypes)["doc_id"]
+    per = total(answer(deal(rows, model), model), id_type)
+    v_all = model.kinds + (1 if model.ends else 0)
+    scale = float(np.log10(model.n_all + 0.1 * (v_all + 1)))
+    return per.select(
+        "doc_id", (bucket_of(F.col("doc_id"), fold) == 0).alias("held_out"), "n_tokens", "n_known", F.lit(model.n_all).cast("long").alias("train_tokens"),
+        (F.col("base") - F.col("n_tokens") * scale).alias("base_score"), "score",
     )
