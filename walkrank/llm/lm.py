@@ -164,7 +164,7 @@ def pack(*arrays: np.ndarray) -> bytes:
 
 
 def unpack(blob: bytes) -> list[np.ndarray]:
-    """Whole numbers come back as 64-bit ones."""
+    """Whole numbers come back as narrow as they were sent."""
     raw = pa.decompress(blob[8:], decompressed_size=struct.unpack_from("<q", blob)[0], codec="zstd", asbytes=True)
     n, out = raw[0], []
     at = 1 + 9 * n
@@ -173,7 +173,7 @@ def unpack(blob: bytes) -> list[np.ndarray]:
         kind = np.dtype(char.decode())
         a = np.frombuffer(raw, np.uint8, size * kind.itemsize, at).reshape(kind.itemsize, size).T.copy().view(kind).reshape(size)
         at += size * kind.itemsize
-        out.append(a.astype(np.int64) if kind.kind != "f" and kind != np.uint64 else a)
+        out.append(a)
     return out
 
 
@@ -399,71 +399,93 @@ def spread(starts: np.ndarray, many: np.ndarray) -> np.ndarray:
 
 
 class Part:
-    """One part's cells, counted and scored."""
+    """One part's cells, counted and scored. Arrays as long as the part's triples are few, narrow or made in pieces."""
+
+    PIECE = 1 << 18
 
     def __init__(self, model: Model, blobs: list[bytes]):
         m, n_hot = model, len(model.words)
         cells = [unpack(b) for b in blobs]
         known, number = np.unique(np.concatenate([c[0] for c in cells]), return_inverse=True)
         firsts = np.cumsum([0] + [len(c[0]) for c in cells])
-        w, v, u, taught, spelled = [], [], [], [], []
-        self.places, self.many = [], []
-        for c, at in zip(cells, firsts.tolist()):
-            named = lambda x, c=c, at=at: np.where(x < n_hot, x, n_hot + number[at + np.maximum(x - n_hot, 0)]) if len(c[0]) else x
-            _, words, own, pairs, before, triples, earlier, many, places, out = c
+        ends = np.cumsum([0] + [len(c[7]) for c in cells])
+        key, before, taught = np.empty(ends[-1], np.int64), np.empty(ends[-1], np.int64), np.empty(ends[-1], np.int32)
+        spelled, self.places, self.many = [], [], []
+        for k, (at, upto) in enumerate(zip(ends[:-1].tolist(), ends[1:].tolist())):
+            named = lambda x, first=firsts[k]: np.where(x < n_hot, x, n_hot + number[np.clip(x.astype(np.int64) - n_hot + first, 0, len(number) - 1)]) if len(number) else x.astype(np.int64)
+            _, words, own, pairs, second, triples, earlier, many, places, out = cells[k]
+            cells[k] = None
             words = named(words)
             spelled.append((words[words >= n_hot], own))
-            w.append(np.repeat(np.repeat(words, pairs), triples))
-            v.append(np.repeat(named(before), triples))
-            u.append(named(earlier))
-            out = np.unpackbits(out.astype(np.uint8)).astype(np.int64)
-            taught.append(np.add.reduceat(1 - out[places], np.cumsum(many) - many))
+            key[at:upto] = np.repeat(np.repeat(words, pairs) << 32 | named(second), triples)
+            before[at:upto] = named(earlier)
+            taught[at:upto] = np.add.reduceat(1 - np.unpackbits(out.astype(np.uint8))[places].astype(np.int32), np.cumsum(many, dtype=np.int64) - many)
             self.places.append(places)
             self.many.append(many)
-        self.sizes = [len(x) for x in w]
-        g = grams(*map(np.concatenate, (w, v, u)))
-        del w, v, u, cells
-        self.triple_of = g.triple_of
-        c3 = np.bincount(g.triple_of, weights=np.concatenate(taught), minlength=len(g.triple_pair)).astype(np.int64)
-        c2 = np.bincount(g.triple_pair, weights=c3, minlength=len(g.pair_word)).astype(np.int64)
-        words, word_of = np.unique(g.pair_word, return_inverse=True)
-        c1 = np.bincount(word_of, weights=c2, minlength=len(words)).astype(np.int64)
-        h = np.concatenate((m.words, known))
-        warm = words < n_hot
+        pairs, pair_of = np.unique(key, return_inverse=True)
+        del key
+        pair_of <<= 32
+        pair_of |= before
+        del before
+        triples, triple_of = np.unique(pair_of, return_inverse=True)
+        del pair_of
+        self.triple_of = triple_of.astype(np.int32)
+        del triple_of
+        c3 = np.bincount(self.triple_of, weights=taught, minlength=len(triples)).astype(np.int32)
+        del taught
+        self.pair_of = (triples >> 32).astype(np.int32)
+        earlier = (triples & LOW).astype(np.uint32)
+        del triples
+        c2 = np.bincount(self.pair_of, weights=c3, minlength=len(pairs)).astype(np.int64)
+        words, self.word_of = np.unique(pairs >> 32, return_inverse=True)
+        second = pairs & LOW
+        c1 = np.bincount(self.word_of, weights=c2, minlength=len(words)).astype(np.int64)
+        h, warm = np.concatenate((m.words, known)), words < n_hot
         c1[warm] = m.c[words[warm]]
-        at = np.where(warm[word_of], find(m.pairs, joined(h[g.pair_before], h[g.pair_word])), -1)
-        c2[at >= 0] = m.pair_c[at[at >= 0]]
+        hot = np.flatnonzero(warm[self.word_of])
+        at = find(m.pairs, joined(h[second[hot]], h[words[self.word_of[hot]]]))
+        c2[hot[at >= 0]] = m.pair_c[at[at >= 0]]
         how = np.zeros(len(words))
         ids, costs = (np.concatenate(x) for x in zip(*spelled))
         how[np.searchsorted(words, ids)] = costs
         alone = m.p(c1, how)
         alone[warm] = m.alone[words[warm]]
-        end = m.hot_words(hashes([EDGE]))[0]
-        trie = self.written(m, words, word_of, g, c1, c2, c3, alone, words == end)
+        is_end = words == m.hot_words(hashes([EDGE]))[0]
+        self.base, self.known = np.log10(c1 + 0.1), c1 > 0
+        trie = self.written(m, words, second, earlier, c1, c2, c3, alone, is_end)
         # queries: each distinct triple once
-        one = trie.roots(words)
-        two = trie.child(0, one[word_of], g.pair_before)
-        three = trie.child(1, two[g.triple_pair], g.triple_before)
-        p1, p2, p3 = (np.append(level[2], 0).astype(np.int64) for level in trie.levels)
         none = np.zeros(len(words))
-        unknown = np.round(-m.told(none, none, none, alone, words == end) * SCALE).astype(np.int64)
-        single = np.where(one >= 0, p1[one], unknown)
-        double = np.where(two >= 0, p2[two], single[word_of])
-        self.values = np.where(three >= 0, p3[three], double[g.triple_pair])
-        self.base, self.known = (x[word_of][g.triple_pair] for x in (np.log10(c1 + 0.1), c1 > 0))
-
-    @staticmethod
-    def written(m: Model, words: np.ndarray, word_of: np.ndarray, g: Grams, c1: np.ndarray, c2: np.ndarray, c3: np.ndarray, alone: np.ndarray, ends: np.ndarray) -> Trie:
+        unknown = np.round(-m.told(none, none, none, alone, is_end) * SCALE).astype(np.int64)
+        one = trie.roots(words)
+        single = np.where(one >= 0, np.append(trie.levels[0][2], 0).astype(np.int64)[one], unknown)
+        two = np.empty(len(pairs), np.int64)
+        for x in self.pieces(len(pairs)):
+            two[x] = trie.child(0, one[self.word_of[x]], second[x])
+        double = np.where(two >= 0, np.append(trie.levels[1][2], 0).astype(np.int64)[two], single[self.word_of])
+        self.values = np.empty(len(earlier), np.int64)
+        for x in self.pieces(len(earlier)):
+            three = trie.child(1, two[self.pair_of[x]], earlier[x])
+            self.values[x] = np.where(three >= 0, np.append(trie.levels[2][2], 0).astype(np.int64)[three], double[self.pair_of[x]])
+
+    def pieces(self, n: int) -> Iterator[slice]:
+        return (slice(at, min(n, at + self.PIECE)) for at in range(0, n, self.PIECE))
+
+    def written(self, m: Model, words: np.ndarray, second: np.ndarray, earlier: np.ndarray, c1: np.ndarray, c2: np.ndarray, c3: np.ndarray, alone: np.ndarray, ends: np.ndarray) -> Trie:
         """The trie of what training texts have, from a file that is mapped into memory and has no name: it goes with the task."""
-        of_triple = word_of[g.triple_pair]
-        keep1, keep2, keep3 = np.flatnonzero(c1 > 0), np.flatnonzero(c2 > 0), np.flatnonzero(c3 > 0)
-        up2, up3 = np.cumsum(c1 > 0)[word_of[keep2]] - 1, np.cumsum(c2 > 0)[g.triple_pair[keep3]] - 1
+        keep1, keep2 = np.flatnonzero(c1 > 0), np.flatnonzero(c2 > 0)
+        up2 = (np.cumsum(c1 > 0) - 1)[self.word_of[keep2]]
+        up3 = (np.cumsum(c2 > 0, dtype=np.int32) - 1)[self.pair_of[c3 > 0]]
         value = lambda c3, c2, k: code(m.told(c3, c2, c1[k], alone[k], ends[k]))
-        none1, none2 = np.zeros(len(keep1)), np.zeros(len(keep2))
-        at2, at3 = word_of[keep2], of_triple[keep3]
+        third = np.empty(len(up3), np.uint16)
+        at = 0
+        for x in self.pieces(len(c3)):
+            own = c3[x] > 0
+            pair = self.pair_of[x][own]
+            third[at : at + len(pair)] = value(c3[x][own], c2[pair], self.word_of[pair])
+            at += len(pair)
         trie = Trie.of(
-            [words[keep1], g.pair_before[keep2], g.triple_before[keep3]], [up2, up3],
-            [value(none1, none1, keep1), value(none2, c2[keep2], at2), value(c3[keep3], c2[g.triple_pair[keep3]], at3)],
+            [words[keep1], second[keep2], earlier[c3 > 0]], [up2, up3],
+            [value(np.zeros(len(keep1)), np.zeros(len(keep1)), keep1), value(np.zeros(len(keep2)), c2[keep2], self.word_of[keep2]), third],
         )
         with tempfile.TemporaryFile() as f:
             f.write(trie.pack())
@@ -473,12 +495,13 @@ class Part:
     def answers(self) -> Iterator[bytes]:
         """Per cell: its texts, and their sums of values, base logarithms and known tokens."""
         at = 0
-        for size, places, many in zip(self.sizes, self.places, self.many):
-            triples = np.repeat(self.triple_of[at : at + size], many)
-            at += size
+        for places, many in zip(self.places, self.many):
+            triples = np.repeat(self.triple_of[at : at + len(many)], many)
+            at += len(many)
             texts, own = np.unique(places, return_inverse=True)
-            value, base, known = (np.bincount(own, weights=x[triples], minlength=len(texts)) for x in (self.values, self.base, self.known))
-            yield pack(np.diff(texts, prepend=0), value.astype(np.int64), base, known.astype(np.int64))
+            word = self.word_of[self.pair_of[triples]]
+            value, base, known = (np.bincount(own, weights=x, minlength=len(texts)) for x in (self.values[triples], self.base[word], self.known[word]))
+            yield pack(np.diff(texts.astype(np.int64), prepend=0), value.astype(np.int64), base, known.astype(np.int64))
 
 
 def answer(dealt: DataFrame, model: Model) -> DataFrame:
@@ -497,6 +520,7 @@ def answer(dealt: DataFrame, model: Model) -> DataFrame:
         for p in list(held):
             table = pa.Table.from_batches(held.pop(p))
             got = Part(shared.value, table.column("blob").to_pylist())
+            pa.default_memory_pool().release_unused()
             answers = pa.array(list(got.answers()), pa.binary())
             yield from table.drop_columns("blob").append_column("blob", answers).combine_chunks().to_batches()
 
@@ -517,10 +541,10 @@ def total(answers: DataFrame, id_type: str) -> DataFrame:
         for i, blob in enumerate(table.column("blob")):
             if i != head[0]:
                 texts, v, b, k = unpack(blob.as_py())
-                at = np.cumsum(texts)
-                value[at] += v
+                at = np.cumsum(texts, dtype=np.int64)
+                value[at] += v.astype(np.int64)
                 base[at] += b
-                known[at] += k
+                known[at] += k.astype(np.int64)
         return pa.table({"doc_id": about.column("doc_id"), "n_tokens": about.column("n"), "n_known": known, "base": base, "score": value / -SCALE})
 
     return answers.groupBy("run").applyInArrow(work, f"doc_id {id_type}, n_tokens bigint, n_known bigint, base double, score double")
