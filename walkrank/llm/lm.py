@@ -56,7 +56,7 @@ G = 10.0
 HOT_WORDS = 1 << 20
 #: Bytes of text a part, and tokens a run.
 PART_BYTES = 24 << 20
-RUN = 1 << 20
+RUN = 1 << 19
 #: Stands for a text's end, and as a context for its start; can't be a word.
 EDGE = b"\n"
 LOW = np.int64(0xFFFFFFFF)
@@ -79,22 +79,25 @@ def word_log10(c: np.ndarray, spelled: np.ndarray, kinds: int, once: int, tokens
 # --- numbers of tokens, hashes, packed arrays ---
 
 
-def runs(texts: list[str | None], most: int) -> Iterator[tuple[int, int, list[bytes], np.ndarray, np.ndarray]]:
+def runs(texts: pa.Array, most: int) -> Iterator[tuple[int, int, list[bytes], np.ndarray, np.ndarray]]:
     """(start, stop, distinct tokens, their numbers along the texts, tokens a text), about `most` tokens at a time; EDGE is 0 and ends a text."""
     start, size = 0, 0
     index: dict[bytes, int] = defaultdict(count().__next__)
-    held: list[list[bytes]] = []
+    numbers, sizes = [], []
     for i, t in enumerate(texts):
-        own = split(t)
+        own = split(t.as_py())
         own.append(EDGE)
-        held.append(own)
+        if not numbers:
+            index[EDGE]  # noqa: B018
+        numbers.append(np.fromiter(map(index.__getitem__, own), np.int32, len(own)))
+        sizes.append(len(own))
         size += len(own)
         if size >= most or i == len(texts) - 1:
-            index[EDGE]  # noqa: B018
-            now = np.fromiter(map(index.__getitem__, chain.from_iterable(held)), np.int64, size)
-            yield start, i + 1, list(index), now, np.fromiter(map(len, held), np.int64, len(held))
-            start, size, held = i + 1, 0, []
+            words, now, many = list(index), np.concatenate(numbers).astype(np.int64), np.array(sizes, dtype=np.int64)
+            numbers, sizes, own = [], [], None
             index = defaultdict(count().__next__)
+            yield start, i + 1, words, now, many
+            start, size = i + 1, 0
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -131,7 +134,7 @@ class Grams:
     pair_before: np.ndarray
     triple_pair: np.ndarray
     triple_before: np.ndarray
-    triple_of: np.ndarray
+    triple_of: np.ndarray | None
 
 
 def grams(words: np.ndarray, before: np.ndarray, earlier: np.ndarray) -> Grams:
@@ -187,7 +190,7 @@ def census(rows: DataFrame, share: int) -> DataFrame:
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             held = b.column("held_out").to_numpy(zero_copy_only=False)
-            for start, stop, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+            for start, stop, words, now, sizes in runs(b.column("text"), RUN):
                 taught = np.repeat(~held[start:stop], sizes)
                 n, c = np.bincount(now, minlength=len(words)), np.bincount(now[taught], minlength=len(words))
                 yield of(1, pa.array(words, pa.binary()), c, n)
@@ -284,7 +287,7 @@ def hot(rows: DataFrame, found: DataFrame, model: Model, share: int, total: int)
         pairs, triples = asked.value
         c = np.zeros(len(pairs) + len(triples), np.int64)
         for b in batches:
-            for _, _, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+            for _, _, words, now, sizes in runs(b.column("text"), RUN):
                 h = hashes(words)
                 first = np.cumsum(sizes) - sizes
                 before = np.concatenate(([0], now[:-1]))
@@ -329,14 +332,15 @@ def deal(rows: DataFrame, model: Model) -> DataFrame:
         task, at = TaskContext.get().partitionId() << 32, count()
         for b in batches:
             held = b.column("held_out").to_numpy(zero_copy_only=False)
-            for start, stop, words, now, sizes in runs(b.column("text").to_pylist(), RUN):
+            for start, stop, words, now, sizes in runs(b.column("text"), RUN):
                 run, g, h = task | next(at), along(now, sizes), hashes(words)
                 # what a retried task would have to repeat
                 digest = int(mixed(h[now] + np.arange(len(now), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64))
                 text_of = np.repeat(np.arange(len(sizes)), sizes)
                 many = np.bincount(g.triple_of, minlength=len(g.triple_pair))
                 places = text_of[np.argsort(g.triple_of, kind="stable")]
-                ends = np.cumsum(many)
+                del text_of, now
+                g.triple_of, ends = None, np.cumsum(many)
                 word_at = m.hot_words(h)
                 pair_hash = joined(h[g.pair_before], h[g.pair_word])
                 pair_at = np.where(word_at[g.pair_word] >= 0, find(m.pairs, pair_hash), -1)
