@@ -5,7 +5,8 @@ ends it. Per key the events become validity intervals [from, until). A capture (
 the keys that could match it: its host and all parent domains, its path prefixes, its query parameters. The as-of
 join keeps the entries that were active when the capture was fetched.
 
-Keys that many captures share are dealt over salts on both sides; intervals are as many as the list's entries.
+A list of at most SMALL intervals, which is counted first, is broadcast, and keys that it lacks go before any exchange; beyond that, keys that many
+captures share are dealt over salts on both sides. Prefixes of any depth and texts of any length are looked up.
 Null or malformed URLs have no host and match nothing; a null fetch time matches nothing. At one instant removals
 come before additions, so an entry that is both removed and added stays active; with several categories added
 at one instant the smallest holds. Entries with a null key, time or action are ignored. Repeated captures come back
@@ -21,8 +22,8 @@ from pyspark.sql import functions as F
 from walkrank.llm.common import draw
 
 SALTS = 32
-#: Most path segments of a prefix rule in the query's SQL; the operator itself takes prefixes of any depth.
-DEPTH = 3
+#: Lists of at most so many intervals are broadcast.
+SMALL = 200_000
 
 
 def host_of(url: Column) -> Column:
@@ -72,8 +73,15 @@ def apply_lists(captures: DataFrame, entries: DataFrame) -> DataFrame:
     salted = rows.select("page_id", "url", "fetched_at", "__host", F.col("rule.kind").alias("kind"), F.col("rule.key").alias("key"), F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).alias("__salt"))
     # rows of kind 'self' match nothing and would share one key: they get one each
     salted = salted.withColumn("key", F.when(F.col("kind") == "self", F.xxhash64("page_id", "url").cast("string")).otherwise(F.col("key")))
-    lists = intervals(entries).withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
-    met = salted.join(lists, ["kind", "key", "__salt"], "left")
+    lists = intervals(entries)
+    if lists.limit(SMALL + 1).count() <= SMALL:
+        # keys that no list has go before the exchange; the row of kind 'self' stays
+        listed = F.broadcast(lists.select("kind", "key").distinct().withColumn("__listed", F.lit(True)))
+        salted = salted.join(listed, ["kind", "key"], "left").where((F.col("kind") == "self") | F.col("__listed")).drop("__listed", "__salt")
+        met = salted.join(F.broadcast(lists), ["kind", "key"], "left")
+    else:
+        copies = lists.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+        met = salted.join(copies, ["kind", "key", "__salt"], "left")
     active = (F.col("since") <= F.col("fetched_at")) & (F.col("until").isNull() | (F.col("fetched_at") < F.col("until")))
     name = F.concat_ws(":", "kind", "key")
     per = met.groupBy("page_id", "url", "fetched_at", F.col("__host").alias("host")).agg(
@@ -125,7 +133,7 @@ WITH part AS (SELECT page_id, url, 1704067200 + 86400 * (page_id % 366) AS fetch
         list_filter(string_split(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*(/[^?#]*)', 1), '/'), lambda x: x <> '') AS steps,
         list_distinct(list_filter(list_transform(string_split(regexp_extract(url, '^[^?#]*\?([^#]*)', 1), '&'), lambda x: lower(string_split(x, '=')[1])), lambda x: x <> '')) AS params FROM pages),
 cand AS (SELECT page_id, 'domain' AS kind, unnest([array_to_string(string_split(host, '.')[i:], '.') for i in range(1, len(string_split(host, '.')) + 1)]) AS key FROM part WHERE host <> ''
-        UNION ALL SELECT page_id, 'prefix', unnest([host || '/' || array_to_string(steps[:i], '/') for i in range(1, least(len(steps), {DEPTH}) + 1)]) FROM part WHERE host <> ''
+        UNION ALL SELECT page_id, 'prefix', unnest([host || '/' || array_to_string(steps[:i], '/') for i in range(1, len(steps) + 1)]) FROM part WHERE host <> ''
         UNION ALL SELECT page_id, 'param', unnest(params) FROM part WHERE host <> ''),
 drawn AS (SELECT DISTINCT kind, key, ('0x' || substr(md5('list|' || key), 1, 15))::BIGINT AS crc FROM cand),
 entry AS ({" UNION ALL ".join(rules)}),
