@@ -37,6 +37,8 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         if state == seen:
             break
         seen = state
+    else:
+        raise RuntimeError(f"components have not settled after {max_rounds} rounds")
     pairs = links.select(F.greatest("a", "b").alias("node"), F.least("a", "b").alias("component"))
     return pairs.union(pairs.select("component", "component")).groupBy("node").agg(F.min("component").alias("component"))
 

@@ -9,12 +9,13 @@ are counted in bit-sliced counters for 64 vectors at once. Pairs with fewer than
 their cosine in double precision.
 
 Equal vectors are one class from the start. Blocks are boxes by the signs of a few projections, cut to a bounded size;
-pairs of blocks whose boxes lie too far apart are skipped. A pair of blocks reports a number of links per vector and
-a spanning forest, never its pairs.
+of the boxes, narrow rows, those pairs within reach are found first, and only for these do vectors travel, several partners to a block that
+stays where it is. A pair of blocks reports a number of links per vector and a spanning forest, never its pairs.
 
 Vectors that are null, empty, zero or hold null or non-finite components link with nothing, nor do rows without an id
 (their component is null); vectors link only with vectors of their own length. Rows that repeat id and vector are
-vectors of their own. Extra columns are ignored.
+vectors of their own. Rows with one id but other vectors are vectors of their own too; as components are named by ids, such rows are in one. Components
+keep the precision they come in (float, or else double). Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,7 +32,7 @@ from walkrank.llm.common import arrow_map, cut, ship
 from walkrank.llm.components import components, local_components
 from walkrank.llm.topk import _floats, usable
 
-BLOCK = 4096
+BLOCK = 16384
 MISSES = 8
 #: Sorted places between two stored prefixes of an order.
 STEP = 32
@@ -103,12 +104,18 @@ def block_links(x: np.ndarray, y: np.ndarray, own: bool, weights: tuple[np.ndarr
     return to_x, to_y, root
 
 
-def blocks(classes: DataFrame, block_rows: int = BLOCK) -> tuple[DataFrame, int]:
-    """(dim, block, ids, hs, ws, vs): packed blocks of classes (node, h, w, v), numbered from 0, and their number."""
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Vectors times a power of two each, exactly, so that no square leaves the range of doubles."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])
+
+
+def blocks(classes: DataFrame, block_rows: int = BLOCK) -> tuple[DataFrame, DataFrame, int]:
+    """(packed, boxes, n): blocks of classes (node, h, w, dim, v), numbered from 0; the box of each, (dim, block, lo, hi); their number."""
     n = max(1, classes.count())
     count = -(-n // block_rows)
     # Near vectors get near numbers: a few projections' signs come first, the hash deals the rest.
     bits = max(0, min(16, int(np.log2(count))))
+    kind = dict(classes.dtypes)["v"]
     ship(classes.sparkSession)
 
     def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,57 +125,104 @@ def blocks(classes: DataFrame, block_rows: int = BLOCK) -> tuple[DataFrame, int]
             dims = b.column("dim").to_numpy()
             for d in np.unique(dims):
                 rows = np.flatnonzero(dims == d)
-                side = _floats(v.take(pa.array(rows))) @ rotation(int(d))[:, :bits] > 0
+                side = scaled(_floats(v.take(pa.array(rows)))) @ rotation(int(d))[:, :bits] > 0
                 cells[rows] = side @ (1 << np.arange(side.shape[1]))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(cells)], names=[*b.schema.names, "cell"])
 
-    celled = arrow_map(classes, code, "node bigint, h bigint, w bigint, dim int, v array<float>, cell bigint")
-    celled = cut(celled)
-    sizes = celled.groupBy("dim", "cell").agg(F.count("*").alias("c")).withColumn("parts", F.ceil(F.col("c") / block_rows).cast("long"))
-    split = celled.join(sizes, ["dim", "cell"]).withColumn("sub", F.pmod(F.xxhash64("node", "h"), F.col("parts")))
-    packed = split.groupBy("dim", "cell", "sub").agg(F.collect_list(F.struct("node", "h", "w", "v")).alias("r"))
-    packed = cut(packed.select("dim", "cell", "sub", "r.node", "r.h", "r.w", F.flatten("r.v").alias("v")))
-    # one row a block: numbering them needs only their keys
-    keys = packed.select("dim", "cell", "sub")
-    numbered = cut(keys.withColumn("block", F.row_number().over(W.orderBy("dim", "cell", "sub")) - 1))
-    return packed.join(numbered, ["dim", "cell", "sub"]).drop("cell", "sub"), numbered.count()
+    celled = arrow_map(classes, code, f"node bigint, h bigint, w bigint, dim int, v {kind}, cell bigint")
+    sizes = celled.groupBy("dim", "cell").agg(F.count("*").alias("c"))
+    # a row a cell: numbering blocks needs only the cells' sizes
+    sizes = sizes.withColumn("parts", F.ceil(F.col("c") / block_rows).cast("long"))
+    sizes = cut(sizes.withColumn("first", F.sum("parts").over(W.orderBy("dim", "cell").rowsBetween(W.unboundedPreceding, -1))).na.fill(0, ["first"]))
+    total = sizes.agg(F.coalesce(F.sum("parts"), F.lit(0)).alias("n")).first()["n"]
+    dealt = celled.join(sizes.select("dim", "cell", "parts", "first"), ["dim", "cell"]).withColumn("block", F.col("first") + F.pmod(F.xxhash64("node", "h"), F.col("parts")))
+    packed = dealt.groupBy("dim", "block").agg(F.collect_list(F.struct("node", "h", "w", "v")).alias("r"))
+    packed = cut(packed.select("dim", "block", "r.node", "r.h", "r.w", F.flatten("r.v").alias("v")))
+
+    def box(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            los, his = [], []
+            for r in range(b.num_rows):
+                x = _rows(b, r)
+                u = x / np.linalg.norm(x, axis=1)[:, None] @ rotation(x.shape[1])
+                los.append(u.min(axis=0))
+                his.append(u.max(axis=0))
+            yield pa.RecordBatch.from_arrays([b.column("dim"), b.column("block"), pa.array(los, pa.list_(pa.float64())), pa.array(his, pa.list_(pa.float64()))], names=["dim", "block", "lo", "hi"])
+
+    return packed, cut(arrow_map(packed.select("dim", "block", "v"), box, "dim int, block bigint, lo array<double>, hi array<double>")), total
+
+
+def _rows(b: pa.RecordBatch, r: int) -> np.ndarray:
+    return scaled(b.column("v")[r].values.to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, b.column("dim")[r].as_py()))
+
+
+def meetings(boxes: DataFrame, n: int, r2: float) -> DataFrame:
+    """(a, slot, role, block): the block a (role 0; 2 if it also meets itself) and up to `side` blocks that it meets (role 1) are wanted at
+    (a, slot). Of two blocks whose boxes are within reach, the one that has fewer others meets the other."""
+    other = boxes.select("dim", F.col("block").alias("b"), F.col("lo").alias("lo_b"), F.col("hi").alias("hi_b"))
+    # narrow rows only: vectors travel for pairs that are left
+    gap = F.zip_with(F.zip_with("lo", "hi_b", lambda x, y: F.greatest(x - y, F.lit(0.0))), F.zip_with("lo_b", "hi", lambda x, y: F.greatest(x - y, F.lit(0.0))), lambda x, y: F.greatest(x, y))
+    near = F.aggregate(gap, F.lit(0.0), lambda s, x: s + x * x) <= r2
+    # of blocks a < b, the even sums go to a and the odd ones to b, so that all have about as many
+    pairs = boxes.join(other, "dim").where((F.col("block") < F.col("b")) & near).select(F.col("block").alias("x"), F.col("b").alias("y"), ((F.col("block") + F.col("b")) % 2 == 0).alias("even"))
+    owned = pairs.select(F.when(F.col("even"), F.col("x")).otherwise(F.col("y")).alias("a"), F.when(F.col("even"), F.col("y")).otherwise(F.col("x")).alias("block"))
+    side = max(2, min(16, n // 4))
+    met = owned.withColumn("slot", F.floor(F.col("block") / side).cast("long")).select("a", "slot", F.lit(1).alias("role"), "block")
+    itself = boxes.select(F.col("block").alias("a"), F.floor(F.col("block") / side).cast("long").alias("slot"), F.lit(2).alias("role"), "block")
+    own = met.select("a", "slot").distinct().join(itself.select("a", "slot"), ["a", "slot"], "left_anti").select("a", "slot", F.lit(0).alias("role"), F.col("a").alias("block"))
+    return met.unionByName(itself).unionByName(own).withColumn("task", F.col("a") * (n // side + 1) + F.col("slot"))
+
+
+def links(packed: DataFrame, wanted: DataFrame, cosine: float, tasks: int) -> DataFrame:
+    """(node, h, links, root): per vector its links and a spanning forest, from the blocks that meet; a task holds two blocks at a time."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, mine = None, None
+        for b in batches:
+            for r in range(b.num_rows):
+                task, role = b.column("task")[r].as_py(), b.column("role")[r].as_py()
+                get = lambda c: b.column(c)[r].values.to_numpy(zero_copy_only=False)  # noqa: B023, E731
+                block = (_rows(b, r), get("w"), get("node"), get("h"))
+                if role != 1:
+                    at, mine = task, block
+                    if role == 2:
+                        yield found(mine, mine, True)
+                elif at != task:
+                    raise RuntimeError("a block came before the one that it meets")
+                else:
+                    yield found(mine, block, False)
+
+    def found(a: tuple, b: tuple, own: bool) -> pa.RecordBatch:
+        to_a, to_b, root = block_links(a[0], b[0], own, (a[1], b[1]), cosine)
+        node, h = (a[2], a[3]) if own else (np.concatenate((a[2], b[2])), np.concatenate((a[3], b[3])))
+        many = to_a + to_b if own else np.concatenate((to_a, to_b))
+        keep = (many > 0) | (root != np.arange(len(root)))
+        return pa.RecordBatch.from_arrays([pa.array(node[keep]), pa.array(h[keep]), pa.array(many[keep]), pa.array(node[root][keep])], names=["node", "h", "links", "root"])
+
+    rows = wanted.join(packed, "block").withColumn("first", F.when(F.col("role") == 1, 1).otherwise(0))
+    dealt = rows.select("task", "first", "role", "block", "dim", "node", "h", "w", "v").repartitionById(tasks, F.col("task").cast("int")).sortWithinPartitions("task", "first", "block")
+    return arrow_map(dealt, work, "node bigint, h bigint, links bigint, root bigint")
 
 
 def near_duplicates(rows: DataFrame, cosine: float = 0.95, block_rows: int = BLOCK) -> DataFrame:
     """(vec_id, n_links, component_id, kept): one row for each row of rows (vec_id, embedding)."""
-    # -0.0 is 0.0; components are compared as the floats they are stored as
-    clean = rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.transform("embedding", lambda x: x.cast("float") + F.lit(0.0).cast("float")).alias("v"))
+    # components keep their precision; -0.0 is 0.0
+    kind = "float" if dict(rows.dtypes)["embedding"] == "array<float>" else "double"
+    v = F.transform("embedding", lambda x: x.cast(kind) + F.lit(0.0).cast(kind))
+    clean = rows.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v"))
     good = F.col("vec_id").isNotNull() & usable(F.col("v")) & F.coalesce(F.exists("v", lambda x: x != 0), F.lit(False))
-    all_rows = cut(clean.withColumn("good", good).withColumn("h", F.when(F.col("good"), F.xxhash64("v"))))
-    classes = all_rows.where("good").groupBy("h", "v").agg(F.min("vec_id").alias("node"), F.count("*").alias("w"))
-    classes = cut(classes.select("node", "h", "w", F.size("v").alias("dim"), "v"))
-    packed, n = blocks(classes, block_rows)
-    packed = cut(packed)
-    # block a meets b once, at the pair (a, b) with a <= b: a goes along, b is looked up
-    along = packed.select("dim", F.col("block").alias("a"), F.explode(F.expr(f"sequence(cast(block as bigint), {max(0, n - 1)}L)")).alias("b"), *(F.col(c).alias(f"{c}_a") for c in ("node", "h", "w", "v")))
-    other = packed.select("dim", F.col("block").cast("long").alias("b"), *(F.col(c).alias(f"{c}_b") for c in ("node", "h", "w", "v")))
-    pairs = along.join(other, ["dim", "b"]).repartition(max(1, n * (n + 1) // 2), "a", "b") if n > 1 else along.join(other, ["dim", "b"])
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for r in range(batch.num_rows):
-                get = lambda c: batch.column(c)[r].values.to_numpy(zero_copy_only=False)  # noqa: B023, E731
-                own = batch.column("a")[r].as_py() == batch.column("b")[r].as_py()
-                dim = batch.column("dim")[r].as_py()
-                x, y = (get(f"v_{s}").astype(np.float64).reshape(-1, dim) for s in "ab")
-                to_x, to_y, root = block_links(x, y, own, (get("w_a"), get("w_b")), cosine)
-                node = get("node_a") if own else np.concatenate((get("node_a"), get("node_b")))
-                h = get("h_a") if own else np.concatenate((get("h_a"), get("h_b")))
-                links = to_x + to_y if own else np.concatenate((to_x, to_y))
-                up = root != np.arange(len(root))
-                keep = (links > 0) | up
-                yield pa.RecordBatch.from_arrays([pa.array(node[keep]), pa.array(h[keep]), pa.array(links[keep]), pa.array(node[root][keep])], names=["node", "h", "links", "root"])
-
-    found = cut(arrow_map(pairs, work, "node bigint, h bigint, links bigint, root bigint"))
+    # 128 bits name a vector
+    named = clean.withColumn("good", good).withColumn("h", F.when(F.col("good"), F.xxhash64("v"))).withColumn("h2", F.when(F.col("good"), F.xxhash64(F.lit(1), "v")))
+    classes = named.where("good").groupBy("h", "h2").agg(F.min("vec_id").alias("node"), F.count("*").alias("w"), F.any_value("v").alias("v"))
+    classes = cut(classes.select("node", "h", "h2", "w", F.size("v").alias("dim"), "v"))
+    packed, boxes, n = blocks(classes.drop("h2"), block_rows)
+    wanted = meetings(boxes, n, 2 - 2 * cosine + 1e-9)
+    found = cut(links(packed, wanted, cosine, max(1, n * (n // max(2, min(16, n // 4)) + 1))))
     joined = components(found.where("node <> root").select(F.col("node").alias("a"), F.col("root").alias("b")))
     counts = found.groupBy("node", "h").agg(F.sum("links").alias("links"))
-    per = classes.join(counts, ["node", "h"], "left").join(joined, "node", "left").select("h", "v", (F.coalesce("links", F.lit(0)) + F.col("w") - 1).alias("n"), F.coalesce("component", "node").alias("comp"))
-    out = all_rows.join(per, ["h", "v"], "left")
+    per = classes.select("node", "h", "h2", "w").join(counts, ["node", "h"], "left").join(joined, "node", "left")
+    per = per.select("h", "h2", (F.coalesce("links", F.lit(0)) + F.col("w") - 1).alias("n"), F.coalesce("component", "node").alias("comp"))
+    out = named.select("vec_id", "h", "h2").join(per, ["h", "h2"], "left")
     mine = F.coalesce("comp", "vec_id")
     return out.select("vec_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), mine.alias("component_id"), F.coalesce(F.col("vec_id") == mine, F.lit(False)).alias("kept"))
 
