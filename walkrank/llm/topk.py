@@ -8,7 +8,7 @@ found so far are shared by all shards of the next.
 
 Vectors that are null, empty, or hold null or non-finite components take no part; neither do rows without an id.
 Vectors compete with queries of their own length. All rows that bear the query's id are its own. Repeated
-rows compete each for itself. Ties go to the smaller vec_id. Scores beyond 64 bits are cut to the range of long.
+rows compete each for itself; an id with several vectors asks with each of them, an id repeated with one vector asks once. Ties go to the smaller vec_id. Scores beyond 64 bits are cut to the range of long.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import arrow_map, cut, ship
+from walkrank.llm.common import arrow_map, cut, ship, shuffle_parts
 
 SHARD = 8192
 BLOCK = 1024
@@ -135,7 +135,8 @@ def trees(rows: DataFrame, shard_rows: int = SHARD) -> tuple[DataFrame, int]:
     """(dim, shard, tree, n), packed ball trees of rows (vec_id, dim, v), and the number of shards."""
     n = max(1, rows.count())
     shards = -(-n // shard_rows)
-    dealt = rows.withColumn("shard", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(shards)))
+    # rows are dealt once, in a checkpoint: equal rows go to different shards, and a retried task finds them where they were
+    dealt = cut(rows.withColumn("shard", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(shards))))
     ship(rows.sparkSession)
 
     def build(table: pa.Table) -> pa.Table:
@@ -151,37 +152,43 @@ def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, shard_rows: int
     def made(df: DataFrame) -> DataFrame:
         return df.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").alias("e")).where(F.col("vec_id").isNotNull() & usable(F.col("e"))).select("vec_id", F.size("e").alias("dim"), integers(F.col("e")).alias("v"))
 
-    rows = made(candidates)
-    packed, shards = trees(rows, shard_rows)
+    packed, shards = trees(made(candidates), shard_rows)
     packed = cut(packed)
-    asked = made(queries).dropDuplicates(["vec_id"])
+    asked = made(queries).withColumn("query", F.xxhash64("vec_id", "v")).groupBy("query", "vec_id").agg(F.any_value("dim").alias("dim"), F.any_value("v").alias("v"))
     blocks = max(1, -(-asked.count() // block_rows))
-    asked = cut(asked.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks))))
+    asked = cut(asked.withColumn("block", F.pmod(F.col("query"), F.lit(blocks))))
     found = None
     done, wave = 0, 1
-    best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    best = W.partitionBy("query").orderBy(F.desc("score"), "vec_id")
+    none = lambda *names: [F.lit(None).cast(t).alias(n) for n, t in names]
+    lists = (("query", "array<bigint>"), ("ids", "array<bigint>"), ("bar", "array<double>"), ("v", "array<double>"))
     while done < shards:
         upto = min(shards, done + wave)
         if found is None:
             barred = asked.withColumn("bar", F.lit(float("-inf")))
         else:  # the kth score so far, for queries that have k
-            bars = found.groupBy(F.col("query_id").alias("vec_id")).agg(F.count("*").alias("c"), F.min("score").alias("s")).select("vec_id", F.when(F.col("c") >= k, F.col("s").cast("double")).alias("bar"))
-            barred = asked.join(bars, "vec_id", "left").withColumn("bar", F.coalesce("bar", F.lit(float("-inf"))))
-        ask = barred.groupBy("dim", "block").agg(F.collect_list(F.struct("vec_id", "bar", "v")).alias("q"))
-        ask = ask.select("dim", "q.vec_id", "q.bar", F.flatten("q.v").alias("v"), F.explode(F.sequence(F.lit(done).cast("long"), F.lit(upto - 1).cast("long"))).alias("shard"))
-        met = ask.join(packed, ["dim", "shard"]).select("dim", "vec_id", "bar", "v", "tree")
+            bars = found.groupBy("query").agg(F.count("*").alias("c"), F.min("score").alias("s")).select("query", F.when(F.col("c") >= k, F.col("s").cast("double")).alias("bar"))
+            barred = asked.join(bars, "query", "left").withColumn("bar", F.coalesce("bar", F.lit(float("-inf"))))
+        ask = barred.groupBy("dim", "block").agg(F.collect_list(F.struct("query", "vec_id", "bar", "v")).alias("q"))
+        ask = ask.select("dim", F.explode(F.sequence(F.lit(done).cast("long"), F.lit(upto - 1).cast("long"))).alias("shard"), F.col("block").alias("at"), F.lit(None).cast("binary").alias("tree"), "q.query", F.col("q.vec_id").alias("ids"), "q.bar", F.flatten("q.v").alias("v"))
+        # a shard's tree comes before the blocks that are searched in it, so it travels once
+        trees_ = packed.where((F.col("shard") >= done) & (F.col("shard") < upto)).select("dim", "shard", F.lit(-1).cast("long").alias("at"), "tree", *none(*lists))
+        met = trees_.unionByName(ask).repartition(max(shuffle_parts(asked.sparkSession), upto - done), "dim", "shard").sortWithinPartitions("dim", "shard", "at")
 
         def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            place, tree = None, None
             for b in batches:
                 for r in range(b.num_rows):
-                    dim = b.column("dim")[r].as_py()
-                    ids, bar = b.column("vec_id")[r].values.to_numpy(zero_copy_only=False), b.column("bar")[r].values.to_numpy(zero_copy_only=False)
-                    v = b.column("v")[r].values.to_numpy(zero_copy_only=False).reshape(-1, dim)
-                    scores, who = BallTree.unpack(b.column("tree")[r].as_py()).search(ids, v, bar, k)
-                    i, j = np.nonzero(np.array(scores > -np.inf, dtype=bool))
-                    yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(who[i, j]), pa.array([int(x) for x in scores[i, j]], pa.int64())], names=["query_id", "vec_id", "score"])
-
-        fresh = arrow_map(met, work, "query_id bigint, vec_id bigint, score bigint")
+                    dim, shard = b.column("dim")[r].as_py(), b.column("shard")[r].as_py()
+                    if b.column("at")[r].as_py() < 0:
+                        place, tree = (dim, shard), BallTree.unpack(b.column("tree")[r].as_py())
+                    elif place == (dim, shard):  # else no candidate has this length
+                        query, ids, bar, v = (b.column(x)[r].values.to_numpy(zero_copy_only=False) for x in ("query", "ids", "bar", "v"))
+                        scores, who = tree.search(ids, v.reshape(-1, dim), bar, k)
+                        i, j = np.nonzero(np.array(scores > -np.inf, dtype=bool))
+                        yield pa.RecordBatch.from_arrays([pa.array(query[i]), pa.array(ids[i]), pa.array(who[i, j]), pa.array([int(x) for x in scores[i, j]], pa.int64())], names=["query", "query_id", "vec_id", "score"])
+
+        fresh = arrow_map(met, work, "query bigint, query_id bigint, vec_id bigint, score bigint")
         merged = fresh if found is None else found.unionByName(fresh)
         found = cut(merged.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).drop("rank"))
         done, wave = upto, wave * growth
