@@ -9,9 +9,9 @@ with itself from the top: two nodes whose shared bits already differ in more tha
 with all that is below them. Of what links, a partition reports one spanning forest, never all pairs,
 and components() joins the forests.
 
-Equal fingerprints are one node from the start, so copies cost nothing. Null texts count as empty;
-a text without words has fingerprint zero. A row with a null doc_id has a fingerprint; its component is the
-smallest id that its group has, null if none. Repeated rows come back as often as they went in.
+Nodes are distinct fingerprints, so copies cost nothing, and rows that share an id but not a text are apart. Null texts count as empty;
+a text without words has fingerprint zero. A row with a null doc_id links like any other; its component is the
+smallest id that its group has, null if none. Repeated rows come back as often as they went in. Extra columns are ignored. An empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import arrow_map, cut, plus, shuffle_parts
+from walkrank.llm.common import arrow_map, cut, keyed, plus, shuffle_parts
 from walkrank.llm.components import components, local_components
 
 BANDS = 4
@@ -32,6 +32,9 @@ FANOUT = 8
 MOST_BITS = 3
 #: Pairs of nodes that are looked at together.
 CHUNK = 1 << 19
+#: Fingerprints in a bucket beyond which it is dealt again, and about so many in a partition.
+HOT = 1 << 16
+PART = 1 << 20
 
 
 def fingerprint(text: str | None, size: int = 3, seed: int = 42) -> int:
@@ -124,50 +127,80 @@ class GrayTree:
                     stack.append((level - 1, i[near], j[near]))
 
 
-def fingerprint_links(distinct: DataFrame, most: int = MOST_BITS) -> DataFrame:
-    """(a, b): links among the rows of distinct (node long, fp long) that connect the same nodes as all links do."""
-    width = 64 // BANDS
-    band = F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.shiftrightunsigned("fp", k * width).bitwiseAND((1 << width) - 1).alias("v")) for k in range(BANDS)]))
-    dealt = distinct.select("node", "fp", band.alias("band")).select("node", "fp", (F.col("band.k") * (1 << width) + F.col("band.v")).alias("bucket"))
+def _banded(dealt: DataFrame, width: int) -> DataFrame:
+    """(fp, key, rest) of dealt (fp, key, rest), four rows each: the key goes on with a quarter of the `width` bits in rest, the rest is what remains.
+
+    Two fingerprints whose rests differ in MOST_BITS bits at most meet in one of the four.
+    """
+    part = width // BANDS
+    low = lambda x, bits: x.bitwiseAND((1 << bits) - 1)
+    over = lambda j: F.shiftrightunsigned(F.shiftrightunsigned("rest", (j + 1) * part - 1), 1)  # noqa: E731 - 64 places at once would be none
+    each = [F.struct(F.xxhash64("key", F.lit(j), low(F.shiftrightunsigned("rest", j * part), part)).alias("key"), F.shiftleft(over(j), j * part).bitwiseOR(low(F.col("rest"), j * part)).alias("rest")) for j in range(BANDS)]
+    return dealt.select("fp", F.explode(F.array(*each)).alias("b")).select("fp", "b.key", "b.rest")
+
+
+def fingerprint_links(distinct: DataFrame, most: int = MOST_BITS, hot: int = HOT) -> DataFrame:
+    """(a, b): links among the rows of distinct (fp long) that connect the same fingerprints as all links do.
+
+    Buckets of over `hot` fingerprints are dealt again by the bits that their band left, up to three times (16, 28 and 37 shared bits).
+    """
+    dealt = _banded(distinct.select("fp", F.lit(0).cast("long").alias("key"), F.col("fp").alias("rest")), 64)
+    done, n = None, 0
+    for width in (48, 36, 0):
+        sizes = dealt.groupBy("key").agg(F.count("*").alias("c"))
+        n += sizes.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n")).first()["n"]
+        large = cut(sizes.where(F.col("c") > hot).select("key")) if width else None
+        if large is None or large.isEmpty():
+            done = dealt if done is None else done.unionByName(dealt)
+            break
+        calm = dealt.join(large, "key", "left_anti")
+        done = calm if done is None else done.unionByName(calm)
+        dealt = _banded(dealt.join(large, "key", "left_semi"), width)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = [(b.column("node").to_numpy(), b.column("fp").to_numpy(), b.column("bucket").to_numpy()) for b in batches if b.num_rows]
+        got = [(b.column("fp").to_numpy(), b.column("key").to_numpy()) for b in batches if b.num_rows]
         if not got:
             return
-        node, fp, bucket = (np.concatenate(x) for x in zip(*got))
-        root = np.arange(len(node))
+        fp, bucket = (np.concatenate(x) for x in zip(*got))
+        root = np.arange(len(fp))
         for u, v in GrayTree(bucket, fp.view(np.uint64)).links(most):
-            more = local_components(len(node), np.concatenate((root[u], u)), np.concatenate((root[v], root[u])))
+            more = local_components(len(fp), np.concatenate((root[u], u)), np.concatenate((root[v], root[u])))
             root = more[root]
         up = np.flatnonzero(root != np.arange(len(root)))
-        a, b = node[up], node[root[up]]
-        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+        yield pa.RecordBatch.from_arrays([pa.array(fp[up]), pa.array(fp[root[up]])], names=["a", "b"])
 
-    spread = dealt.repartition(max(shuffle_parts(distinct.sparkSession), 2), "bucket")
+    # so many partitions that each holds a bounded number of fingerprints
+    spread = done.select("fp", "key").repartition(max(shuffle_parts(distinct.sparkSession), 2, n // PART), "key")
     return arrow_map(spread, work, "a long, b long")
 
 
+def _grouped(fps: DataFrame) -> DataFrame:
+    """(fp, group): the fingerprints of fps, each with the least one that it can reach."""
+    distinct = cut(fps.select("fp").distinct())
+    found = components(fingerprint_links(distinct))
+    return distinct.join(found, distinct["fp"] == found["node"], "left").select("fp", F.coalesce("component", "fp").alias("group"))
+
+
 def near_duplicates(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """(doc_id, *keep, fingerprint, component_id): one row for each row of docs."""
     fps = cut(fingerprints(docs, keep))
-    # A fingerprint is named by its least id; one that only rows without an id bear has no name and links nothing that shows.
-    distinct = fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("node"))
-    found = components(fingerprint_links(distinct))
-    # two fingerprints can share a least id only if rows share it: they are one group then
-    named = distinct.join(found, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
+    least = fps.groupBy("fp").agg(F.min("doc_id").alias("id"))
+    grouped = cut(_grouped(fps).join(least, "fp"))
+    named = grouped.join(grouped.groupBy("group").agg(F.min("id").alias("component_id")), "group").select("fp", "component_id")
     code = F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint")
     return fps.join(named, "fp", "left").select("doc_id", *(keep or []), code, "component_id")
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows of docs, whole, that are the first of their group: their doc_id is the component_id.
+    """One row of docs, whole, of each group of fingerprints: that with the least doc_id (a null one comes last), of these the one
+    whose text has the least hash, and of rows that share id and text the one whose other columns have the least. Rows that share an id but are unlike all stay.
 
-    Rows without an id all stay; of rows that repeat a kept id, one stays.
+    Groups are of fingerprints, not of ids. Rows that share id and text are put together by partial aggregation, in the one shuffle of texts.
     """
-    found = near_duplicates(docs)
-    ids = found.where("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    named = docs.where("doc_id is not null").join(ids, F.col("doc_id") == F.col("__kept"), "left_semi")
-    first = named.groupBy("doc_id").agg(F.count("*").alias("__n")).where("__n > 1").select(F.col("doc_id").alias("__twice"))
-    single = named.join(first, F.col("doc_id") == F.col("__twice"), "left_anti")
-    twice = named.join(first, F.col("doc_id") == F.col("__twice"), "left_semi").dropDuplicates(["doc_id"])
-    return single.unionByName(twice).unionByName(docs.where("doc_id is null"))
+    ids = (F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("__id"), keyed(F.col("text")).alias("__th"))
+    fps = cut(fingerprints(docs.select("doc_id", "text", *ids), ["__id", "__th"]))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "__th", "__id")).alias("w")
+    kept = fps.join(_grouped(fps), "fp").groupBy("group").agg(first).select("w.__id", "w.__th")
+    named = docs.select(*ids, F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("__row"), F.xxhash64(*(F.col(f"`{c}`") for c in docs.columns if c != "text")).alias("__o"))
+    one = named.groupBy("__id", "__th").agg(F.min_by("__row", "__o").alias("__row"))
+    return one.join(kept, ["__id", "__th"], "left_semi").select("__row.*")
