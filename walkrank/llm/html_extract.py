@@ -7,7 +7,8 @@ and picks the winning path, the larger sum first, ties to the shallower path, th
 containers on its host's winning path; a page that has none falls back to its own best container.
 
 Elements that never are main text (navigation, page headers and footers, side bars, notices, adverts, forms,
-scripts, styles, reader comments) are left out with all that they hold. A block is the text between the borders
+scripts, styles, reader comments) are left out with all that they hold, inline ones too; names are told by whole words (BAD_WORDS). An article or
+post around the winner is taken whole, with its lead. A block is the text between the borders
 of block elements; its character references are decoded, its white space becomes one space, blocks without text vanish.
 
 Null or empty html gives an empty text; so does a page whose text is all boilerplate. Pages with a null or
@@ -27,10 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkrank.llm.common import arrow_map
+from walkrank.llm.common import arrow_map, cut
 from walkrank.llm.urlfilter import host_of
 
 SALTS = 64
+#: Winning paths of at most so many hosts are broadcast.
+SMALL = 200_000
 TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|textarea|svg|iframe)\b(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+>.*?(?:</\1\s*>|\Z)"
     r"|<[!?][^>]*+>|</([a-zA-Z][^\s>/]*+)[^>]*+>|<([a-zA-Z][^\s>/]*+)((?:(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+|[^>]*+))>",
@@ -42,8 +45,13 @@ INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 NEVER = frozenset("head nav footer aside form button select option menu dialog audio video canvas map frameset noframes title".split())
 CONTAINERS = frozenset("body div article main section td center blockquote content".split())
-BAD_NAME = re.compile(r"(?:^|[-_\s])(?:ad|ads|adv|advert\w*|banner|sponsor\w*|promo\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|side|footer|header|masthead|cookie\w*|consent|notice\w*|alert|popup|modal|newsletter|subscribe|signup|login|search|share|sharing|social|related|recommend\w*|comment\w*|disqus|replies|widget\w*|toolbar|pagination|pager|legal|copyright)(?:$|[-_\s\d])", re.I)
+#: Fixed lists of words: a name (class or id) marks boilerplate if all of its words are in these and one is in the first.
+BAD_WORDS = frozenset("ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored sponsors promo promos promotion nav navbar navigation menu menus breadcrumb breadcrumbs sidebar aside footer header masthead cookie cookies consent notice notices alert alerts popup modal overlay newsletter subscribe subscription signup login search share sharing sharebar social related recommend recommended recommendations comment comments commentlist disqus reply replies respond widget widgets toolbar pagination pager copyright side legal".split())
+FILLERS = frozenset("a an the of to and by box boxes bar bars block blocks button buttons link links list lists item items wrap wrapper container inner outer area section sections panel slot unit top bottom left right main site page global primary secondary footer header head content contents body text title posts post articles article entry entries icon icons form field media row col column group holder region module zone label message us on in js id block first last more policy terms small large mobile desktop fixed sticky results".split())
 BAD_ROLE = frozenset("navigation banner contentinfo complementary search form dialog alert".split())
+WORD = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[^\W\d_]+")
+#: Names of what holds a whole article, its lead included.
+WHOLE = frozenset("article post entry story hentry".split())
 GOOD_NAME = re.compile(r"article|content|post|entry|story|main|body|text", re.I)
 
 
@@ -71,6 +79,17 @@ def _named(attributes: str) -> tuple[str, str]:
     return " ".join(names), role
 
 
+def _boilerplate(names: str, inner: bool = False) -> bool:
+    """Whether one of the names consists of boilerplate words, with or without fillers. "market-share" doesn't, "share-buttons" does. A header
+    inside an article (inner), or named after one, is its own."""
+    for name in names.split():
+        words = [w.lower() for w in WORD.findall(name)]
+        own = inner or not WHOLE.isdisjoint(words)
+        if any(w in BAD_WORDS and not (own and w == "header") for w in words) and all(w in BAD_WORDS or w in FILLERS for w in words):
+            return True
+    return False
+
+
 def _path(above: str, step: str, depth: int) -> str:
     return f"{depth:06d}:{blake2b(f'{above}/{step}'.encode('utf-8', 'replace'), digest_size=16).hexdigest()}"
 
@@ -81,9 +100,12 @@ def parse(text: str | None) -> Page:
     stack: list[tuple[str, int, bool]] = [("", 0, False)]
     buffer: list[str] = []
     linked, in_link = 0, False
+    # open inline elements that are left out, and those of their kind inside
+    muted: list[str] = []
 
     def close() -> None:
         nonlocal linked
+        muted.clear()
         if buffer:
             block = " ".join(entities.unescape("".join(buffer)).split())
             tag, at, out = stack[-1]
@@ -96,7 +118,7 @@ def parse(text: str | None) -> Page:
     text = text or ""
     pos = 0
     for m in TOKEN.finditer(text):
-        if m.start() > pos:
+        if m.start() > pos and not muted:
             piece = text[pos : m.start()]
             buffer.append(piece)
             linked += len(piece) if in_link else 0
@@ -108,6 +130,12 @@ def parse(text: str | None) -> Page:
                 buffer.append("\n")
             elif tag in INLINE:
                 in_link = True if tag == "a" else in_link
+                if muted:
+                    muted.extend([tag] * (tag == muted[0]))
+                elif m.group(4) and tag not in VOID:
+                    names, role = _named(m.group(4))
+                    if role in BAD_ROLE or _boilerplate(names):
+                        muted.append(tag)
             elif tag in VOID:
                 close()
             else:
@@ -118,7 +146,7 @@ def parse(text: str | None) -> Page:
                 _, at, out = stack[-1]
                 names, role = _named(m.group(4))
                 inner = any(t in ("article", "main") for t, _, _ in stack)
-                out = out or tag in NEVER or (tag == "header" and not inner) or role in BAD_ROLE or (bool(names) and tag not in ("body", "html", "article", "main") and bool(BAD_NAME.search(names)))
+                out = out or tag in NEVER or (tag == "header" and not inner) or role in BAD_ROLE or (bool(names) and tag not in ("body", "html", "article", "main") and _boilerplate(names, inner))
                 if tag in CONTAINERS and not out:
                     step = tag + "".join("." + re.sub(r"\d+", "#", x) for x in sorted(names.split()))
                     above = page.paths[at]
@@ -132,6 +160,8 @@ def parse(text: str | None) -> Page:
             tag = ended.lower()
             if tag in INLINE:
                 in_link = False if tag == "a" else in_link
+                if muted and tag == muted[0]:
+                    muted.pop()
             else:
                 close()
                 in_link = False
@@ -139,7 +169,7 @@ def parse(text: str | None) -> Page:
                     if stack[k][0] == tag:
                         del stack[k:]
                         break
-    if pos < len(text):
+    if pos < len(text) and not muted:
         rest = text[pos:]
         broken = re.search(r"<[a-zA-Z/!]", rest)  # a tag that never ends isn't text
         buffer.append(rest[: broken.start()] if broken else rest)
@@ -161,6 +191,11 @@ def ranked(page: Page) -> list[tuple[float, str]]:
     return sorted(((s, p) for p, s in found.items()), key=lambda x: (-x[0], x[1]))
 
 
+def _holds_article(step: str) -> bool:
+    tag, *names = step.split(".")
+    return tag == "article" or any(words and set(words) <= WHOLE | FILLERS and set(words) & WHOLE for words in ({w.lower() for w in WORD.findall(n)} for n in names))
+
+
 def main_text(page: Page, path: str | None) -> str:
     """Text of the containers on `path`, or of the page's best container if there are none."""
     if path is None or path not in page.paths:
@@ -168,9 +203,16 @@ def main_text(page: Page, path: str | None) -> str:
         if not best:
             return ""
         path = best[0][1]
-    inside = [False] * len(page.paths)
+    # what holds a whole article holds its lead, which may lie beside the winner
+    starts = set()
     for k, p in enumerate(page.paths):
-        inside[k] = p == path or (k > 0 and inside[page.parents[k]])
+        if p == path:
+            while page.parents[k] > 0 and _holds_article(page.steps[page.parents[k]]):
+                k = page.parents[k]
+            starts.add(k)
+    inside = [False] * len(page.paths)
+    for k in range(len(page.paths)):
+        inside[k] = k in starts or (k > 0 and inside[page.parents[k]])
     return "\n\n".join(t for at, t in page.blocks if inside[at])
 
 
@@ -201,9 +243,13 @@ def winners(found: DataFrame) -> DataFrame:
 def extract(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars) for every row of pages (page_id, url, html)."""
     rows = pages.select("page_id", "url", F.col("html").cast("string").alias("html"), F.coalesce(host_of(F.col("url").cast("string")), F.lit("")).alias("host"))
-    best = winners(votes(rows)).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
-    met = dealt.join(best, ["host", "salt"], "left").select("page_id", "url", "html", "path")
+    best = cut(winners(votes(rows)))
+    if best.limit(SMALL + 1).count() <= SMALL:  # a row a host, of bounded width: pages stay where they are
+        met = rows.join(F.broadcast(best), "host", "left").select("page_id", "url", "html", "path")
+    else:
+        salted = best.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        dealt = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
+        met = dealt.join(salted, ["host", "salt"], "left").select("page_id", "url", "html", "path")
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
