@@ -1,20 +1,22 @@
 """Quality classifier: similarity-weighted voting of labelled nearest neighbours in a latent space.
 
-Terms of a text are its trigrams of byte classes (lower case, upper case, digit, space, line end, kinds of
+Terms of a text are its words (lower case, in hashed buckets), its trigrams of byte classes (lower case, upper case, digit, space, line end, kinds of
 punctuation, ...) and the bins of a few counts of its words (how many differ, repeat their neighbour,
 are capitals, repeat as lines). Term weights are damped counts times inverse document frequency, scaled to length
 one; the leading right singular vectors of the labelled texts' matrix span the latent space. The
 labelled vectors (at most `per_class` of each class, so of a fixed size bound) are broadcast, and every
-document's cosine with all of them is computed exactly, block by block; its `k` nearest vote with weight
-similarity ** power.
+document's cosine with all of them is computed in double precision, block by block; its `k` nearest, and all that tie with the kth in DIGITS digits, vote with
+weight similarity ** power.
 
 Only rows outside the held-out fold teach. The sample of labelled ids is the least by hash, per class, at most
 `per_class` each: a documented bound. Null texts count as empty. Null labels teach nothing; an id with
-several labels or texts teaches with each. Without labelled rows every score is the prior 0.5.
+several labels or texts teaches with each. Without labelled rows every score is the prior 0.5. Repeated rows get one score; an empty table gives an empty
+one; other columns, labels among them, are no input.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -30,7 +32,11 @@ CLASSES = 13
 GRAMS = CLASSES**3
 STATS = 8
 BINS = 10
-TERMS = GRAMS + STATS * BINS
+#: Buckets that words fall in by hash.
+WORDS = 1024
+TERMS = GRAMS + STATS * BINS + WORDS
+#: Digits that cosines are rounded to: neighbours that tie with the kth all vote.
+DIGITS = 9
 
 
 def _byte_classes() -> np.ndarray:
@@ -78,6 +84,9 @@ def term_counts(text: str | None) -> np.ndarray:
     weight = 2.0 * float(np.sqrt(np.square(out[:GRAMS]).mean() * 200)) or 1.0
     for i, b in enumerate(stats):
         out[GRAMS + i * BINS + b] = weight
+    if words:
+        many = np.bincount(np.fromiter((zlib.crc32(w) for w in raw.lower().split()), np.int64, n) % WORDS, minlength=WORDS)
+        out[GRAMS + STATS * BINS :] = np.log1p(many)
     return out
 
 
@@ -93,7 +102,7 @@ class Votes:
     power: float
 
     def embed(self, terms: np.ndarray) -> np.ndarray:
-        x = terms * self.idf
+        x = terms.astype(np.float64) * self.idf
         x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
         z = x @ self.axes
         return z / np.maximum(np.linalg.norm(z, axis=1, keepdims=True), 1e-12)
@@ -101,30 +110,39 @@ class Votes:
     def score(self, terms: np.ndarray) -> np.ndarray:
         if not len(self.labels):
             return np.full(len(terms), 0.5)
-        cosines = self.embed(terms) @ self.vectors.T
+        cosines = np.round(self.embed(terms) @ self.vectors.T, DIGITS)
         k = min(self.k, len(self.labels))
-        near = np.argpartition(-cosines, k - 1, axis=1)[:, :k]
-        votes = np.maximum(np.take_along_axis(cosines, near, axis=1), 1e-6).astype(np.float64) ** self.power
-        return np.clip((votes * self.labels[near]).sum(axis=1) / votes.sum(axis=1), 0.0, 1.0)
+        kth = np.partition(cosines, -k, axis=1)[:, -k, None]
+        row, near = np.nonzero(cosines >= kth)
+        votes = np.maximum(cosines[row, near], 1e-6) ** self.power
+        told = np.bincount(row, votes * self.labels[near], len(terms)) / np.bincount(row, votes, len(terms))
+        return np.clip(np.round(told, DIGITS), 0.0, 1.0)
 
 
 def fit_matrix(terms: np.ndarray, labels: np.ndarray, dims: int = 64, k: int = 15, power: float = 8.0) -> Votes:
     if not len(terms):
         return Votes(np.ones(TERMS, np.float32), np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), np.zeros(0), k, power)
-    idf = np.log((1.0 + len(terms)) / (1.0 + (terms > 0).sum(axis=0))).astype(np.float32) + 1.0
-    model = Votes(idf, np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), labels.astype(np.float64), k, power)
-    x = terms * idf
+    idf = np.log((1.0 + len(terms)) / (1.0 + (terms > 0).sum(axis=0))) + 1.0
+    model = Votes(idf, np.zeros((TERMS, 1)), np.zeros((0, 1)), labels.astype(np.float64), k, power)
+    x = terms * idf.astype(np.float32)
     x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-    gram = (x.T @ x).astype(np.float64)
-    del x
-    values, vectors = np.linalg.eigh(gram)
-    order = np.argsort(-values)[: min(dims, len(terms))]
-    axes = vectors[:, order]
-    model.axes = (axes * np.sign(axes[np.abs(axes).argmax(axis=0), np.arange(axes.shape[1])])).astype(np.float32)
-    model.vectors = model.embed(terms)
+    axes = leading(x, min(dims, len(terms)))
+    model.axes = axes * np.sign(axes[np.abs(axes).argmax(axis=0), np.arange(axes.shape[1])])
+    model.vectors = np.concatenate([model.embed(terms[at : at + 256]) for at in range(0, len(terms), 256)])
     return model
 
 
+def leading(x: np.ndarray, dims: int, more: int = 16, rounds: int = 10) -> np.ndarray:
+    """The leading right singular vectors of x, by subspace iteration from a fixed start."""
+    if len(x) <= dims + more:
+        return np.linalg.svd(x.astype(np.float64), full_matrices=False)[2][:dims].T
+    q = np.random.default_rng(7).standard_normal((x.shape[1], dims + more)).astype(np.float32)
+    for _ in range(rounds):
+        q = np.linalg.qr(x.T @ (x @ q))[0]
+    values, turn = np.linalg.eigh((y := (x @ q).astype(np.float64)).T @ y)
+    return q @ turn[:, np.argsort(-values)[:dims]]
+
+
 def _terms(rows: DataFrame) -> DataFrame:
     """(label, terms binary) of rows (label, text)."""
 
