@@ -25,8 +25,9 @@ from pyspark.sql import Window as W
 
 from walkrank.llm.common import cut, draw
 
-#: Salts that a source's rows are dealt over when they meet their source's plan.
+#: Salts that a source's rows are dealt over when they meet their source's plan: so many at least, and one for so many rows.
 SALTS = 64
+SALT_ROWS = 1 << 20
 STEPS = 40
 
 
@@ -81,6 +82,7 @@ def plan(docs: DataFrame, target: float = 0.5, limit: float = 4.0, budget: float
         draw(seed, "block", F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).alias("__hb"),
         draw(seed, "order", F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).alias("__ho"),
     )
+    counted = cut(counted)  # words are counted once
     sources = cut(counted.groupBy("__s").agg(F.sum("__n").alias("tokens"), F.count("*").alias("n_docs")))
     x = solve_exponent(sources, target, limit)
     total = sources.agg(F.sum("tokens").cast("double").alias("all"))
@@ -98,25 +100,31 @@ def plan(docs: DataFrame, target: float = 0.5, limit: float = 4.0, budget: float
         .select("__s", "tokens", "n_docs", "weight", "budget", "passes", "part", "n_blocks")
     )
     sized = cut(sized)
-    placed = meet(counted, sized.select("__s", "n_blocks")).withColumn("__b", F.col("__hb") % F.col("n_blocks"))
+    salts = max(SALTS, sized.agg(F.coalesce(F.sum("n_docs"), F.lit(0)).alias("n")).first()["n"] // SALT_ROWS)
+    placed = meet(counted, sized.select("__s", "n_blocks"), salts).withColumn("__b", F.col("__hb") % F.col("n_blocks"))
     blocks = placed.groupBy("__s", "__b").agg(F.sum("__n").alias("tokens"))
     blocks = blocks.withColumn("key", draw(seed, "permute", F.col("__s"), F.col("__b").cast("string")))
     along = W.partitionBy("__s").orderBy("key", "__b")
     before = blocks.withColumn("upto", F.sum("tokens").over(along)).withColumn("before", F.col("upto") - F.col("tokens"))
     ends = before.join(sized.select("__s", "part"), "__s").where("before <= part and upto > part").select("__s", F.col("__b").alias("end_block"), F.col("key").alias("end_key"), (F.col("part") - F.col("before")).alias("left_over"))
     ends = cut(ends)
-    inside = meet(placed.select("__s", "__b", "__n", "__ho"), ends).where(F.col("__b") == F.col("end_block")).groupBy("__s", "left_over", "__ho").agg(F.sum("__n").alias("n"))
+    inside = meet(placed.select("__s", "__b", "__n", "__ho"), ends, salts).where(F.col("__b") == F.col("end_block")).groupBy("__s", "left_over", "__ho").agg(F.sum("__n").alias("n"))
     taken = inside.withColumn("run", F.sum("n").over(W.partitionBy("__s").orderBy("__ho"))).where("run <= left_over").groupBy("__s").agg(F.max("__ho").alias("end_order"))
-    return counted, cut(sized.join(ends.drop("left_over"), "__s", "left").join(taken, "__s", "left"))
+    return counted, cut(sized.join(ends.drop("left_over"), "__s", "left").join(taken, "__s", "left").withColumn("salts", F.lit(salts)))
 
 
-def meet(rows: DataFrame, by_source: DataFrame) -> DataFrame:
-    """rows joined with their source's row; a source's rows are dealt over SALTS partitions."""
-    salt = F.pmod(F.xxhash64("__ho"), F.lit(SALTS))
-    copies = by_source.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+def meet(rows: DataFrame, by_source: DataFrame, salts: int) -> DataFrame:
+    """rows joined with their source's row; a source's rows are dealt over `salts` partitions."""
+    salt = F.pmod(F.xxhash64("__ho"), F.lit(salts))
+    copies = by_source.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     return rows.withColumn("__salt", salt).join(copies, ["__s", "__salt"]).drop("__salt")
 
 
+def _salts(sources: DataFrame) -> int:
+    row = sources.select("salts").first()
+    return row["salts"] if row else SALTS
+
+
 def _copies(seed: int) -> Column:
     """How often a row that has met its source's plan comes."""
     block = F.col("__hb") % F.col("n_blocks")
@@ -130,7 +138,7 @@ def _copies(seed: int) -> Column:
 def mix(docs: DataFrame, seed: int = 1, **more) -> DataFrame:
     """(doc_id, source, n_tokens, weight, copies): how often each row of docs comes in the mixture."""
     counted, sources = plan(docs, seed=seed, **more)
-    return meet(counted, sources).select(
+    return meet(counted, sources.drop("salts"), _salts(sources)).select(
         "doc_id", F.when(F.col("__s") == "-", None).otherwise(F.substring("__s", 2, 1 << 20)).alias("source"), F.col("__n").alias("n_tokens"),
         F.round("weight", 9).alias("weight"), _copies(seed).cast("long").alias("copies"),
     )
@@ -142,6 +150,6 @@ def realise(docs: DataFrame, seed: int = 1, **more) -> DataFrame:
     sid = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
     rows = docs.withColumns({"__s": _name(F.col("source")), "__hb": draw(seed, "block", sid), "__ho": draw(seed, "order", sid)})
     # The plan has one row per source, of fixed width: it is broadcast only if Spark's own size threshold allows that.
-    copied = meet(rows, sources.drop("tokens", "n_docs", "weight", "budget")).withColumn("__copies", _copies(seed))
+    copied = meet(rows, sources.drop("tokens", "n_docs", "weight", "budget", "salts"), _salts(sources)).withColumn("__copies", _copies(seed))
     again = copied.where("__copies > 0").withColumn("__pass", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies").cast("long"))))
     return again.select(*docs.columns)
