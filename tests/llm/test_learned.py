@@ -73,6 +73,13 @@ def test_vector_duplicates(spark):
     assert vectors.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_vectors_keep_their_precision_and_repeated_ids(spark):
+    rows = [(1, [1e300, 0.0]), (2, [1e300, 0.0]), (3, [1e-50, 1e-50]), (4, [1e-50, 1e-50]), (5, [-1e-200, 1e-200]), (6, [-2.0, 2.0]), (7, [1.0, 1e-9]), (8, [0.0, -3.0]), (8, [0.0, 3.0]), (9, [1e-30, 1.0])]
+    got = sorted(tuple(r) for r in vectors.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect())
+    # (1, 2, 7), (3, 4), (5, 6) and one row of id 8 with 9; the other row of id 8 is named alike
+    assert got == [(1, 2, 1, True), (2, 2, 1, False), (3, 1, 3, True), (4, 1, 3, False), (5, 1, 5, True), (6, 1, 5, False), (7, 2, 1, False), (8, 0, 8, True), (8, 1, 8, True), (9, 1, 8, False)]
+
+
 PAGE = """<!DOCTYPE html><html><head><title>T</title><script>var t="</p>";</script></head><body><nav><a href=x>Menu</a></nav><div class="ad">Buy</div>
 <article><h1>Head &amp;  line</h1><p><b>One <i>two</i>three.<br><p>Four&nbsp;five.</p><div class="comments"><p>First!</p></div><form><p>Name</p></form></article><footer>&copy; me</footer>"""
 

@@ -46,7 +46,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from walkrank.llm import spelling as spellings
-from walkrank.llm.common import arrow_map, bucket_of, cut, shuffle_parts
+from walkrank.llm.common import arrow_map, bucket_of, cut, shuffle_parts, trim
 from walkrank.llm.eftrie import SCALE, Trie, code
 from walkrank.llm.spelling import Spelling
 
@@ -381,6 +381,7 @@ def deal(rows: DataFrame, model: Model) -> DataFrame:
                 with pa.ipc.new_stream(ids, about.schema) as out:
                     out.write_batch(about)
                 yield row(run % m.parts, run, digest, cells, ids.getvalue().to_pybytes())
+                trim()
 
     def row(part: int, run: int, digest: int, cells: int | None, blob: bytes) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([run], pa.int64()), pa.array([digest], pa.int64()), pa.array([cells], pa.int32()), pa.array([blob], pa.binary())], names=["part", "run", "digest", "cells", "blob"])
@@ -524,7 +525,7 @@ def answer(dealt: DataFrame, model: Model) -> DataFrame:
         for p in list(held):
             table = pa.Table.from_batches(held.pop(p))
             got = Part(shared.value, table.column("blob").to_pylist())
-            pa.default_memory_pool().release_unused()
+            trim()
             answers = pa.array(list(got.answers()), pa.binary())
             yield from table.drop_columns("blob").append_column("blob", answers).combine_chunks().to_batches()
 
