@@ -140,7 +140,7 @@ def test_nearest_vectors_at_every_size(spark, tmp_path, monkeypatch):
     assert g.count() == 20_001
 
 
-@pytest.mark.parametrize("name", ["keywords_all_exact4", "keywords_all_topk"])
+@pytest.mark.parametrize("name", ["keywords_exact4", "keywords_topk"])
 def test_keywords_of_all_documents(spark, duck, name):
     got, want = registry.queries()[name](spark, SF).toPandas(), duck.sql(registry.oracle_sql()[name]).df()
     assert plain(got) == plain(want)
@@ -149,5 +149,5 @@ def test_keywords_of_all_documents(spark, duck, name):
 def test_keywords_of_every_language(spark, tmp_path):
     rows = [("xx", "one two three one two"), (None, "four five six four five"), ("de", "eins zwei drei eins zwei"), ("", None)]
     spark.createDataFrame(rows, "lang string, text string").write.parquet(str(tmp_path / "documents.parquet"))
-    got = methods.Q["keywords_langs_topk"](spark, str(tmp_path)).collect()
+    got = methods.Q["keywords_by_lang"](spark, str(tmp_path)).collect()
     assert {(r.lang, r.vertex) for r in got} == {(lang, w) for lang, text in rows if text for w in text.split()}

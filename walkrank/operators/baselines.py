@@ -18,6 +18,11 @@ def with_degree(edges: DataFrame, full: DataFrame | None = None) -> DataFrame:
     return edges.join(d, "src")
 
 
+def by_source(edges_d: DataFrame) -> DataFrame:
+    """Edges dealt by source once and cached so, that iterations move ranks but not edges. The caller frees them."""
+    return edges_d.repartition(int(edges_d.sparkSession.conf.get("spark.sql.shuffle.partitions")), "src").persist()
+
+
 def start(verts: DataFrame, n: int) -> DataFrame:
     return verts.select("id", F.lit(1.0 / max(n, 1)).alias("value"))
 
@@ -25,8 +30,9 @@ def start(verts: DataFrame, n: int) -> DataFrame:
 def step(rank: DataFrame, edges_d: DataFrame, verts: DataFrame, n: int, p_t: float = 0.15, to_all: DataFrame | None = None) -> DataFrame:
     """One iteration. to_all (id): vertices without out-edges whose mass is shared by all."""
     n = max(n, 1)
-    sent = edges_d.join(rank.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("value") / F.col("d")).alias("m"))
-    out = verts.join(sent, "id", "left")
+    # a zero for every vertex instead of a join with all: one exchange an iteration, after which ranks lie where edges by_source() do
+    sent = edges_d.join(rank.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), (F.col("value") / F.col("d")).alias("m"))
+    out = sent.unionByName(verts.select("id", F.lit(0.0).alias("m"))).groupBy("id").agg(F.sum("m").alias("m"))
     spread = F.lit(0.0)
     if to_all is not None:
         lost = rank.join(to_all, "id", "left_semi").agg(F.coalesce(F.sum("value"), F.lit(0.0)).alias("lost"))
@@ -40,42 +46,50 @@ def fixed(edges: DataFrame, iterations: int, p_t: float = 0.15, degree_of: DataF
     n = verts.count()
     e = with_degree(edges, degree_of)
     if iterations > 1:
-        e = cut(e)
+        e = by_source(e)
     idle = verts.join(edges.select(F.col("src").alias("id")), "id", "left_anti") if to_all else None
     rank = start(verts, n)
     for i in range(iterations):
         rank = step(rank, e, verts, n, p_t, idle)
-        if i % EVERY == EVERY - 1:
+        if i % EVERY == EVERY - 1 or i == iterations - 1 > 0:
             rank = cut(rank)
+    if iterations > 1:
+        e.unpersist()
     return rank
 
 
-def tolerance(edges: DataFrame, tol: float, p_t: float = 0.15, norm: str = "l1", most: int = 400) -> tuple[DataFrame, int]:
-    """(rank, iterations): stops when the change in the norm ("l1" or "max") is below tol."""
+def tolerance(edges: DataFrame, tol: float, p_t: float = 0.15, norm: str = "l1", most: int = 400, every: int = 1) -> tuple[DataFrame, int]:
+    """(rank, iterations): stops when an iteration's change in the norm ("l1" or "max") is below tol; looked at every few iterations. An error if `most` don't do."""
     verts = cut(vertices(edges))
     n = verts.count()
-    e = cut(with_degree(edges))
+    e = by_source(with_degree(edges))
     rank = start(verts, n)
     f = F.sum if norm == "l1" else F.max
-    for i in range(most):
-        new = cut(step(rank, e, verts, n, p_t))
-        change = new.join(rank.withColumnRenamed("value", "old"), "id").agg(f(F.abs(F.col("value") - F.col("old")))).first()[0]
-        rank = new
-        if change is None or change < tol:
-            return rank, i + 1
-    return rank, most
+    try:
+        for i in range(0, most, every):
+            for _ in range(every - 1):
+                rank = step(rank, e, verts, n, p_t)
+            old = cut(rank) if every > 1 else rank
+            both = cut(step(old, e, verts, n, p_t).join(old.withColumnRenamed("value", "old"), "id"))
+            change = both.agg(f(F.abs(F.col("value") - F.col("old")))).first()[0]
+            rank = both.select("id", "value")
+            if change is None or change < tol:
+                return rank, i + every
+    finally:
+        e.unpersist()
+    raise RuntimeError(f"no convergence to {tol} within {most} iterations")
 
 
 def exact(edges: DataFrame, p_t: float = 0.15, tol: float = 1e-12) -> DataFrame:
-    """The rank vector to convergence; persisted once per graph by its users."""
-    return tolerance(edges, tol, p_t)[0]
+    """The rank vector to convergence; kept once per graph by its users."""
+    return tolerance(edges, tol, p_t, every=10)[0]
 
 
 def delta(edges: DataFrame, tol: float, p_t: float = 0.15, most: int = 400) -> tuple[DataFrame, int]:
     """(rank, iterations): only vertices whose value changed by over tol send their change on."""
     verts = cut(vertices(edges))
     n = verts.count()
-    e = cut(with_degree(edges))
+    e = by_source(with_degree(edges))
     state = cut(verts.select("id", F.lit(p_t / n).alias("value"), F.lit(p_t / n).alias("change")))
     for i in range(most):
         sent = e.join(state.where(F.abs("change") > tol).select(F.col("id").alias("src"), "change"), "src").groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("change") / F.col("d") * (1 - p_t)).alias("m"))
@@ -84,8 +98,10 @@ def delta(edges: DataFrame, tol: float, p_t: float = 0.15, most: int = 400) -> t
         kept = F.when(F.abs("change") > tol, 0.0).otherwise(F.col("change"))
         state = cut(state.join(sent, "id", "left").select("id", (F.col("value") + got).alias("value"), (kept + got).alias("change")))
         if state.where(F.abs("change") > tol).isEmpty():
+            e.unpersist()
             return state.select("id", "value"), i + 1
-    return state.select("id", "value"), most
+    e.unpersist()
+    raise RuntimeError(f"changes over {tol} are left after {most} iterations")
 
 
 def sparsified(edges: DataFrame, r: float, rng: Rng = Rng()) -> DataFrame:

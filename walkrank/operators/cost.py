@@ -8,7 +8,7 @@ from collections.abc import Iterator
 from contextlib import contextmanager
 from pathlib import Path
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from walkrank.operators.prepare import Layout
@@ -28,15 +28,24 @@ def baseline_model_bytes(layout: Layout, iterations: int) -> DataFrame:
     return extra.select(F.lit(iterations).alias("iterations"), (2 * F.col("x") * iterations).alias("messages"), (2 * F.col("x") * iterations * MESSAGE).alias("bytes"))
 
 
-def ratios(walker_seconds: float, baseline_seconds: float, walker_bytes: float, baseline_bytes: float) -> dict:
-    return {"speed_up": baseline_seconds / max(walker_seconds, 1e-9), "traffic_ratio": baseline_bytes / max(walker_bytes, 1)}
+def _totals(spark: SparkSession) -> tuple[int, int]:
+    """(milliseconds of tasks, bytes written to shuffles) of all executors so far, by Spark's own status store."""
+    sc = spark.sparkContext._jsc.sc()
+    sc.listenerBus().waitUntilEmpty()
+    rows = sc.statusStore().executorList(False)
+    each = [rows.apply(i) for i in range(rows.size())]
+    return sum(x.totalDuration() for x in each), sum(x.totalShuffleWrite() for x in each)
 
 
 @contextmanager
-def seconds(into: dict, name: str) -> Iterator[None]:
-    began = time.monotonic()
-    yield
-    into[name] = into.get(name, 0.0) + time.monotonic() - began
+def meter(spark: SparkSession) -> Iterator[dict]:
+    """Fills a dict with seconds, task_seconds (all tasks' run time) and shuffle_bytes of what runs inside."""
+    out: dict = {}
+    before, began = _totals(spark), time.monotonic()
+    yield out
+    out["seconds"] = time.monotonic() - began
+    after = _totals(spark)
+    out["task_seconds"], out["shuffle_bytes"] = (after[0] - before[0]) / 1000, after[1] - before[1]
 
 
 def event_log(folder: str) -> dict:

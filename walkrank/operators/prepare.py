@@ -51,8 +51,10 @@ def repair(edges: DataFrame, policy: str = "self_loop") -> DataFrame:
     raise ValueError(f"unknown policy {policy}")
 
 
-def indexed(verts: DataFrame, rng: Rng, buckets: int = 64) -> DataFrame:
-    """(id, idx): dense indices from 0, by bucket then id, without a global sort (only bucket counts meet in one place)."""
+def indexed(verts: DataFrame, rng: Rng, buckets: int | None = None) -> DataFrame:
+    """(id, idx): dense indices from 0, by bucket then id, without a global sort (only bucket counts meet in one place). Buckets: 64, and more so that
+    each has about half a million at most."""
+    buckets = buckets or max(64, verts.count() >> 19)
     b = verts.select("id", (rng.draw("v", 0, "id") % buckets).alias("bucket"))
     sizes = b.groupBy("bucket").agg(F.count("*").alias("c"))
     offsets = sizes.select("bucket", (F.sum("c").over(W.orderBy("bucket")) - F.col("c")).alias("offset"))  # a row a bucket
@@ -76,6 +78,8 @@ class Layout:
     vertices: DataFrame
     n: int
     index: DataFrame
+    #: Whether replicas and directory are tables bucketed by src, which walks of any size join without moving them.
+    bucketed: bool = False
 
     def replication(self) -> DataFrame:
         return self.directory.agg(F.avg(F.size("reps")).alias("replication_factor"))
@@ -83,8 +87,11 @@ class Layout:
 
 def shard_of(kind: str, shards: int, rng: Rng, chunk: int = 4096):
     """(edges -> edges with shard) for the layouts random, grid, source, chunked."""
-    if kind == "random":
-        return lambda e: e.withColumn("shard", rng.draw("y", 0, "src", "dst") % shards)
+    if kind == "random":  # `shards` replicas, or as many more as a hub needs to keep them bounded
+        def at_random(e: DataFrame) -> DataFrame:
+            d = e.groupBy("src").agg(F.count("*").alias("d"))
+            return e.join(d, "src").withColumn("shard", rng.draw("y", 0, "src", "dst") % F.greatest(F.lit(shards), F.ceil(F.col("d") / chunk))).drop("d")
+        return at_random
     if kind == "grid":
         rows = max(1, int(shards**0.5))
         cols = max(1, shards // rows)
@@ -109,3 +116,11 @@ def layout(edges: DataFrame, kind: str = "random", shards: int = 8, rng: Rng = R
     verts = directory.select(F.col("src").alias("id"))
     index = cut(indexed(verts, rng)) if keep else indexed(verts, rng)
     return Layout(reps, directory, verts, index.count(), index)
+
+
+def bucketed(layout: Layout, table: str, buckets: int = 64) -> Layout:
+    """The layout with its replicas and its directory as tables bucketed and sorted by source, in the warehouse."""
+    spark = layout.replicas.sparkSession
+    for frame, name in ((layout.replicas, f"{table}_replicas"), (layout.directory, f"{table}_directory")):
+        frame.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").saveAsTable(name)
+    return Layout(spark.table(f"{table}_replicas"), spark.table(f"{table}_directory"), layout.vertices, layout.n, layout.index, True)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -86,12 +86,16 @@ def columns(rows: DataFrame) -> DataFrame:
         "chi2_decay": (1 - c("p_t")) / c("p_t") * F.pow(1 - c("p_t"), c("t")), "interference": block,
         "second_moment": 1 / c("n_walkers") + (c("n_walkers") - 1) * block / c("n_walkers"),
         "meeting_power_law": 1 / c("n") + c("t") / (c("p_t") * F.sqrt("n")),
+        "rank_tail": F.least(F.lit(1.0), F.pow(c("n").cast("double"), c("gamma") - 1 / (c("theta") - 1))),
+        "chi2_start": (1 - c("p_t")) / c("p_t"), "distance_tail": F.least(F.lit(1.0), (1 / c("n_walkers") + (c("n_walkers") - 1) * block / c("n_walkers")) / (c("eps") * c("eps"))),
+        "plan_t": F.greatest(F.lit(1), F.ceil(F.ln(1 / c("mu")))).cast("int"), "plan_n": F.ceil(c("k") / (c("mu") * c("mu"))).cast("long"),
+        "chernoff": F.ceil(3 * F.ln(2 / c("delta")) / (c("eps") * c("eps") * c("pi_max"))).cast("long"),
     })
 
 
 def sweep(spark: SparkSession) -> DataFrame:
     """A grid of parameters with p_meet from its power-law bound."""
-    one = spark.sql("SELECT 0.15D AS p_t, 0.1D AS delta, 1000000L AS n, 0.001D AS pi_max")
+    one = spark.sql("SELECT 0.15D AS p_t, 0.1D AS delta, 1000000L AS n, 0.001D AS pi_max, 2.2D AS theta, 0.5D AS gamma, 0.11D AS eps, 0.07D AS mu")
     grid = one.withColumn("t", F.explode(F.array(*map(F.lit, (3, 4, 10, 11, 40))))).withColumn("k", F.explode(F.array(F.lit(10), F.lit(100)))).withColumn("n_walkers", F.explode(F.array(F.lit(8000), F.lit(800000)))).withColumn("p_s", F.explode(F.array(*map(F.lit, (1.0, 0.7, 0.4, 0.1)))))
     return columns(grid.withColumn("p_meet", 1 / F.col("n") + F.col("t") / (F.col("p_t") * F.sqrt("n"))))
 
@@ -140,16 +144,23 @@ def meet_rate(pos: DataFrame, n_walkers: int) -> DataFrame:
 
 
 def first_interference(pos: DataFrame) -> DataFrame:
-    """(step, pairs): how many of the pairs (2i, 2i + 1) of a blocking walk first stand together, one blocked next, by step."""
-    together = met(pos)
-    nxt = pos.where("blocked").select("walker", (F.col("step") - 1).alias("step")).distinct()
-    both = together.select(F.explode(F.array("a", "b")).alias("walker"), "a", "b", "step").join(nxt, ["walker", "step"], "left_semi")
-    return both.select("a", "b", "step").distinct().groupBy("step").agg(F.count("*").alias("pairs"))
+    """(step, pairs): the first step at which a pair (2i, 2i + 1) of a blocking walk stands together while one of it is blocked in its next move; how many pairs by step.
 
+    A pair that meets unblocked and is blocked when it is together later counts at that later step.
+    """
+    nxt = pos.where("blocked").select("walker", (F.col("step") - 1).alias("step"), F.lit(1).alias("hit"))
+    now = pos.select("walker", "step", "id").join(nxt, ["walker", "step"], "left").groupBy(F.expr("walker div 2").alias("pair"), "step", "id").agg(F.count("*").alias("c"), F.max("hit").alias("hit"))
+    first = now.where("c = 2 and hit = 1").groupBy("pair").agg(F.min("step").alias("step"))
+    return first.groupBy("step").agg(F.count("*").alias("pairs"))
 
-def floor_ceiling(rank: DataFrame, n: int, p_t: float = 0.15) -> DataFrame:
-    """(least, most, floor_ok): every vertex has a rank of p_T / n at least."""
-    return rank.agg(F.min("value").alias("least"), F.max("value").alias("most")).withColumn("floor_ok", F.col("least") >= p_t / n - 1e-15)
+
+def floor_ceiling(rank: DataFrame, n: int, p_t: float = 0.15, walks: DataFrame | None = None) -> DataFrame:
+    """(least, most, floor_ok), and, given the laws of walks (id, value), (walk_most, ceiling, ceiling_ok): every vertex has a rank of
+    p_T / n at least, and no walk's law has a vertex over the largest rank divided by p_T."""
+    out = rank.agg(F.min("value").alias("least"), F.max("value").alias("most")).withColumn("floor_ok", F.col("least") >= p_t / n - 1e-15)
+    if walks is None:
+        return out
+    return out.crossJoin(walks.agg(F.max("value").alias("walk_most"))).withColumn("ceiling", F.col("most") / p_t).withColumn("ceiling_ok", F.col("walk_most") <= F.col("ceiling") + 1e-15)
 
 
 def step_lengths(pos: DataFrame, n_walkers: int, horizon: int, p_t: float = 0.15) -> DataFrame:
@@ -165,7 +176,3 @@ def set_mass_gap(est: DataFrame, ref: DataFrame, k: int) -> DataFrame:
     top = d.orderBy(F.desc("d"), "id").limit(k).agg(F.sum("d").alias("gap"))
     l2 = d.agg((F.sqrt(F.sum(F.col("d") * F.col("d"))) * math.sqrt(k)).alias("bound"))
     return top.crossJoin(l2).withColumn("ok", F.col("gap") <= F.col("bound") + 1e-12)
-
-
-def as_column(x: Column | float) -> Column:
-    return x if isinstance(x, Column) else F.lit(x)

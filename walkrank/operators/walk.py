@@ -47,6 +47,8 @@ class WalkParams:
     on_no_live: str = "lose"  # or "stay", "stop_here"
     max_steps: int = 200
     counters: bool = True
+    #: Walkers up to which they are broadcast.
+    broadcast: int = 2_000_000
     rng: Rng = field(default_factory=Rng)
 
 
@@ -72,7 +74,7 @@ def birth_uniform(verts: DataFrame | None, n_walkers: int, rng: Rng, n: int | No
 
 def birth_per_vertex(verts: DataFrame, n_walkers: int, rng: Rng, n: int) -> DataFrame:
     """(id, k): each vertex draws Binomial(n_walkers, 1/n), keyed by its hash; the total is random."""
-    return _binomial(verts.select("id", F.lit(n_walkers).alias("k"), F.lit(1.0 / n).alias("p"), rng.draw("b", 1, "id").alias("key")), "id", "k").where("k > 0")
+    return _binomial(verts.select("id", F.lit(n_walkers).alias("k"), F.lit(1.0 / n).alias("p"), rng.draw("b", 1, "id").alias("key")), "id", "k", portable=rng.kind == "portable").where("k > 0")
 
 
 def birth_seeded(seeds: DataFrame, n_walkers: int, rng: Rng) -> DataFrame:
@@ -103,8 +105,17 @@ def thin(walkers: DataFrame, stop_rate: float, step: int, rng: Rng) -> DataFrame
     return walkers.where("k > 0").select("id", "k", falls.cast("long").alias("stopped"))
 
 
-def _binomial(rows: DataFrame, *keep: str) -> DataFrame:
-    """rows (.., k, p, key) with k replaced by a draw of Binomial(k, p), seeded by key."""
+def _binomial(rows: DataFrame, *keep: str, portable: bool = False) -> DataFrame:
+    """rows (.., k, p, key) with k replaced by a draw of Binomial(k, p), seeded by key; portable: by inversion, which other engines can repeat (kp under 500)."""
+    if portable:
+        u, k, p = F.col("key") / F.lit(float(1 << 60)), F.col("k").cast("double"), F.least(F.lit(1.0), F.col("p"))
+        most = F.least(k, F.ceil(k * p + 20 * F.sqrt(k * p) + 40)).cast("int")
+        # (places below the draw, the place's own share, the shares so far)
+        begin = F.struct(F.lit(0).cast("long").alias("n"), F.pow(1 - p, k).alias("f"), F.pow(1 - p, k).alias("s"))
+        # a step adds a place while the shares so far don't exceed the draw
+        grow = lambda a, j: F.when(a["s"] > u, a).otherwise(F.struct((a["n"] + 1).alias("n"), (a["f"] * (k - j + 1) / j * p / (1 - p)).alias("f"), (a["s"] + a["f"] * (k - j + 1) / j * p / (1 - p)).alias("s")))
+        drawn = F.when(p >= 1, F.col("k").cast("long")).otherwise(F.aggregate(F.sequence(F.lit(1), F.greatest(most, F.lit(1))), begin, grow)["n"])
+        return rows.withColumn("k", F.least(drawn, F.col("k").cast("long"))).select(*keep)
     schema = rows.select(*keep).schema
     names = schema.names
 
@@ -149,6 +160,14 @@ def pick_in_replica(shares: DataFrame, replicas: DataFrame, step: int, rng: Rng)
     return combine(gone.select(F.element_at("nbrs", (1 + rng.draw("p", step, "src", "shard", "j") % F.col("d_local")).cast("int")).alias("id"), F.lit(1).alias("k")))
 
 
+def pick_by_source(shares: DataFrame, replicas: DataFrame, step: int, rng: Rng) -> DataFrame:
+    """pick_in_replica() for replicas that are bucketed by src: shares meet them by src alone, so that only shares move."""
+    lists = shares.groupBy("src").agg(F.map_from_entries(F.collect_list(F.struct("shard", "k"))).alias("ks"))
+    met = lists.hint("merge").join(replicas.select("src", "shard", "nbrs", "d_local"), "src").withColumn("k", F.element_at("ks", F.col("shard"))).where("k > 0")
+    gone = met.select("src", "shard", "nbrs", "d_local", F.explode(F.sequence(F.lit(1).cast("long"), F.col("k"))).alias("j"))
+    return combine(gone.select(F.element_at("nbrs", (1 + rng.draw("p", step, "src", "shard", "j") % F.col("d_local")).cast("int")).alias("id"), F.lit(1).alias("k")))
+
+
 def scatter_binomial(alive_live: DataFrame, replicas: DataFrame, p_s: float, step: int, rng: Rng, unbiased: bool = False) -> DataFrame:
     """(id, k): each live edge of a vertex with k walkers gets Binomial(k, p); totals aren't kept exactly.
 
@@ -158,7 +177,7 @@ def scatter_binomial(alive_live: DataFrame, replicas: DataFrame, p_s: float, ste
     p = 1 / (d * p_s + F.pow(F.lit(1 - p_s), d)) if unbiased else F.least(F.lit(1.0), 1 / (d * p_s))
     edges = alive_live.select("src", "k", "d_out", F.explode("reps").alias("r")).select("src", "k", "d_out", "r.shard").join(replicas.select("src", "shard", "nbrs"), ["src", "shard"])
     rows = edges.select(F.explode("nbrs").alias("id"), "k", p.alias("p"), "src").withColumn("key", rng.draw("n", step, "src", "id"))
-    return combine(_binomial(rows, "id", "k").where("k > 0"))
+    return combine(_binomial(rows, "id", "k", portable=rng.kind == "portable").where("k > 0"))
 
 
 def _united(parts: list[DataFrame]) -> DataFrame:
@@ -172,6 +191,7 @@ def _united(parts: list[DataFrame]) -> DataFrame:
 def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None = None) -> WalkResult:
     """Tally (id, c) and, per step, counters (walkers in, stopped, refreshes tried and sent, signals, walkers out)."""
     p, rng = params, params.rng
+    born = births is not None
     if births is None:
         if p.birth == "uniform":
             births = birth_uniform(None, p.n_walkers, rng, layout.n, layout.index).groupBy("id").agg(F.count("*").alias("k"))
@@ -184,6 +204,10 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
         return df
 
     walkers = keep(births)
+    if p.birth != "uniform" or born:
+        # births that are drawn or given may be more than asked for: the bound is of what there is
+        rows = walkers.count()
+        p = replace(p, n_walkers=max(p.n_walkers, rows))
     done: list[DataFrame] = []
     steps: list[dict] = []
     last = p.horizon if p.horizon is not None else p.max_steps
@@ -191,11 +215,14 @@ def walker_tally(layout: Layout, params: WalkParams, births: DataFrame | None =
         thinned = keep(thin(walkers, p.stop_rate, step, rng))
         done.append(thinned.select("id", F.col("stopped").alias("c")))
         alive = thinned.where("k > stopped").select(F.col("id").alias("src"), (F.col("k") - F.col("stopped")).alias("k"))
-        met = small(alive, p.n_walkers).join(layout.directory, "src").withColumn("had", F.size("reps"))
+        met = small(alive, p.n_walkers, p.broadcast).join(layout.directory, "src").withColumn("had", F.size("reps"))
         live = live_replicas(met.select("src", "k", "d_out", "reps", "had"), p.refresh_rate, step, rng, p.erasure == "at_least_one")
         if p.scatter == "split":
             shares = split_shares(None, live, step, rng, p.rounding, p.replica_weight)
-            arrived = pick_in_replica(small(shares, p.n_walkers), layout.replicas, step, rng)
+            if layout.bucketed and p.n_walkers > p.broadcast:
+                arrived = pick_by_source(shares, layout.replicas, step, rng)
+            else:
+                arrived = pick_in_replica(small(shares, p.n_walkers, p.broadcast), layout.replicas, step, rng)
         else:
             arrived = scatter_binomial(live, layout.replicas, p.refresh_rate, step, rng, p.scatter == "binomial_unbiased")
         if p.erasure != "at_least_one" and p.refresh_rate < 1 and p.on_no_live != "lose":
@@ -269,13 +296,19 @@ def identity_step(pos: DataFrame, lists: DataFrame, p_s: float, step: int, rng:
     return first.select("walker", F.when(F.col("blocked"), at("live", "q")).otherwise(F.col("first")).alias("id"), "blocked")
 
 
-def identity_walk(edges: DataFrame, n_walkers: int, horizon: int, stop_rate: float, p_s: float, rng: Rng = Rng(), how: str = "live") -> DataFrame:
-    """(walker, id, step, stopped, blocked): where each walker is before each step, and where and when it stopped."""
+def identity_walk(edges: DataFrame, n_walkers: int, horizon: int, stop_rate: float, p_s: float, rng: Rng = Rng(), how: str = "live", death: str = "each_step") -> DataFrame:
+    """(walker, id, step, stopped, blocked): where each walker is before each step, and where and when it stopped.
+
+    death: drawn in "each_step", or "at_birth": each walker's life() is drawn once, and it stops when that is over.
+    """
+    span = lives(edges.sparkSession, n_walkers, stop_rate, horizon, rng) if death == "at_birth" else None
     lists = cut(out_lists(edges))
     pos = birth_uniform(lists.select(F.col("src").alias("id")), n_walkers, rng).withColumn("blocked", F.lit(False))
     out = None
     for step in range(horizon + 1):
         end = rng.happens(stop_rate, "d", step, "walker") if step < horizon else F.lit(True)
+        if span is not None:
+            pos, end = pos.join(small(span, n_walkers), "walker"), F.col("life") <= step
         now = cut(pos.select("walker", "id", F.lit(step).alias("step"), end.alias("stopped"), "blocked"))
         out = now if out is None else out.unionByName(now)
         if step < horizon:
@@ -346,6 +379,22 @@ def walker_program(p: WalkParams) -> VertexProgram:
     )
 
 
+def power_program(layout: Layout, p_t: float = 0.15) -> VertexProgram:
+    """Power iteration on run(): each vertex sends its value over its degree to all neighbours, on the same replicas that walkers use."""
+    verts = layout.vertices
+
+    def scatter(live: DataFrame, replicas: DataFrame, step: int) -> DataFrame:
+        sent = live.select("src", (F.col("value") / F.col("d_out")).alias("share")).join(replicas.select("src", "nbrs"), "src")
+        got = sent.select(F.explode("nbrs").alias("id"), "share").groupBy("id").agg(F.sum("share").alias("m"))
+        return verts.join(got, "id", "left").select("id", (F.coalesce("m", F.lit(0.0)) * (1 - p_t) + p_t / max(layout.n, 1)).alias("value"))
+
+    return VertexProgram(
+        init=lambda lay: lay.vertices.select("id", F.lit(1.0 / max(lay.n, 1)).alias("value")),
+        apply=lambda state, step: (None, state.select(F.col("id").alias("src"), "value")),
+        scatter=scatter,
+    )
+
+
 def gate(messages: DataFrame, directory: DataFrame, p_s: float, step: int, rng: Rng = Rng()) -> DataFrame:
     """messages (src, ..) on the replicas that are refreshed in this step: (src, .., shard). Any step in which a vertex picks
     a few neighbours at random can be gated so; p_s = 1 turns the gate off."""

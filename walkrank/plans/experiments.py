@@ -8,8 +8,8 @@ Times and bytes are those of the machine it runs on; only ratios between rows of
 from __future__ import annotations
 
 import sys
-import time
 from collections.abc import Iterator
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
@@ -20,41 +20,49 @@ from walkrank.functions.session import cut
 from walkrank.operators import accuracy, baselines, cost, prepare, walk
 from walkrank.plans.methods import graph
 
-RUN = "experiment string, method string, graph string, params map<string,string>, seconds double, model_bytes bigint, k int, mass double, hit_share double"
+RUN = "experiment string, method string, graph string, params map<string,string>, seconds double, step_seconds double, task_seconds double, shuffle_bytes bigint, model_bytes bigint, k int, mass double, hit_share double"
 
 
 class Bench:
     """A prepared graph (loading isn't timed) with its converged vector."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, shards: int = 8, kind: str = "random", reference: int = 40, seed: int = 7):
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, shards: int = 8, kind: str = "random", seed: int = 7):
         self.spark, self.name, self.rng = spark, name, Rng(seed, "fast")
         self.edges = cut(prepare.repair(cut(graph(spark, sf_dir, name))))
         self.layout = prepare.layout(self.edges, kind, shards, self.rng)
-        self.ref = cut(baselines.fixed(self.edges, reference))
+        self.ref = cut(baselines.exact(self.edges))
         self.extra = cost.baseline_model_bytes(self.layout, 1).first()["bytes"]
 
-    def row(self, experiment: str, method: str, est: DataFrame, took: float, size: int, params: dict, k: int) -> tuple:
+    def row(self, experiment: str, method: str, est: DataFrame, used: dict, steps: int, size: int, params: dict, k: int) -> tuple:
         got = accuracy.curve(est, self.ref, [k]).first()
-        return experiment, method, self.name, {a: str(b) for a, b in params.items()}, took, int(size), k, got["mass_norm"], got["hit_share"]
+        return experiment, method, self.name, {a: str(b) for a, b in params.items()}, used["seconds"], used["seconds"] / max(1, steps), used["task_seconds"], int(used["shuffle_bytes"]), int(size), k, got["mass_norm"], got["hit_share"]
 
     def walkers(self, experiment: str, k: int, **params) -> tuple:
         p = walk.WalkParams(rng=self.rng, **params)
-        began = time.monotonic()
-        got = walk.walker_tally(self.layout, p)
-        est = cut(walk.estimate(got.tally, p.n_walkers))
-        took = time.monotonic() - began
+        with cost.meter(self.spark) as used:  # without counters, as the baselines have none
+            got = walk.walker_tally(self.layout, replace(p, counters=False))
+            est = cut(walk.estimate(got.tally, p.n_walkers, p.normalize))
         got.release()
-        return self.row(experiment, "walkers", est, took, cost.walker_model_bytes(got.steps), params | {"shards": self.layout.replicas.select("shard").distinct().count()}, k)
+        counted = walk.walker_tally(self.layout, replace(p, counters=True))
+        counted.release()
+        return self.row(experiment, "walkers", est, used, len(counted.steps), cost.walker_model_bytes(counted.steps), params | {"shards": self.layout.replicas.select("shard").distinct().count()}, k)
 
     def power(self, experiment: str, k: int, iterations: int) -> tuple:
-        began = time.monotonic()
-        est = cut(baselines.fixed(self.edges, iterations))
-        return self.row(experiment, "power", est, time.monotonic() - began, self.extra * iterations, {"iterations": iterations}, k)
+        """Power iteration on the walkers' own replicas, through the runner."""
+        with cost.meter(self.spark) as used:
+            est = walk.run(walk.power_program(self.layout), self.layout, iterations)
+        return self.row(experiment, "power", est, used, iterations, self.extra * iterations, {"iterations": iterations}, k)
+
+    def converged(self, experiment: str, k: int, tol: float = 1e-6) -> tuple:
+        """Power iteration to a tolerance, on edges dealt by source."""
+        with cost.meter(self.spark) as used:
+            est, iterations = baselines.tolerance(self.edges, tol, every=10)
+        return self.row(experiment, "converged", est, used, iterations, self.extra * iterations, {"tolerance": tol, "iterations": iterations}, k)
 
     def sparse(self, experiment: str, k: int, r: float, iterations: int = 2) -> tuple:
-        began = time.monotonic()
-        est = cut(baselines.sparsified_rank(self.edges, r, iterations, rng=self.rng))
-        return self.row(experiment, "sparsified", est, time.monotonic() - began, int(self.extra * iterations * (1 - r)), {"r": r, "iterations": iterations}, k)
+        with cost.meter(self.spark) as used:
+            est = cut(baselines.sparsified_rank(self.edges, r, iterations, rng=self.rng))
+        return self.row(experiment, "sparsified", est, used, iterations, int(self.extra * iterations * (1 - r)), {"r": r, "iterations": iterations}, k)
 
 
 def _n(b: Bench, share: float) -> int:
@@ -69,6 +77,7 @@ def cluster_size(spark, d) -> Iterator[tuple]:
             yield b.walkers("cluster_size", 100, n_walkers=_n(b, 0.2), refresh_rate=p)
         for i in (1, 2):
             yield b.power("cluster_size", 100, i)
+        yield b.converged("cluster_size", 100)
 
 
 def accuracy_k(spark, d) -> Iterator[tuple]:

@@ -14,6 +14,9 @@ GRAPHS = {
     "activity": "SELECT DISTINCT 'u' || user_id AS src, 'u' || nxt AS dst FROM (SELECT user_id, lead(user_id) OVER (ORDER BY ts, event_id) AS nxt FROM events) WHERE nxt IS NOT NULL AND nxt <> user_id",
     "customers": """SELECT DISTINCT 'c' || o_custkey AS src, 'c' || nxt AS dst FROM (SELECT o_custkey, lead(o_custkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, o_orderkey, l_linenumber) AS nxt
         FROM lineitem JOIN orders ON l_orderkey = o_orderkey) WHERE nxt IS NOT NULL AND nxt <> o_custkey""",
+    "mixed": """SELECT DISTINCT week || '|u' || src AS src, week || '|u' || dst AS dst FROM (WITH e AS (SELECT user_id, event_id, ts, strftime(date_trunc('week', ts), '%Y-%m-%d') AS week FROM events),
+        c AS (SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, o_orderkey, l_linenumber) AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey)
+        SELECT week, user_id AS src, lead(user_id) OVER (PARTITION BY week, date_trunc('day', ts) ORDER BY ts, event_id) AS dst FROM e UNION ALL SELECT week, src, dst FROM (SELECT DISTINCT week FROM e) CROSS JOIN (SELECT DISTINCT src, dst FROM c)) WHERE dst IS NOT NULL AND src <> dst""",
     "links": "SELECT DISTINCT 'n' || page_id AS src, 'u' || href AS dst FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages)",
     "similarity": """SELECT src, dst FROM (SELECT 'v' || a.vec_id AS src, 'v' || b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_inner_product(a.e, b.e)
         / (sqrt(list_inner_product(a.e, a.e)) * sqrt(list_inner_product(b.e, b.e))), 9) DESC, b.vec_id) AS r
@@ -55,6 +58,20 @@ def ranks(iterations: int, p_t: float = P_T, edges: str = "edges", degrees: str
     return ", ".join(out)
 
 
+def exact(iterations: int = 200, p_t: float = P_T, degrees: bool = False) -> str:
+    """CTEs up to rx (id, value), so many iterations by recursion; degrees: ed isn't there yet. Needs WITH RECURSIVE."""
+    ed = "ed AS MATERIALIZED (SELECT e.src, e.dst, d.d FROM edges e JOIN (SELECT src, count(*) AS d FROM edges GROUP BY src) d USING (src)), " if degrees else ""
+    return f"""{ed}it(i, id, value) AS (SELECT 0, id, 1.0::DOUBLE / (SELECT count(*) FROM v)::DOUBLE FROM v UNION ALL SELECT (SELECT max(i) FROM it) + 1, v.id, coalesce(m, 0) * (1 - {p_t}::DOUBLE) + {p_t}::DOUBLE / (SELECT count(*) FROM v)
+        FROM v LEFT JOIN (SELECT dst AS id, sum(value / d) AS m FROM ed JOIN it ON src = id GROUP BY dst) q USING (id) WHERE (SELECT max(i) FROM it) < {iterations}), rx AS MATERIALIZED (SELECT id, value FROM it WHERE i = {iterations})"""
+
+
+def binomial(rows: str, keep: str) -> str:
+    """keep and kb, a draw of Binomial(k, p) by inversion, for rows (keep.., k, p, key)."""
+    logs = "lgamma(k + 1) - lgamma(j + 1) - lgamma(k - j + 1) + j * ln(p) + (k - j) * ln(1 - p)"
+    return f"""SELECT {keep}, CASE WHEN p >= 1 THEN k ELSE least(k, below) END::BIGINT AS kb FROM (SELECT {keep}, k, p, key, count(*) FILTER (cdf <= key / {float(1 << 60)}::DOUBLE) AS below FROM (
+        SELECT {keep}, k, p, key, j, sum(CASE WHEN p >= 1 THEN 0 ELSE exp({logs}) END) OVER (PARTITION BY {keep} ORDER BY j) AS cdf FROM (SELECT {keep}, k, p, key, unnest(range(0, least(k, ceil(k * least(1, p) + 20 * sqrt(k * least(1, p)) + 40))::BIGINT + 1)) AS j FROM ({rows}))) GROUP BY ALL)"""
+
+
 def index() -> str:
     return f"idx AS MATERIALIZED (SELECT id, row_number() OVER (ORDER BY {RNG.sql('v', 0, 'id')} % 64, id) - 1 AS ix FROM v)"
 
@@ -118,12 +135,14 @@ def tally(name: str, n: int, t: int, p_s: float = 1.0, rounding: str = "ceil", w
     return ", ".join(parts + [f"tally AS MATERIALIZED (SELECT id, sum(c)::BIGINT AS c FROM ({ends}) GROUP BY id HAVING sum(c) > 0)"])
 
 
-def identity(name: str, n: int, t: int, p_s: float, how: str = "live", p_t: float = P_T) -> str:
+def identity(name: str, n: int, t: int, p_s: float, how: str = "live", p_t: float = P_T, at_birth: bool = False) -> str:
     """CTEs up to pos (walker, id, step, stopped, blocked)."""
     more = ["walker"] if how == "serial" else []
     parts = [graph(name), index(), births(n), "ls AS MATERIALIZED (SELECT src, list(dst ORDER BY dst) AS nbrs, count(*) AS d FROM edges GROUP BY src)", "p0 AS (SELECT walker, id, false AS blocked FROM born)"]
     for s in range(t + 1):
         end = f"{RNG.sql('d', s, 'walker')} < {threshold(p_t)}" if s < t else "true"
+        if at_birth:  # as many moves as the one draw says
+            end = (f"{RNG.sql('l', 0, 'walker')} >= {int((1 - p_t) ** (s + 1) * (1 << 60))}") if s < t else "true"
         parts.append(f"q{s} AS MATERIALIZED (SELECT walker, id, {s} AS step, {end} AS stopped, blocked FROM p{s})")
         if s == t:
             break

@@ -14,6 +14,7 @@ from walkrank.sources import graphs
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 O: dict[str, str] = {}
+EVENTS = ["click", "error", "purchase", "signup", "view"]
 
 
 def case(name: str, sql: str | None = None):
@@ -42,16 +43,7 @@ def _(spark, d):
     return o.join(c, F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(n), F.col("c_nationkey") == F.col("n_nationkey")).groupBy(F.col("n_name").alias("nation")).agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 
 
-@case("knn_edges", "SELECT vec_id, nearest, sim FROM (SELECT a.vec_id, b.vec_id AS nearest, round(list_inner_product(a.e, b.e), 6) AS sim, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_inner_product(a.e, b.e), 9) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings WHERE vec_id < 100) b ON a.vec_id <> b.vec_id) WHERE r = 1")
-def _(spark, d):
-    e = read(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
-    few = F.broadcast(e.where("vec_id < 100").toDF("nearest", "f"))  # 100 rows at most
-    dot = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    both = e.join(few, F.col("vec_id") != F.col("nearest")).select("vec_id", "nearest", dot.alias("s"))
-    return both.groupBy("vec_id").agg(F.max_by(F.struct("nearest", "s"), F.struct(F.round("s", 9), -F.col("nearest"))).alias("b")).select("vec_id", "b.nearest", F.round("b.s", 6).alias("sim"))
-
-
-@case("knn_edges_all", "SELECT vec_id, nearest, sim FROM (SELECT a.vec_id, b.vec_id AS nearest, round(list_inner_product(a.e, b.e), 6) AS sim, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_inner_product(a.e, b.e), 9) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b ON a.vec_id <> b.vec_id) WHERE r = 1")
+@case("knn_edges", "SELECT vec_id, nearest, sim FROM (SELECT a.vec_id, b.vec_id AS nearest, round(list_inner_product(a.e, b.e), 6) AS sim, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_inner_product(a.e, b.e), 9) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b ON a.vec_id <> b.vec_id) WHERE r = 1")
 def _(spark, d):
     e = read(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     return graphs.nearest(e, 1, cosine=False).select(F.col("id").alias("vec_id"), F.col("other").alias("nearest"), F.round("sim", 6).alias("sim"))
@@ -100,9 +92,9 @@ def _(spark, d):
     return spark.sql("SELECT event_type, g, count(*) AS n FROM (SELECT event_type, user_id % 5 AS g FROM walkrank_events) GROUP BY GROUPING SETS ((event_type), (g), ())")
 
 
-@case("pivot_event_types", "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in ("click", "view", "purchase")) + " FROM events GROUP BY user_id")
+@case("pivot_event_types", "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in EVENTS) + " FROM events GROUP BY user_id")
 def _(spark, d):
-    kinds = ["click", "view", "purchase"]
+    kinds = EVENTS
     return read(spark, d, "events").groupBy("user_id").pivot("event_type", kinds).agg(F.count(F.lit(1))).select("user_id", *(F.coalesce(t, F.lit(0)).alias(t) for t in kinds))
 
 

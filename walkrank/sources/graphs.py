@@ -88,6 +88,19 @@ def customers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simple(bought.withColumn("next", F.lead("o_custkey").over(along)).select(_key("c", "o_custkey").alias("src"), _key("c", "next").alias("dst")))
 
 
+def mixed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """week|user -> the user of the week's next event on that day, and the user of the same number who buys the same part next: activity and connectivity
+    in one graph, a part for each week. That users and customers of one number are one is a synthetic link."""
+    events = read(spark, sf_dir, "events").select("event_id", "ts", "user_id").withColumn("week", F.date_format(F.date_trunc("week", "ts"), "yyyy-MM-dd"))
+    along = W.partitionBy(F.to_date("ts"), "week").orderBy("ts", "event_id")
+    active = events.select("week", F.col("user_id").alias("src"), F.lead("user_id").over(along).alias("dst"))
+    buyers = customers(spark, sf_dir).select(F.substring("src", 2, 20).cast("long").alias("src"), F.substring("dst", 2, 20).cast("long").alias("dst"))
+    weeks = F.broadcast(events.select("week").distinct())  # a row a week
+    both = active.unionByName(weeks.crossJoin(buyers)).where("dst is not null")
+    key = lambda c: F.concat_ws("|", "week", F.concat(F.lit("u"), F.col(c))).alias(c)
+    return simple(both.select(key("src"), key("dst")))
+
+
 def nearest(vectors: DataFrame, k: int, cosine: bool, block: int = BLOCK) -> DataFrame:
     """(id, other, sim, r): the k nearest others of each vector (vec_id, v array<double>), by cosine or inner product.
 
