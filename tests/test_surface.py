@@ -66,15 +66,17 @@ def test_generated_graph(spark):
 
 
 def test_experiment_rows(spark):
-    b = experiments.Bench(spark, SF, "items", shards=3, reference=10)
-    rows = [b.walkers("x", 10, n_walkers=500, refresh_rate=p) for p in (1.0, 0.1)] + [b.power("x", 10, 2), b.sparse("x", 10, 0.3)]
-    assert all(0 < r[7] <= 1 + 1e-9 for r in rows) and rows[1][5] < rows[0][5]
-    assert spark.createDataFrame(rows, experiments.RUN).count() == 4
+    b = experiments.Bench(spark, SF, "items", shards=3)
+    rows = [b.walkers("x", 10, n_walkers=500, refresh_rate=p) for p in (1.0, 0.1)] + [b.power("x", 10, 2), b.sparse("x", 10, 0.3), b.converged("x", 10)]
+    got = spark.createDataFrame(rows, experiments.RUN).collect()
+    assert len(got) == 5 and all(0 < r.mass <= 1 + 1e-9 and r.seconds >= r.step_seconds > 0 and r.task_seconds > 0 and r.shuffle_bytes > 0 for r in got)
+    assert got[1].model_bytes < got[0].model_bytes and got[4].hit_share == 1 and got[4].mass > 1 - 1e-6
 
 
 def test_scaling_of_runs(spark):
-    row = lambda size, p, took, n=5: ("c", "walkers", "g", {"shards": str(size), "refresh_rate": str(p), "n_walkers": str(n)}, took, 1, 10, 1.0, 1.0)
-    rows = spark.createDataFrame([row(4, 1.0, 8.0), row(8, 1.0, 4.0, 6), row(16, 1.0, 4.0), row(4, 0.1, 3.0), ("c", "power", "g", {"iterations": "1"}, 9.0, 1, 10, 1.0, 1.0)], experiments.RUN)
+    row = lambda size, p, took, n=5: run("walkers", {"shards": str(size), "refresh_rate": str(p), "n_walkers": str(n)}, took)
+    run = lambda method, params, took: ("c", method, "g", params, took, took / 4, took, 1, 1, 10, 1.0, 1.0)
+    rows = spark.createDataFrame([row(4, 1.0, 8.0), row(8, 1.0, 4.0, 6), row(16, 1.0, 4.0), row(4, 0.1, 3.0), run("power", {"iterations": "1"}, 9.0)], experiments.RUN)
     got = {(r["setting"], r["size"]): (r["speed_up"], r["efficiency"]) for r in experiments.scaling(rows).collect()}
     assert len(got) == 4 and sorted(got.values()) == [(1.0, 1.0), (1.0, 1.0), (2.0, 0.5), (2.0, 1.0)]
 
