@@ -128,19 +128,42 @@ def find(table: np.ndarray, wanted: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Grams:
-    """Distinct pairs (word, word before) and triples (place of a pair, word before that), sorted; the triple of each token."""
+    """Distinct pairs (word, word before) and triples (place of a pair, word before that), sorted; the triple of each token; tokens in the order of their triples."""
 
     pair_word: np.ndarray
     pair_before: np.ndarray
     triple_pair: np.ndarray
     triple_before: np.ndarray
     triple_of: np.ndarray | None
+    by: np.ndarray | None
+
+
+def numbered(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(a and b of their distinct pairs, sorted; the number of each place's pair; the places in the order of their pairs), of numbers below 2 ** 32."""
+    n = len(a)
+    if not n:
+        return a, b, np.zeros(0, np.int64), np.zeros(0, np.int64)
+    low, place = int(b.max()).bit_length(), n.bit_length()
+    if int(a.max()).bit_length() + low + place < 64:  # a value holds its place: sorted as it is
+        key = (a << low | b) << place | np.arange(n)
+        key.sort()
+        by = key & ((1 << place) - 1)
+        key >>= place
+    else:
+        key = a << low | b
+        by = np.argsort(key, kind="stable")
+        key = key[by]
+    new = flags(key)
+    of = np.empty(n, np.int64)
+    of[by] = np.cumsum(new) - 1
+    key = key[new]
+    return key >> low, key & ((1 << low) - 1), of, by
 
 
 def grams(words: np.ndarray, before: np.ndarray, earlier: np.ndarray) -> Grams:
-    pairs, pair_of = np.unique(words << 32 | before, return_inverse=True)
-    triples, triple_of = np.unique(pair_of << 32 | earlier, return_inverse=True)
-    return Grams(pairs >> 32, pairs & LOW, triples >> 32, triples & LOW, triple_of)
+    pair_word, pair_before, pair_of, _ = numbered(words, before)
+    triple_pair, triple_before, triple_of, by = numbered(pair_of, earlier)
+    return Grams(pair_word, pair_before, triple_pair, triple_before, triple_of, by)
 
 
 def along(now: np.ndarray, sizes: np.ndarray) -> Grams:
@@ -338,10 +361,11 @@ def deal(rows: DataFrame, model: Model) -> DataFrame:
                 digest = int(mixed(h[now] + np.arange(len(now), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64))
                 text_of = np.repeat(np.arange(len(sizes)), sizes)
                 many = np.bincount(g.triple_of, minlength=len(g.triple_pair))
-                places = text_of[np.argsort(g.triple_of, kind="stable")]
+                places = text_of[g.by]
                 del text_of, now
-                g.triple_of, ends = None, np.cumsum(many)
+                g.triple_of, g.by, ends = None, None, np.cumsum(many)
                 word_at = m.hot_words(h)
+                number = word_at.copy()  # of hot words for all, of others in a cell
                 pair_hash = joined(h[g.pair_before], h[g.pair_word])
                 pair_at = np.where(word_at[g.pair_word] >= 0, find(m.pairs, pair_hash), -1)
                 triple_hash = joined(h[g.triple_before], pair_hash[g.triple_pair])
@@ -357,7 +381,7 @@ def deal(rows: DataFrame, model: Model) -> DataFrame:
                         own[k] = np.bincount(places[occurs], weights=np.repeat(x, many[now_known]), minlength=len(sizes))
                 key = np.where(pair_at[g.triple_pair] >= 0, triple_hash, np.where(word_at[word_of] >= 0, pair_hash[g.triple_pair], mixed(h[word_of])))
                 rest = np.flatnonzero(triple_at < 0)
-                part = (key[rest] % np.uint64(m.parts)).astype(np.int64)
+                part = (key[rest] % np.uint64(m.parts)).astype(np.min_scalar_type(m.parts))  # narrow numbers are sorted faster
                 cold = np.flatnonzero(word_at < 0)
                 spelled = np.zeros(len(words), np.float32)
                 if len(cold):
@@ -369,11 +393,11 @@ def deal(rows: DataFrame, model: Model) -> DataFrame:
                     pairs = pair[pair_new]
                     word_new = flags(g.pair_word[pairs])
                     w, v, u = g.pair_word[pairs][word_new], g.pair_before[pairs], g.triple_before[t]
-                    local = np.unique(np.concatenate((w, v, u)))
-                    local = local[word_at[local] < 0]
-                    number = lambda x, local=local: np.where(word_at[x] >= 0, word_at[x], n_hot + np.searchsorted(local, x))
+                    local = np.concatenate((w, v, u))
+                    local = np.unique(local[word_at[local] < 0])
+                    number[local] = np.arange(n_hot, n_hot + len(local))
                     occurs = spread(ends[t] - many[t], many[t])
-                    blob = pack(h[local], number(w), spelled[w[word_at[w] < 0]], lengths(word_new), number(v), lengths(pair_new), number(u), many[t], places[occurs], np.packbits(held[start:stop]))
+                    blob = pack(h[local], number[w], spelled[w[word_at[w] < 0]], lengths(word_new), number[v], lengths(pair_new), number[u], many[t], places[occurs], np.packbits(held[start:stop]))
                     cells += 1
                     yield row(to, run, digest, None, blob)
                 ids = pa.BufferOutputStream()

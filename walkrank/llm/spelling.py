@@ -78,12 +78,10 @@ class Spelling:
     def spell(self, words: list[bytes]) -> np.ndarray:
         """log10 probability of each word's bytes and its end."""
         out = np.empty(len(words))
-        at = 0
+        ends, at = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 2), 0
         while at < len(words):
-            upto, size = at, 0
-            while upto < len(words) and (upto == at or size < 1 << 20):
-                size += len(words[upto]) + 2
-                upto += 1
+            begin = ends[at - 1] if at else 0
+            upto = min(len(words), int(np.searchsorted(ends, begin + (1 << 20))) + 1)
             raw, place, first = _marked(words[at:upto])
             value = WITHIN[raw]
             for n, key in _keys(GROUP[raw], len(self.tables)):
