@@ -1,6 +1,7 @@
 """Sources, sinks, streams, experiments, and the queries' SQL on the smallest tables."""
 
 import os
+import time
 
 import duckdb
 import pandas as pd
@@ -8,6 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from walkrank.functions import rng
+from walkrank.functions.session import cut
+from walkrank.operators import baselines, cost, prepare
 from walkrank.plans import experiments, methods, registry, relational
 from walkrank.sources import files, graphs
 from walkrank.streaming import activity
@@ -69,13 +72,39 @@ def test_experiment_rows(spark):
     b = experiments.Bench(spark, SF, "items", shards=3)
     rows = [b.walkers("x", 10, n_walkers=500, refresh_rate=p) for p in (1.0, 0.1)] + [b.power("x", 10, 2), b.sparse("x", 10, 0.3), b.converged("x", 10)]
     got = spark.createDataFrame(rows, experiments.RUN).collect()
-    assert len(got) == 5 and all(0 < r.mass <= 1 + 1e-9 and r.seconds >= r.step_seconds > 0 and r.task_seconds > 0 and r.shuffle_bytes > 0 for r in got)
+    assert len(got) == 5 and all(0 < r.mass <= 1 + 1e-9 and r.seconds >= r.step_seconds > 0 and r.task_seconds > 0 and r.cpu_seconds > 0 and r.shuffle_bytes > 0 for r in got)
     assert got[1].model_bytes < got[0].model_bytes and got[4].hit_share == 1 and got[4].mass > 1 - 1e-6
 
 
+def test_meter_counts_tasks_only(spark):
+    with cost.meter(spark) as idle:
+        time.sleep(0.5)
+    with cost.meter(spark) as busy:
+        spark.range(0, 3_000_000, 1, 4).selectExpr("id % 1000 AS k", "md5(string(id)) AS x").groupBy("k").agg(F.max("x")).count()
+    assert idle["seconds"] >= 0.5 and idle["task_seconds"] == idle["cpu_seconds"] == idle["shuffle_bytes"] == 0
+    assert busy["task_seconds"] >= busy["cpu_seconds"] > 0 and busy["shuffle_bytes"] > 0
+
+
+def test_iterations_leave_edges_where_they_are(spark):
+    edges = graphs.toy(spark)
+    verts = cut(prepare.vertices(edges))
+    e = baselines.by_source(baselines.with_degree(edges))
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        rank = baselines.step(baselines.start(verts, 4), e, verts, 4)
+        plan = baselines.step(rank, e, verts, 4)._jdf.queryExecution().executedPlan().toString().splitlines()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+        e.unpersist()
+    join = next(i for i, line in enumerate(plan) if "SortMergeJoin" in line)
+    scan = next(i for i, line in enumerate(plan) if "InMemoryTableScan" in line)
+    assert join < scan and not any("Exchange" in line or "Sort " in line for line in plan[join + 1 : scan])
+
+
 def test_scaling_of_runs(spark):
     row = lambda size, p, took, n=5: run("walkers", {"shards": str(size), "refresh_rate": str(p), "n_walkers": str(n)}, took)
-    run = lambda method, params, took: ("c", method, "g", params, took, took / 4, took, 1, 1, 10, 1.0, 1.0)
+    run = lambda method, params, took: ("c", method, "g", params, took, took / 4, took, took, 1, 1, 10, 1.0, 1.0)
     rows = spark.createDataFrame([row(4, 1.0, 8.0), row(8, 1.0, 4.0, 6), row(16, 1.0, 4.0), row(4, 0.1, 3.0), run("power", {"iterations": "1"}, 9.0)], experiments.RUN)
     got = {(r["setting"], r["size"]): (r["speed_up"], r["efficiency"]) for r in experiments.scaling(rows).collect()}
     assert len(got) == 4 and sorted(got.values()) == [(1.0, 1.0), (1.0, 1.0), (2.0, 0.5), (2.0, 1.0)]

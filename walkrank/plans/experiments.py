@@ -20,7 +20,7 @@ from walkrank.functions.session import cut
 from walkrank.operators import accuracy, baselines, cost, prepare, walk
 from walkrank.plans.methods import graph
 
-RUN = "experiment string, method string, graph string, params map<string,string>, seconds double, step_seconds double, task_seconds double, shuffle_bytes bigint, model_bytes bigint, k int, mass double, hit_share double"
+RUN = "experiment string, method string, graph string, params map<string,string>, seconds double, step_seconds double, task_seconds double, cpu_seconds double, shuffle_bytes bigint, model_bytes bigint, k int, mass double, hit_share double"
 
 
 class Bench:
@@ -35,7 +35,7 @@ class Bench:
 
     def row(self, experiment: str, method: str, est: DataFrame, used: dict, steps: int, size: int, params: dict, k: int) -> tuple:
         got = accuracy.curve(est, self.ref, [k]).first()
-        return experiment, method, self.name, {a: str(b) for a, b in params.items()}, used["seconds"], used["seconds"] / max(1, steps), used["task_seconds"], int(used["shuffle_bytes"]), int(size), k, got["mass_norm"], got["hit_share"]
+        return experiment, method, self.name, {a: str(b) for a, b in params.items()}, used["seconds"], used["seconds"] / max(1, steps), used["task_seconds"], used["cpu_seconds"], int(used["shuffle_bytes"]), int(size), k, got["mass_norm"], got["hit_share"]
 
     def walkers(self, experiment: str, k: int, **params) -> tuple:
         p = walk.WalkParams(rng=self.rng, **params)
