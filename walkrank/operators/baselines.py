@@ -19,8 +19,13 @@ def with_degree(edges: DataFrame, full: DataFrame | None = None) -> DataFrame:
 
 
 def by_source(edges_d: DataFrame) -> DataFrame:
-    """Edges dealt by source once and cached so, that iterations move ranks but not edges. The caller frees them."""
-    return edges_d.repartition(int(edges_d.sparkSession.conf.get("spark.sql.shuffle.partitions")), "src").persist()
+    """Edges dealt by source once, sorted and cached so, that iterations neither move nor sort edges, but ranks only. The caller frees them.
+
+    They are counted here, as plans know the partitioning of a cache only when it is filled (without, only adaptive execution finds it, while running).
+    """
+    out = edges_d.repartition(int(edges_d.sparkSession.conf.get("spark.sql.shuffle.partitions")), "src").sortWithinPartitions("src").persist()
+    out.count()
+    return out
 
 
 def start(verts: DataFrame, n: int) -> DataFrame:
