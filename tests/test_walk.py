@@ -179,6 +179,12 @@ def test_layouts_hold_every_edge(random_edges):
         assert f == 1 if kind == "source" else f > 1
 
 
+def test_random_layout_of_a_hub_has_the_shards_asked_for(spark):
+    hub = spark.range(20_000).select(F.lit("hub").alias("src"), F.concat(F.lit("n"), F.col("id")).alias("dst"))
+    shards = lambda kind: {r.shard for r in prepare.shard_of(kind, 3, Rng())(hub).select("shard").distinct().collect()}
+    assert shards("random") == {0, 1, 2} and shards("spread") == {0, 1, 2, 3, 4}  # 4096 neighbours a replica
+
+
 def test_bounds():
     for t, want in ((3, 1.865), (4, 1.720), (10, 1.056), (11, 0.974), (40, 0.092)):
         assert theory.mixing(0.15, t) == pytest.approx(want, abs=1e-3)
