@@ -182,3 +182,22 @@ def test_keywords_of_every_language(spark, tmp_path):
     spark.createDataFrame(rows, "lang string, text string").write.parquet(str(tmp_path / "documents.parquet"))
     got = methods.Q["keywords_by_lang"](spark, str(tmp_path)).collect()
     assert {(r.lang, r.vertex) for r in got} == {(lang, w) for lang, text in rows if text for w in text.split()}
+
+
+@pytest.mark.parametrize("wide", [1, 1 << 60])
+def test_following_moves_no_pairs(spark, wide):
+    import numpy as np
+
+    r = np.random.default_rng(3)
+    rows = [(int(u) * wide - 2, int(t)) for u, t in zip(r.integers(0, 7, 900), np.r_[r.integers(0, 4000, 600), r.integers(0, 30, 300)])]
+    want = {}
+    for a, t in rows:
+        for b, s in rows:
+            if t < s <= t + 40 and a != b:
+                want[a, b] = want.get((a, b), 0) + 1
+    e = spark.createDataFrame(rows, "user long, t long")
+    for pairs, pack in ((1 << 23, 512), (50, 7)):
+        got = graphs.following(e.repartition(3), 40, pairs, pack)
+        assert {(x.src, x.dst): x.n for x in got.collect()} == want
+        assert "Aggregate" not in got._jdf.queryExecution().executedPlan().toString()  # nothing is counted after a shuffle
+    assert graphs.following(e.limit(0), 40).count() == 0

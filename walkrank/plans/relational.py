@@ -51,12 +51,8 @@ def _(spark, d):
 
 @case("interval_activity_edges", "SELECT a.user_id AS src, b.user_id AS dst, count(*) AS n FROM events a JOIN events b ON b.ts > a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTE AND a.user_id <> b.user_id GROUP BY 1, 2")
 def _(spark, d):
-    # a range join as an equi join: each event lies in its own 5-minute bucket and is looked up from that and the one before
-    e = read(spark, d, "events").select("user_id", "ts", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 300).alias("b"))
-    left = e.select(F.col("user_id").alias("src"), F.col("ts").alias("t0"), F.explode(F.array(F.col("b"), F.col("b") + 1)).alias("b"))
-    right = e.select(F.col("user_id").alias("dst"), F.col("ts").alias("t1"), "b")
-    near = (F.col("t1") > F.col("t0")) & (F.col("t1") <= F.col("t0") + F.expr("INTERVAL 5 MINUTES")) & (F.col("src") != F.col("dst"))
-    return left.join(right, "b").where(near).groupBy("src", "dst").agg(F.count("*").alias("n"))
+    e = read(spark, d, "events").select(F.col("user_id").cast("long").alias("user"), F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    return graphs.following(e.where("user is not null and t is not null"), 300_000_000)
 
 
 @case("asof_user_order", "SELECT e.event_id, o.o_orderkey AS order_key FROM events e ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_orderkey) AS o_orderkey FROM orders GROUP BY ALL) o ON e.user_id = o.o_custkey AND e.ts >= o.o_orderdate")
