@@ -57,6 +57,19 @@ def test_fixed_point_and_dense_solution(toy):
     assert np.allclose(values(sent), dense, atol=1e-7)
 
 
+def test_exact_takes_few_iterations(spark):
+    pairs = np.random.default_rng(0).integers(0, 90, (2400, 2))
+    rows = sorted({(f"n{a:02}", f"n{b:02}") for a, b in pairs if a != b and a < 84} | {(f"n{i:02}", f"n{i:02}") for i in range(84, 90)})
+    p = np.zeros((90, 90))
+    for s, d in rows:
+        p[int(d[1:]), int(s[1:])] = 1
+    dense = np.linalg.solve(np.eye(90) - 0.85 * p / p.sum(axis=0), np.full(90, 0.15 / 90))
+    edges = spark.createDataFrame(rows, "src string, dst string")
+    assert np.allclose(values(baselines.exact(edges, most=40)), dense, atol=1e-12, rtol=0)  # power iteration takes about 170
+    assert baselines.exact(edges.limit(0)).count() == 0
+    assert np.allclose(baselines.least_mean(np.diag([4.0, 1.0])), [0.2, 0.8]) and list(baselines.least_mean(np.zeros((2, 2)))) == [0, 1]
+
+
 def test_top_one_of_two_iterations_is_not_the_best(toy):
     ref = baselines.fixed(toy, 60)
     est = baselines.fixed(toy, 2)
