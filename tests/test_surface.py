@@ -201,3 +201,11 @@ def test_following_moves_no_pairs(spark, wide):
         assert {(x.src, x.dst): x.n for x in got.collect()} == want
         assert "Aggregate" not in got._jdf.queryExecution().executedPlan().toString()  # nothing is counted after a shuffle
     assert graphs.following(e.limit(0), 40).count() == 0
+
+
+@pytest.mark.parametrize("name", ["bound_sweep", "live_probability", "walker_lives"])
+def test_sums_are_of_a_given_graph(spark, duck, name):
+    frame = registry.queries()[name](spark, SF)
+    assert plain(frame.toPandas()) == plain(duck.sql(registry.oracle_sql()[name]).df())
+    other = registry.queries()[name](spark, SF.replace("0.001", "0.01"))
+    assert sorted(map(tuple, frame.collect())) != sorted(map(tuple, other.collect()))
