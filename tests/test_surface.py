@@ -209,3 +209,10 @@ def test_sums_are_of_a_given_graph(spark, duck, name):
     assert plain(frame.toPandas()) == plain(duck.sql(registry.oracle_sql()[name]).df())
     other = registry.queries()[name](spark, SF.replace("0.001", "0.01"))
     assert sorted(map(tuple, frame.collect())) != sorted(map(tuple, other.collect()))
+
+
+def test_users_mixed_by_week_without_the_whole_graph(spark, duck, monkeypatch):
+    monkeypatch.setattr(graphs, "mixed", None)
+    name = "users_mixed_by_week_topk"
+    got = registry.queries()[name](spark, SF).toPandas()
+    assert len(got) and plain(got) == plain(duck.sql(registry.oracle_sql()[name]).df())
