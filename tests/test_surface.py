@@ -216,3 +216,15 @@ def test_users_mixed_by_week_without_the_whole_graph(spark, duck, monkeypatch):
     name = "users_mixed_by_week_topk"
     got = registry.queries()[name](spark, SF).toPandas()
     assert len(got) and plain(got) == plain(duck.sql(registry.oracle_sql()[name]).df())
+
+
+def test_one_walk_for_all_sources(spark, monkeypatch):
+    walks, tally = [], methods.walk.walker_tally
+    monkeypatch.setattr(methods.walk, "walker_tally", lambda *a, **k: walks.append(1) or tally(*a, **k))
+    got = methods.Q["keywords_by_source"](spark, SF).collect()
+    assert len(walks) == 1 and len({r.source for r in got}) > 3
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    for x in sorted({r.source for r in got})[:1]:  # as a walk of its own
+        lay = prepare.layout(cut(prepare.repair(cut(graphs.next_words(docs.where(F.col("source") == x))))), "random", 8, methods.RNG)
+        own = methods.walk.estimate(tally(lay, methods.params(horizon=3, refresh_rate=0.7)).tally, methods.N)
+        assert sorted((r.position, r.vertex, r.score) for r in got if r.source == x) == sorted(map(tuple, methods.show_top(methods.walk.top_k(own, 5)).collect()))
