@@ -1,12 +1,13 @@
 """Near-duplicates among vectors by collision counting on many one-dimensional projections.
 
 Unit vectors are turned by a fixed random rotation, whose coordinates are the projections. In a pair of
-blocks every projection is sorted, and each vector's window holds the vectors that collide with it there. The
+blocks every projection is sorted into cells, and each vector's window holds the vectors that collide with it there. The
 window's half width w and the count are calibrated so that recall is 1: cosine >= c means a squared distance
 of at most 2 - 2c = r2, and a pair that misses m windows has squared distance over m * w * w, so with
-w * w = r2 / 8 no such pair misses 8. Windows are bit sets (differences of the sorted order's prefixes), and misses
-are counted in bit-sliced counters for 64 vectors at once. Pairs with fewer than 8 misses are verified by
-their cosine in double precision.
+w * w = r2 / m no such pair misses m, whichever projections are looked at. So each vector takes its own order of them: those
+come first whose windows hold the fewest, which part most pairs after a fraction of the projections. Windows are bit sets
+(differences of prefixes, in whole cells), and misses are counted in bit-sliced counters for 64 vectors at once; words of 64 that are
+all parted are left out of further counting. Pairs with fewer than m misses are verified by their cosine in double precision.
 
 Equal vectors are one class from the start. Blocks are boxes by the signs of a few projections, cut to a bounded size;
 of the boxes, narrow rows, those pairs within reach are found first, and only for these do vectors travel, several partners to a block that
@@ -33,9 +34,11 @@ from walkrank.llm.components import components, local_components
 from walkrank.llm.topk import _floats, usable
 
 BLOCK = 16384
-MISSES = 8
-#: Sorted places between two stored prefixes of an order.
-STEP = 32
+#: Cells of a projection, at whose borders the sets of smaller vectors are stored; at most 255.
+CELLS = 128
+#: Vectors whose windows are counted at once, and the share of words under which only those that are left are counted on.
+ROWS, SPARSE = 1024, 0.1
+ALL = np.uint64(2**64 - 1)
 VERIFY = 1 << 16
 
 
@@ -44,39 +47,108 @@ def rotation(dim: int, seed: int = 7) -> np.ndarray:
     return q
 
 
-def near_pairs(x: np.ndarray, y: np.ndarray, r2: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Places (i, j) of rotated unit vectors that miss fewer than MISSES windows: all within r2, and few others."""
-    w = np.sqrt(r2 / MISSES) * (1 + 1e-9) + 1e-9
-    n, m = len(x), len(y)
-    words = -(-m // 64)
-    steps = np.arange(-(-m // STEP) + 1) * STEP
-    for at in range(0, n, 1024):
-        part = x[at : at + 1024]
-        ones, twos, fours, over = (np.zeros((len(part), words), dtype=np.uint64) for _ in range(4))
-        for c in range(y.shape[1]):
-            order = np.argsort(y[:, c], kind="stable")
-            place = np.empty(m, dtype=np.int64)
-            place[order] = np.arange(m)
-            bits = np.zeros((len(steps), words * 64), dtype=np.uint8)
-            bits[:, :m] = place[None, :] < steps[:, None]
-            prefix = np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
-            ranks = y[order, c]
-            lo = np.searchsorted(ranks, part[:, c] - w, side="left") // STEP
-            hi = -(-np.searchsorted(ranks, part[:, c] + w, side="right") // STEP)
-            miss = ~(prefix[lo] ^ prefix[hi])
-            carry = ones & miss
-            ones ^= miss
-            miss, carry = carry, twos & carry
-            twos ^= miss
-            miss, carry = carry, fours & carry
-            fours ^= miss
-            over |= carry
-            if c % 16 == 15 and c + 1 < y.shape[1] and not (~over).any():
-                break
-        left = np.unpackbits((~over).view(np.uint8).reshape(len(part), -1), axis=1, bitorder="little")[:, :m]
-        i, j = np.nonzero(left)
-        for k in range(0, len(i), VERIFY):
-            yield i[k : k + VERIFY] + at, j[k : k + VERIFY]
+def misses_for(dim: int, r2: float) -> int:
+    """How many misses part a pair: so many that a window is a little wider than a component's spread, but fewer than projections."""
+    most = 1 << max(0, min(6, dim.bit_length() - 2))
+    return int(min(most, max(4, 2 ** round(np.log2(max(1.0, r2 * dim / 1.6))))))
+
+
+def near_pairs(x: np.ndarray, y: np.ndarray, r2: float, own: bool = False, spent: list[int] | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (i, j) of rotated unit vectors that miss fewer windows than part a pair (own: of y = x, those of i < j): all within r2, and
+    few others. The words of windows that were read are appended to `spent`."""
+    n, dim = x.shape
+    misses = misses_for(dim, r2)
+    w = np.sqrt(r2 / misses) * (1 + 1e-9) + 1e-9
+    low = y.min(axis=0)
+    scale = CELLS / np.maximum(y.max(axis=0) - low, 1e-9)
+    # monotone, so a window's cells hold all of the window
+    cell = lambda v: np.clip((v - low) * scale, 0, CELLS - 1).astype(np.uint8)
+    cells = np.ascontiguousarray(cell(y).T)
+    below = np.zeros((dim, CELLS + 1), dtype=np.int64)
+    for c in range(dim):
+        np.cumsum(np.bincount(cells[c], minlength=CELLS), out=below[c, 1:])
+    # a vector's own order of projections: windows that hold few come first
+    column = np.empty((dim, n), dtype=np.int32)
+    lo, hi = (np.empty((dim, n), dtype=np.uint8) for _ in range(2))
+    for at in range(0, n, ROWS):
+        first, last = cell(x[at : at + ROWS] - w), cell(x[at : at + ROWS] + w) + 1
+        order = np.argsort(below[np.arange(dim), last] - below[np.arange(dim), first], axis=1, kind="stable")
+        column[:, at : at + ROWS] = order.T
+        lo[:, at : at + ROWS] = np.take_along_axis(first, order, axis=1).T
+        hi[:, at : at + ROWS] = np.take_along_axis(last, order, axis=1).T
+    size = 64 * max(8, min(64, 8192 // dim))
+    for s in range(0, len(y), size):
+        table = prefixes(cells[:, s : s + size])
+        for at in range(0, min(n, s + size) if own else n, ROWS):
+            i, j = _left(table, column[:, at : at + ROWS], lo[:, at : at + ROWS], hi[:, at : at + ROWS], misses, spent)
+            i, j = i + at, j + s
+            kept = (j < len(y)) & ((i < j) | (not own))
+            i, j = i[kept], j[kept]
+            for k in range(0, len(i), VERIFY):
+                yield i[k : k + VERIFY], j[k : k + VERIFY]
+
+
+def prefixes(cells: np.ndarray) -> np.ndarray:
+    """Row c * (CELLS + 1) + k: the set, as bits, of the vectors whose cell in projection c is under k."""
+    dim, m = cells.shape
+    table = np.zeros((dim, CELLS + 1, -(-m // 64)), dtype=np.uint64)
+    one = np.zeros((CELLS, table.shape[2] * 64), dtype=np.uint8)
+    for c in range(dim):
+        one[cells[c], np.arange(m)] = 1
+        table[c, 1:] = np.packbits(one, axis=1, bitorder="little").view(np.uint64)
+        one[cells[c], np.arange(m)] = 0
+    np.bitwise_or.accumulate(table, axis=1, out=table)
+    return table.reshape(-1, table.shape[2])
+
+
+def _left(table: np.ndarray, column: np.ndarray, lo: np.ndarray, hi: np.ndarray, misses: int, spent: list[int] | None) -> tuple[np.ndarray, np.ndarray]:
+    """(row, bit) of the table's vectors that miss under `misses` of the row's windows, or are worth a look at their cosine."""
+    dim, n = column.shape
+    words = table.shape[1]
+    over = np.zeros((n, words), dtype=np.uint64)
+    counts = [np.zeros_like(over) for _ in range(misses.bit_length() - 1)]
+    miss, other = np.empty_like(over), np.empty_like(over)
+    alive, c = np.arange(over.size), 0
+    # all words, until nearly all are parted from all of their vectors
+    while c < dim and len(alive) > SPARSE * over.size:
+        end = min(c + 4, dim)
+        for c in range(c, end):
+            np.take(table, column[c] * (CELLS + 1) + lo[c], axis=0, out=miss, mode="clip")
+            np.take(table, column[c] * (CELLS + 1) + hi[c], axis=0, out=other, mode="clip")
+            np.bitwise_xor(miss, other, out=miss)
+            np.invert(miss, out=miss)
+            for k in counts:
+                np.bitwise_and(k, miss, out=other)
+                np.bitwise_xor(k, miss, out=k)
+                miss, other = other, miss
+            np.bitwise_or(over, miss, out=over)
+        c = end
+        if c >= misses:
+            alive = np.flatnonzero(over != ALL)
+    read = c * over.size
+    over, counts = over.ravel()[alive], [k.ravel()[alive] for k in counts]
+    # the words that are left, until what goes is less than what a look costs
+    while c < dim and len(alive):
+        end = min(c + 8, dim)
+        read += (end - c) * len(alive)
+        row, word = alive // words, alive % words
+        for c in range(c, end):
+            at = column[c][row] * (CELLS + 1)
+            miss = ~(table[at + lo[c][row], word] ^ table[at + hi[c][row], word])
+            for k in counts:
+                carry = k & miss
+                k ^= miss
+                miss = carry
+            over |= miss
+        c = end
+        kept = over != ALL
+        alive, over, counts = alive[kept], over[kept], [k[kept] for k in counts]
+        if kept.mean() > 0.75:
+            break
+    if spent is not None:
+        spent.append(read)
+    at, bit = np.nonzero(np.unpackbits((~over).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"))
+    return alive[at] // words, (alive[at] % words) * 64 + bit
 
 
 def block_links(x: np.ndarray, y: np.ndarray, own: bool, weights: tuple[np.ndarray, np.ndarray], cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -91,9 +163,7 @@ def block_links(x: np.ndarray, y: np.ndarray, own: bool, weights: tuple[np.ndarr
     r2 = 2 - 2 * cosine + 1e-9
     if gap @ gap > r2:
         return to_x, to_y, root
-    for i, j in near_pairs(ux, uy, r2):
-        if own:
-            i, j = i[i < j], j[i < j]
+    for i, j in near_pairs(ux, uy, r2, own):
         near = np.einsum("ij,ij->i", x[i], y[j]) / (nx[i] * ny[j]) >= cosine
         i, j = i[near], j[near]
         if len(i):
