@@ -4,10 +4,10 @@ Unit vectors are turned by a fixed random rotation, whose coordinates are the pr
 blocks every projection is sorted into cells, and each vector's window holds the vectors that collide with it there. The
 window's half width w and the count are calibrated so that recall is 1: cosine >= c means a squared distance
 of at most 2 - 2c = r2, and a pair that misses m windows has squared distance over m * w * w, so with
-w * w = r2 / m no such pair misses m, whichever projections are looked at. So each vector takes its own order of them: those
-come first whose windows hold the fewest, which part most pairs after a fraction of the projections. Windows are bit sets
-(differences of prefixes, in whole cells), and misses are counted in bit-sliced counters for 64 vectors at once; words of 64 that are
-all parted are left out of further counting. Pairs with fewer than m misses are verified by their cosine in double precision.
+w * w = r2 / m no such pair misses m, whichever projections are looked at. So each vector takes its own order of the windows' halves
+(a miss lies beyond one of the two ends): those come first that hold the fewest, which part most pairs after a fraction of the projections.
+What lies beyond an end is a bit set (a prefix in whole cells, or the rest), and misses are counted in bit-sliced counters for 64 vectors at once;
+words of 64 that are all parted are left out of further counting. Pairs with fewer than m misses are verified by their cosine in double precision.
 
 Equal vectors are one class from the start. Blocks are boxes by the signs of a few projections, cut to a bounded size;
 of the boxes, narrow rows, those pairs within reach are found first, and only for these do vectors travel, several partners to a block that
@@ -34,10 +34,10 @@ from walkrank.llm.components import components, local_components
 from walkrank.llm.topk import _floats, usable
 
 BLOCK = 16384
-#: Cells of a projection, at whose borders the sets of smaller vectors are stored; at most 255.
-CELLS = 128
+#: Cells of a projection, at whose borders the sets of smaller vectors are stored.
+CELLS = 64
 #: Vectors whose windows are counted at once, and the share of words under which only those that are left are counted on.
-ROWS, SPARSE = 1024, 0.1
+ROWS, SPARSE = 512, 0.1
 ALL = np.uint64(2**64 - 1)
 VERIFY = 1 << 16
 
@@ -62,25 +62,25 @@ def near_pairs(x: np.ndarray, y: np.ndarray, r2: float, own: bool = False, spent
     low = y.min(axis=0)
     scale = CELLS / np.maximum(y.max(axis=0) - low, 1e-9)
     # monotone, so a window's cells hold all of the window
-    cell = lambda v: np.clip((v - low) * scale, 0, CELLS - 1).astype(np.uint8)
+    cell = lambda v: np.clip((v - low) * scale, 0, CELLS - 1).astype(np.int32)
     cells = np.ascontiguousarray(cell(y).T)
     below = np.zeros((dim, CELLS + 1), dtype=np.int64)
     for c in range(dim):
         np.cumsum(np.bincount(cells[c], minlength=CELLS), out=below[c, 1:])
-    # a vector's own order of projections: windows that hold few come first
-    column = np.empty((dim, n), dtype=np.int32)
-    lo, hi = (np.empty((dim, n), dtype=np.uint8) for _ in range(2))
+    # a vector's own order of half windows: those that part it from most come first
+    tests = np.empty((2 * dim, n), dtype=np.int32)
+    at_c = np.arange(dim)
     for at in range(0, n, ROWS):
         first, last = cell(x[at : at + ROWS] - w), cell(x[at : at + ROWS] + w) + 1
-        order = np.argsort(below[np.arange(dim), last] - below[np.arange(dim), first], axis=1, kind="stable")
-        column[:, at : at + ROWS] = order.T
-        lo[:, at : at + ROWS] = np.take_along_axis(first, order, axis=1).T
-        hi[:, at : at + ROWS] = np.take_along_axis(last, order, axis=1).T
+        parted = np.concatenate((below[at_c, first], len(y) - below[at_c, last]), axis=1)
+        order = np.argsort((65535 - parted * 65535 // len(y)).astype(np.uint16), axis=1, kind="stable")
+        rows = np.concatenate((at_c * (CELLS + 1) + first, (dim + at_c) * (CELLS + 1) + last), axis=1)
+        tests[:, at : at + ROWS] = np.take_along_axis(rows, order, axis=1).T
     size = 64 * max(8, min(64, 8192 // dim))
     for s in range(0, len(y), size):
         table = prefixes(cells[:, s : s + size])
         for at in range(0, min(n, s + size) if own else n, ROWS):
-            i, j = _left(table, column[:, at : at + ROWS], lo[:, at : at + ROWS], hi[:, at : at + ROWS], misses, spent)
+            i, j = _left(table, tests[:, at : at + ROWS], misses, spent)
             i, j = i + at, j + s
             kept = (j < len(y)) & ((i < j) | (not own))
             i, j = i[kept], j[kept]
@@ -89,7 +89,7 @@ def near_pairs(x: np.ndarray, y: np.ndarray, r2: float, own: bool = False, spent
 
 
 def prefixes(cells: np.ndarray) -> np.ndarray:
-    """Row c * (CELLS + 1) + k: the set, as bits, of the vectors whose cell in projection c is under k."""
+    """Row c * (CELLS + 1) + k: the set, as bits, of the vectors whose cell in projection c is under k; after these rows, the sets of all others."""
     dim, m = cells.shape
     table = np.zeros((dim, CELLS + 1, -(-m // 64)), dtype=np.uint64)
     one = np.zeros((CELLS, table.shape[2] * 64), dtype=np.uint8)
@@ -98,25 +98,26 @@ def prefixes(cells: np.ndarray) -> np.ndarray:
         table[c, 1:] = np.packbits(one, axis=1, bitorder="little").view(np.uint64)
         one[cells[c], np.arange(m)] = 0
     np.bitwise_or.accumulate(table, axis=1, out=table)
-    return table.reshape(-1, table.shape[2])
+    table = np.concatenate((table, ~table)).reshape(-1, table.shape[2])
+    if m % 64:
+        # bits of no vector are in every set, so they are parted at once
+        table[:, -1] |= ALL << np.uint64(m % 64)
+    return table
 
 
-def _left(table: np.ndarray, column: np.ndarray, lo: np.ndarray, hi: np.ndarray, misses: int, spent: list[int] | None) -> tuple[np.ndarray, np.ndarray]:
-    """(row, bit) of the table's vectors that miss under `misses` of the row's windows, or are worth a look at their cosine."""
-    dim, n = column.shape
+def _left(table: np.ndarray, tests: np.ndarray, misses: int, spent: list[int] | None) -> tuple[np.ndarray, np.ndarray]:
+    """(row, bit) of the table's vectors that miss under `misses` of the row's tests, or are worth a look at their cosine."""
+    most, n = tests.shape
     words = table.shape[1]
     over = np.zeros((n, words), dtype=np.uint64)
     counts = [np.zeros_like(over) for _ in range(misses.bit_length() - 1)]
     miss, other = np.empty_like(over), np.empty_like(over)
     alive, c = np.arange(over.size), 0
     # all words, until nearly all are parted from all of their vectors
-    while c < dim and len(alive) > SPARSE * over.size:
-        end = min(c + 4, dim)
-        for c in range(c, end):
-            np.take(table, column[c] * (CELLS + 1) + lo[c], axis=0, out=miss, mode="clip")
-            np.take(table, column[c] * (CELLS + 1) + hi[c], axis=0, out=other, mode="clip")
-            np.bitwise_xor(miss, other, out=miss)
-            np.invert(miss, out=miss)
+    while c < most and len(alive) > SPARSE * over.size:
+        end = min(c + 4, most)
+        for test in tests[c:end]:
+            np.take(table, test, axis=0, out=miss, mode="clip")
             for k in counts:
                 np.bitwise_and(k, miss, out=other)
                 np.bitwise_xor(k, miss, out=k)
@@ -128,13 +129,12 @@ def _left(table: np.ndarray, column: np.ndarray, lo: np.ndarray, hi: np.ndarray,
     read = c * over.size
     over, counts = over.ravel()[alive], [k.ravel()[alive] for k in counts]
     # the words that are left, until what goes is less than what a look costs
-    while c < dim and len(alive):
-        end = min(c + 8, dim)
+    while c < most and len(alive):
+        end = min(c + 8, most)
         read += (end - c) * len(alive)
         row, word = alive // words, alive % words
-        for c in range(c, end):
-            at = column[c][row] * (CELLS + 1)
-            miss = ~(table[at + lo[c][row], word] ^ table[at + hi[c][row], word])
+        for test in tests[c:end]:
+            miss = table[test[row], word]
             for k in counts:
                 carry = k & miss
                 k ^= miss
