@@ -33,7 +33,8 @@ from walkrank.llm.common import arrow_map, cut, ship
 from walkrank.llm.components import components, local_components
 from walkrank.llm.topk import _floats, usable
 
-BLOCK = 16384
+#: Vectors of a block, at least and (of 64 components; fewer, if they have more) at most. Larger blocks travel less often.
+BLOCK, LARGEST = 16384, 65536
 #: Cells of a projection, at whose borders the sets of smaller vectors are stored.
 CELLS = 64
 #: Vectors whose windows are counted at once, and the share of words under which only those that are left are counted on.
@@ -179,9 +180,12 @@ def scaled(x: np.ndarray) -> np.ndarray:
     return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])
 
 
-def blocks(classes: DataFrame, block_rows: int = BLOCK) -> tuple[DataFrame, DataFrame, int]:
+def blocks(classes: DataFrame, block_rows: int | None = None) -> tuple[DataFrame, DataFrame, int]:
     """(packed, boxes, n): blocks of classes (node, h, w, dim, v), numbered from 0; the box of each, (dim, block, lo, hi); their number."""
-    n = max(1, classes.count())
+    size = classes.agg(F.count("*").alias("n"), F.max("dim").alias("dim")).first()
+    n = max(1, size["n"])
+    # four blocks, with some room, as long as that isn't too large
+    block_rows = block_rows or max(BLOCK, min(LARGEST * 64 // max(64, size["dim"] or 64), int(n / 3.4)))
     count = -(-n // block_rows)
     # Near vectors get near numbers: a few projections' signs come first, the hash deals the rest.
     bits = max(0, min(16, int(np.log2(count))))
@@ -274,7 +278,7 @@ def links(packed: DataFrame, wanted: DataFrame, cosine: float, tasks: int) -> Da
     return arrow_map(dealt, work, "node bigint, h bigint, links bigint, root bigint")
 
 
-def near_duplicates(rows: DataFrame, cosine: float = 0.95, block_rows: int = BLOCK) -> DataFrame:
+def near_duplicates(rows: DataFrame, cosine: float = 0.95, block_rows: int | None = None) -> DataFrame:
     """(vec_id, n_links, component_id, kept): one row for each row of rows (vec_id, embedding)."""
     # components keep their precision; -0.0 is 0.0
     kind = "float" if dict(rows.dtypes)["embedding"] == "array<float>" else "double"
