@@ -35,7 +35,7 @@ from walkrank.llm.topk import _floats, usable
 
 #: Vectors of a block, at least and (of 64 components; fewer, if they have more) at most. Larger blocks travel less often.
 BLOCK, LARGEST = 16384, 65536
-#: Cells of a projection, at whose borders the sets of smaller vectors are stored.
+#: Cells of a projection, at whose borders the sets of smaller vectors are stored; at most 256.
 CELLS = 64
 #: Vectors whose windows are counted at once, and the share of words under which only those that are left are counted on.
 ROWS, SPARSE = 512, 0.1
@@ -64,7 +64,9 @@ def near_pairs(x: np.ndarray, y: np.ndarray, r2: float, own: bool = False, spent
     scale = CELLS / np.maximum(y.max(axis=0) - low, 1e-9)
     # monotone, so a window's cells hold all of the window
     cell = lambda v: np.clip((v - low) * scale, 0, CELLS - 1).astype(np.int32)
-    cells = np.ascontiguousarray(cell(y).T)
+    cells = np.empty((dim, len(y)), dtype=np.uint8)
+    for at in range(0, len(y), ROWS):
+        cells[:, at : at + ROWS] = cell(y[at : at + ROWS]).T
     below = np.zeros((dim, CELLS + 1), dtype=np.int64)
     for c in range(dim):
         np.cumsum(np.bincount(cells[c], minlength=CELLS), out=below[c, 1:])
@@ -157,7 +159,8 @@ def block_links(x: np.ndarray, y: np.ndarray, own: bool, weights: tuple[np.ndarr
     n, m = len(x), len(y)
     turn = rotation(x.shape[1])
     nx, ny = np.linalg.norm(x, axis=1), np.linalg.norm(y, axis=1)
-    ux, uy = x / nx[:, None] @ turn, y / ny[:, None] @ turn
+    ux = x / nx[:, None] @ turn
+    uy = ux if own else y / ny[:, None] @ turn
     to_x, to_y = np.zeros(n, dtype=np.int64), np.zeros(m, dtype=np.int64)
     root = np.arange(n if own else n + m)
     gap = np.maximum(0, np.maximum(ux.min(axis=0) - uy.max(axis=0), uy.min(axis=0) - ux.max(axis=0)))
