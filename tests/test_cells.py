@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from walkrank.operators import baselines, cells, prepare
+from walkrank.operators import baselines, cells, prepare, walk
 from walkrank.plans import methods
 from walkrank.sources import graphs
 
@@ -52,3 +52,19 @@ def test_trade_reference_holds_no_edges(spark, tmp_path, monkeypatch):
     got = methods.reference(spark, d, "trade").orderBy("id").collect()
     assert [x.id for x in got] == ids and np.allclose([x.value for x in got], dense, atol=1e-12, rtol=0)
     assert held and max(held) <= len(ids) < len(e)
+
+
+def test_trade_layout_holds_no_edges(spark, tmp_path, monkeypatch):
+    r = np.random.default_rng(2)
+    lines = [(int(o), int(p), int(s), i) for i, (o, p, s) in enumerate(zip(r.integers(0, 300, 3000), r.integers(0, 40, 3000), r.integers(-2, 8, 3000)))]
+    d = tables(spark, tmp_path, lines + [(300, None, 3, 0)], [(o, o % 25) for o in range(300)] + [(300, 77)])
+    p = walk.WalkParams(n_walkers=8, horizon=2, refresh_rate=0.7, rng=methods.RNG, counters=False)
+    want = sorted(map(tuple, walk.walker_tally(methods.placed(spark, d, "trade"), p).tally.collect()))
+    held, edges = [], graphs.trade(spark, d).count()
+    monkeypatch.setattr(graphs, "cut", lambda df, cut=graphs.cut: held.append((out := cut(df)).count()) or out)
+    made = []
+    monkeypatch.setattr(walk, "walker_tally", lambda lay, *a, f=walk.walker_tally: made.append(lay) or f(lay, p))
+    methods.Q["experiment_accuracy_k"](spark, d)
+    assert made[0].near is not None and made[0].replicas is None  # not laid out whole
+    assert sorted(map(tuple, walk.walker_tally(made[0], p).tally.collect())) == want
+    assert max(held) < edges
